@@ -25,11 +25,29 @@ def op4_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_output(load(spark, sf_dir, "documents"), public_tokenizers.path(TOKENIZER)).select("doc_id", "start", "n_tokens", "ids_crc32")
 
 
+def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from channelalign.llm.decontam import decontaminate
+
+    return decontaminate(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark")).drop("hits")
+
+
+def op2_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from channelalign.llm.licenses import scan_licenses
+
+    return scan_licenses(load(spark, sf_dir, "documents")).drop("expressions")
+
+
+def op7_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from channelalign.llm.mixing import mix_report
+
+    return mix_report(load(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {name: f for name, f in globals().items() if name.startswith("op") and callable(f) and name[2].isdigit()}
 
 
 def oracle_sql() -> dict[str, str]:
-    from channelalign.llm import exact_dedup
+    from channelalign.llm import decontam, exact_dedup
 
-    return {"op9_exact_dedup": exact_dedup.SQL}
+    return {"op9_exact_dedup": exact_dedup.SQL, "op3_decontaminate": decontam.SQL}

@@ -25,7 +25,7 @@ SEPARATED = bytes(int(x) or 0x20 for x in _LOWER)
 
 _P = 0x9E3779B97F4A7C15
 _P_INVERSE = pow(_P, -1, 1 << 64)
-_Q = np.uint64(0xD6E8FEB86659FD93)
+GRAM_BASE = np.uint64(0xD6E8FEB86659FD93)
 _powers = np.ones(1, np.uint64)
 _inverses = np.ones(1, np.uint64)
 
@@ -98,7 +98,7 @@ def hash_grams(words: np.ndarray, owner: np.ndarray, k: int) -> tuple[np.ndarray
         return np.zeros(0, np.int64), np.zeros(0, np.uint64)
     total = np.zeros(n, np.uint64)
     for j in range(k):
-        total = total * _Q + words[j : j + n]
+        total = total * GRAM_BASE + words[j : j + n]
     at = np.flatnonzero(owner[:n] == owner[k - 1 :])
     return at, mix(total[at], k)
 
