@@ -35,7 +35,10 @@ def _powers_to(n: int) -> tuple[np.ndarray, np.ndarray]:
     global _powers, _inverses
     if len(_powers) < n:
         size = 1 << (n - 1).bit_length()
-        _powers, _inverses = (np.cumprod(np.concatenate([[1], np.full(size - 1, x, np.uint64)]).astype(np.uint64)) for x in (_P, _P_INVERSE))
+        _powers, _inverses = (np.full(size, x, np.uint64) for x in (_P, _P_INVERSE))
+        for table in (_powers, _inverses):
+            table[0] = 1
+            np.cumprod(table, out=table)
     return _powers, _inverses
 
 
