@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from channelalign.sources.tables import load
 
 TOKENIZER = "word_bpe_49k.json"
+UNIGRAM = "piece_bpe_32k.model"
 
 
 def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -57,6 +58,20 @@ def op8_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(load(spark, sf_dir, "documents"))
 
 
+def op6_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from channelalign.llm.pii import find_personal_data
+
+    return find_personal_data(load(spark, sf_dir, "documents"))
+
+
+def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from channelalign.llm.token_counts import count_tokens
+
+    return count_tokens(load(spark, sf_dir, "documents"), public_tokenizers.path(UNIGRAM))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {name: f for name, f in globals().items() if name.startswith("op") and callable(f) and name[2].isdigit()}
 
