@@ -11,12 +11,14 @@ document and decompresses that frame only.
 from __future__ import annotations
 
 import os
+import re
 import uuid
 import zlib
-from collections.abc import Iterable, Iterator
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import pyarrow.fs as pafs
 import xxhash
 import zstandard
@@ -36,18 +38,25 @@ INDEX_MAGIC = b"DOCINDEX"
 FRAME_IDS = 1 << 16
 NULL_ID = -(2**63)
 CACHE_WORDS = 300_000
-WORDS_AT_ONCE = 4096
+WORDS_AT_ONCE = 512
+#: A character that parts words on their way through the tokenizer; words that hold it go alone.
+PARTING = "~"
+LETTER_THEN_MARK = r"([a-z])([!-/:-@\[-`{-~])"
+#: A special token's beginning, or a mark that may join the letter before it.
+RISKY = r"<\||[\x{300}-\x{36f}]"
+_SPACE = re.compile(r"[ \t\n\x0b\x0c\r]")
 
 
 # ---------------------------------------------------------------- encoding
 
 class WordEncoder:
-    """Encodes texts with a tokenizer of the tokenizers library, word by word, each distinct word once.
+    """Encodes texts with a tokenizer of the tokenizers library, each distinct word once.
 
-    Valid for tokenizers that drop white space and never let a token span it (their pre-tokenizer removes it and
-    their normaliser works on characters): then the ids of a text are those of its white-space-separated words,
-    one after another, and no text needs to be in memory twice. Words are parted at ASCII white space only; any
-    other white space stays inside a word and is left to the tokenizer. The cache is bounded.
+    For tokenizers that lower-case, drop white space, never let a token span it and part letters from punctuation
+    (their pre-tokenizer removes or splits it, their normaliser works on characters). Then the ids of a text are
+    those of its words, one after another. Texts are lower-cased (A-Z) and parted at ASCII white space and between
+    an ASCII letter and ASCII punctuation; texts that may hold a special token or a combining mark, where this
+    could change what the tokenizer sees, are parted at white space only. The cache is bounded.
     """
 
     def __init__(self, path: str, cache: int = CACHE_WORDS):
@@ -55,40 +64,67 @@ class WordEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer, self.most = Tokenizer.from_file(path), cache
+        mark = self.tokenizer.encode(PARTING, add_special_tokens=False).ids
+        self.mark = mark[0] if len(mark) == 1 else None
         self._clear()
 
     def _clear(self) -> None:
-        self.known: dict[bytes, int] = {}
+        self.known: dict[str, int] = {}
         self.starts, self.pool, self.used = np.zeros(1 << 16, np.int64), np.zeros(1 << 18, np.uint32), 0
 
-    def _learn(self, words: list[bytes]) -> None:
-        encoded = self.tokenizer.encode_batch_fast([w.decode("utf-8", "replace") for w in words], add_special_tokens=False)
-        ids = [e.ids for e in encoded]
+    def _ids(self, words: list[str]) -> list[np.ndarray]:
+        """Ids of each word. Words go to the tokenizer joined by a mark, which has an id of its own, and are parted at that id."""
+        if self.mark is not None:
+            joined = f" {PARTING} ".join(words)
+            if joined.count(PARTING) == len(words) - 1:
+                ids = np.asarray(self.tokenizer.encode_batch_fast([joined], add_special_tokens=False)[0].ids, np.uint32)
+                cuts = np.flatnonzero(ids == self.mark)
+                if len(cuts) == len(words) - 1:
+                    return [x[i > 0 :] for i, x in enumerate(np.split(ids, cuts))]
+        return [np.asarray(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+
+    def _learn(self, words: list[str]) -> None:
+        plain, marked = [w for w in words if PARTING not in w], [w for w in words if PARTING in w]
+        for i in range(0, len(plain), WORDS_AT_ONCE):
+            self._keep(plain[i : i + WORDS_AT_ONCE], self._ids(plain[i : i + WORDS_AT_ONCE]))
+        if marked:
+            self._keep(marked, [np.asarray(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast(marked, add_special_tokens=False)])
+
+    def _keep(self, words: list[str], ids: list[np.ndarray]) -> None:
         sizes = np.fromiter(map(len, ids), np.int64, len(ids))
         first, total = len(self.known), self.used + int(sizes.sum())
         while len(self.starts) < first + len(words) + 1:
             self.starts = np.concatenate([self.starts, np.zeros_like(self.starts)])
         while len(self.pool) < total:
             self.pool = np.concatenate([self.pool, np.zeros_like(self.pool)])
-        self.pool[self.used : total] = np.fromiter((x for y in ids for x in y), np.uint32, total - self.used)
+        self.pool[self.used : total] = np.concatenate(ids)
         self.starts[first + 1 : first + 1 + len(words)] = self.used + np.cumsum(sizes)
         self.known.update(zip(words, range(first, first + len(words)), strict=True))
         self.used = total
 
-    def encode(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        """(ids of all words, number of ids of each word)."""
-        if not words:
-            return np.zeros(0, np.uint32), np.zeros(0, np.int64)
-        new = [w for w in dict.fromkeys(words) if w not in self.known]
+    def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all texts, one after another; number of ids of each text). texts: large_string without nulls."""
+        parted = pc.replace_substring_regex(pc.ascii_lower(texts), LETTER_THEN_MARK, r"\1 \2")
+        risky = pc.match_substring_regex(texts, RISKY)
+        if pc.any(risky).as_py():
+            parted = pc.if_else(risky, texts, parted)
+        words = pc.ascii_split_whitespace(parted)
+        per_text = pc.list_value_length(words).to_numpy(zero_copy_only=False).astype(np.int64)
+        coded = words.flatten().dictionary_encode()
+        if not len(coded):
+            return np.zeros(0, np.uint32), np.zeros(len(texts), np.int64)
+        distinct = coded.dictionary.to_pylist()
+        new = [w for w in distinct if w not in self.known]
         if len(self.known) + len(new) > self.most and self.known:
             self._clear()
-            new = list(dict.fromkeys(words))
-        for i in range(0, len(new), WORDS_AT_ONCE):
-            self._learn(new[i : i + WORDS_AT_ONCE])
-        at = np.fromiter(map(self.known.__getitem__, words), np.int64, len(words))
+            new = distinct
+        self._learn(new)
+        at = np.fromiter(map(self.known.__getitem__, distinct), np.int64, len(distinct))[coded.indices.to_numpy()]
         begin, size = self.starts[at], self.starts[at + 1] - self.starts[at]
-        before = np.cumsum(size) - size
-        return self.pool[np.repeat(begin - before, size) + np.arange(int(size.sum()))], size
+        before = np.concatenate([[0], np.cumsum(size)])
+        ids = self.pool[np.repeat(begin - before[:-1], size) + np.arange(int(before[-1]))]
+        bounds = before[np.concatenate([[0], np.cumsum(per_text)])]
+        return ids, np.diff(bounds)
 
 
 _encoders: dict[str, WordEncoder] = {}
@@ -101,29 +137,35 @@ def encoder(path: str) -> WordEncoder:
     return _encoders[path]
 
 
-def encode_texts(texts: Iterable[str | None], path: str, end_id: int, words_at_once: int = 1 << 17) -> Iterator[np.ndarray]:
-    """The ids of each text and its end id. Texts are gathered to about words_at_once words before they are encoded; a longer text is encoded in pieces."""
-    coder, held, counts = encoder(path), [], []
-
-    def flush() -> Iterator[np.ndarray]:
-        ids, sizes = coder.encode(held)
-        bounds = np.concatenate([[0], np.cumsum(sizes)])[np.concatenate([[0], np.cumsum(counts)]).astype(np.int64)]
-        for a, b in zip(bounds[:-1], bounds[1:], strict=True):
-            yield np.append(ids[a:b], np.uint32(end_id))
-
-    for text in texts:
-        words = (text or "").encode("utf-8", "replace").split()
-        if held and len(held) + len(words) > words_at_once:
-            yield from flush()
-            held, counts = [], []
-        if len(words) > words_at_once:
-            pieces = [coder.encode(words[i : i + words_at_once])[0] for i in range(0, len(words), words_at_once)]
-            yield np.concatenate([*pieces, np.array([end_id], np.uint32)])
-            continue
-        held += words
-        counts.append(len(words))
-    if counts:
-        yield from flush()
+def _cut(text: str, most: int) -> list[str]:
+    """The text in pieces of about ``most`` characters, cut at white space."""
+    pieces, at = [], 0
+    while at < len(text):
+        gap = _SPACE.search(text, at + most)
+        stop = gap.start() if gap else len(text)
+        pieces.append(text[at:stop])
+        at = stop
+    return pieces
+
+
+def encode_texts(texts: pa.Array, path: str, end_id: int, most: int = 1 << 21) -> Iterator[np.ndarray]:
+    """The ids of each text and its end id. Texts are taken to about ``most`` bytes at a time; a longer text is encoded in pieces."""
+    coder = encoder(path)
+    texts = texts.cast(pa.large_string()).fill_null("")
+    offsets = np.concatenate([[0], np.cumsum(pc.binary_length(texts).to_numpy(zero_copy_only=False))]).astype(np.int64) if len(texts) else np.zeros(1, np.int64)
+    first, end = 0, np.array([end_id], np.uint32)
+    while first < len(texts):
+        last = max(first + 1, int(np.searchsorted(offsets, offsets[first] + most, "right")) - 1)
+        part = texts.slice(first, last - first)
+        if last - first == 1 and offsets[last] - offsets[first] > 2 * most:
+            yield np.concatenate([*[coder.encode(pa.array([x], pa.large_string()))[0] for x in _cut(part[0].as_py(), most)], end])
+        else:
+            ids, sizes = coder.encode(part)
+            at = 0
+            for n in sizes.tolist():
+                yield np.concatenate([ids[at : at + n], end])
+                at += n
+        first = last
 
 
 # ---------------------------------------------------------------- file format
@@ -243,22 +285,11 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer_path: str, end_id:
         counts = [0, 0]
         with fs.open_output_stream(temporary) as out:
             writer = SeekableWriter(out)
-
-            def rows():
-                for batch in batches:
-                    yield from zip(batch.column(0).to_pylist(), batch.column(1), strict=True)
-
-            ids_of: list = []
-
-            def texts():
-                for doc_id, text in rows():
-                    ids_of.append(doc_id)
-                    yield text.as_py()
-
-            for n, ids in enumerate(encode_texts(texts(), tokenizer_path, end_id)):
-                writer.add(ids_of[n], ids)
-                counts[0] += 1
-                counts[1] += len(ids)
+            for batch in batches:
+                for doc_id, ids in zip(batch.column(0).to_pylist(), encode_texts(batch.column(1), tokenizer_path, end_id), strict=True):
+                    writer.add(doc_id, ids)
+                    counts[0] += 1
+                    counts[1] += len(ids)
             writer.close()
         fs.move(temporary, path)
         yield pa.RecordBatch.from_pydict({"shard": [shard], "path": [f"{folder}/part-{shard:08d}.tok.zst"], "n_docs": [counts[0]], "n_ids": [counts[1]]})
@@ -288,8 +319,8 @@ def read_token_files(shards: DataFrame) -> DataFrame:
                             names=["doc_id", "shard", "position", "offset", "n_tokens", "ids_crc32"],
                         )
 
-    # One file is read by one task: the files are few and each has a share of its own.
-    return shards.select("shard", "path").repartition(F.col("shard")).mapInArrow(read, DOC_SCHEMA)
+    tasks = max(1, min(shards.count(), 1 << 14))  # a fixed number, so that these few small rows are not gathered in one task
+    return shards.select("shard", "path").repartition(tasks).mapInArrow(read, DOC_SCHEMA)
 
 
 def token_output(docs: DataFrame, tokenizer_path: str, end_id: int = 1, folder: str | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
