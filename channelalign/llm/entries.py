@@ -72,6 +72,12 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(load(spark, sf_dir, "documents"), public_tokenizers.path(UNIGRAM))
 
 
+def op5_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from channelalign.llm.html_text import extract_text
+
+    return extract_text(load(spark, sf_dir, "pages"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {name: f for name, f in globals().items() if name.startswith("op") and callable(f) and name[2].isdigit()}
 
