@@ -197,13 +197,13 @@ def _tasks(threshold: float, tolerance: float):
 
 
 def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, tolerance: float = TOLERANCE, chunk_shingles: int = CHUNK_SHINGLES, sent_rows: int = SENT_ROWS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per document: doc_id, class_id, n_links, n_class_links, class_size, copies_id.
+    """One row per document: doc_id, row_id, class_id, n_links, n_class_links, class_size, copies_id.
 
     n_links is the number of other documents with a similarity of the threshold or more, copies of this one
     included; n_class_links counts other classes of equal sets. class_id is the least id of the documents that are
     connected through links; copies_id is the least id of those with the same set; class_size counts the latter.
     Documents without words (null, empty) link to nothing and have a class each. Null ids get an id of their own
-    from the text's hash (negative) in class_id and copies_id; rows that share an id share a class.
+    from the text's hash (negative), which is row_id (otherwise the id itself); rows that share an id share a class.
 
     A pair at the threshold itself is missed by all bands with probability (1 - 0.8**6)**60, about 1e-8, and by
     pruning with about the tolerance. Texts move once, for classes in a block of two or more only. Blocks of more
@@ -249,6 +249,7 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, tolerance: fl
     result = rows.join(per_row, F.col("vid") == F.col("_vid"), "left")
     return result.select(
         "doc_id",
+        F.col("vid").alias("row_id"),
         F.coalesce("group", "vid").alias("class_id"),
         F.coalesce(F.col("weight") + F.col("copies") - 1, F.lit(0)).cast("long").alias("n_links"),
         F.coalesce("classes", F.lit(0)).cast("long").alias("n_class_links"),
