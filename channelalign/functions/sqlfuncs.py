@@ -8,6 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from channelalign.functions import dtw as kernels
 
@@ -18,7 +19,7 @@ FUNCTIONS = {
 }
 
 
-@F.udtf(returnType="bin: bigint, cnt: bigint")
+@F.udtf(returnType=T.StructType([T.StructField("bin", T.LongType()), T.StructField("cnt", T.LongType())]))
 class DenseSeries:
     """Rows of every bin of a sparse vector, zeros too."""
 
@@ -28,13 +29,13 @@ class DenseSeries:
             yield b, known.get(b, 0)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def dtw(x: pd.Series, y: pd.Series) -> pd.Series:
     """Elastic distance of two arrays of counts."""
     return pd.Series([kernels.distance(np.asarray(a, float), np.asarray(b, float)) for a, b in zip(x, y, strict=True)])
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def fit_rayleigh_agg(s: pd.Series) -> float:
     """The fit as an aggregate function."""
     return float(np.sqrt((s.to_numpy() ** 2).sum() / (2 * len(s)))) if len(s) else float("nan")

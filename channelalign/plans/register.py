@@ -523,8 +523,7 @@ def stream_equals_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The state of a stream of weekly files."""
     base, store = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}", _store(spark)
     events, _ = planted_events(spark, sf_dir, JITTER)
-    week = F.floor((F.col("us") - ORIGIN) / (7 * DAY_US))
-    shifted = events.withColumn("us", F.col("us") - ORIGIN).withColumn("week", week)
+    shifted = events.withColumn("us", F.col("us") - ORIGIN).withColumn("week", F.floor(F.col("us") / (7 * DAY_US)))
     for n in sorted(r[0] for r in shifted.select("week").distinct().collect()):  # files arrive week by week
         shifted.where(F.col("week") == n).drop("week").coalesce(1).write.mode("append").parquet(f"{base}/weeks")
     streams.start(event_stream(spark, f"{base}/weeks", 1), store, "a", "b", HOUR_US, 7, f"{base}/checkpoint").awaitTermination()

@@ -57,11 +57,12 @@ def first_events(events: DataFrame) -> DataFrame:
     return rows.groupBy("channel", "entity").applyInPandasWithState(update, schema, "first_us long, n long", "update", GroupStateTimeout.NoTimeout)
 
 
-def co_occurrences(left: DataFrame, right: DataFrame, delta: str, delay: str = "1 hour") -> DataFrame:
-    """u, v, us of events of two streams at most ``delta`` apart; both sides' state is bounded by watermark and distance."""
-    a = _timed(left, delay).select(F.col("src").alias("u"), F.col("ts").alias("ta"), F.col("us"))
-    b = _timed(right, delay).select(F.col("src").alias("v"), F.col("ts").alias("tb"))
-    return a.join(b, F.expr(f"tb >= ta - INTERVAL {delta} AND tb <= ta + INTERVAL {delta}")).select("u", "v", "us")
+def co_occurrences(left: DataFrame, right: DataFrame, delta_us: int, delay: str = "1 hour") -> DataFrame:
+    """u, v, us of events of two streams at most delta_us apart. Streams must meet on an equality: bins of that width, each left event in its own and both neighbours. Both sides' state is bounded by watermark and distance."""
+    at, gap = F.floor(F.col("us") / delta_us), f"INTERVAL '{delta_us / 1_000_000:.6f}' SECOND"
+    a = _timed(left, delay).select(F.col("src").alias("u"), F.col("ts").alias("ta"), "us", F.explode(F.array(at - 1, at, at + 1)).alias("bin_a"))
+    b = _timed(right, delay).select(F.col("src").alias("v"), F.col("ts").alias("tb"), at.alias("bin_b"))
+    return a.join(b, F.expr(f"bin_a = bin_b AND tb >= ta - {gap} AND tb <= ta + {gap}")).select("u", "v", "us")
 
 
 def segment_handler(store, left: str, right: str, width_us: int, every_days: int, **how) -> Callable[[DataFrame, int], None]:
