@@ -29,6 +29,7 @@ LIMIT = 2.0
 #: The weights of the sources in order of their names, repeating.
 WEIGHTS = (3, 1, 2)
 SHARD_SLOTS = 1 << 16
+SLOTS_A_TASK = 1 << 18
 ROWS_A_BUCKET = 4096
 MOST_SOURCES = 1_000_000
 WORD = r"[^\x20\x09-\x0D]+"
@@ -193,7 +194,7 @@ def mix_sources(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: fl
                     )
 
     drawn = draw_shards(plans, shard_slots, seed)
-    shards = spark.createDataFrame(drawn, "shard long, sid int, first long, n long").repartition(max(1, min(len(drawn), 4096)))
+    shards = spark.createDataFrame(drawn, "shard long, sid int, first long, n long").repartition(max(1, min(len(drawn), -(-sum(p.slots for p in plans) // SLOTS_A_TASK))))
     return Mix(documents, shards.mapInArrow(slots, "shard long, slot long, sid int, block long, epoch long, words long"), plans, names, block)
 
 
@@ -210,9 +211,10 @@ def pieces(mixed: Mix) -> DataFrame:
 
 def taken_words(mixed: Mix) -> DataFrame:
     """One row per document: doc_id, tie, sid, size, taken (words that the mix takes from it, repeats counted)."""
-    cut = F.greatest(F.lit(0).cast("long"), F.least("b", "words") - F.col("a"))
-    met = pieces(mixed).join(mixed.slots.select("sid", "block", "words"), ["sid", "block"], "left")
-    return met.groupBy("doc_id", "tie", "sid", "size", "start").agg(F.sum(F.coalesce(cut, F.lit(0))).cast("long").alias("taken")).drop("start")
+    cut = F.when(F.col("words").isNull(), 0).otherwise(F.greatest(F.lit(0).cast("long"), F.least("b", "words") - F.col("a")))
+    # Slots come from a function over a few rows, so their estimated size is far too small: no broadcast.
+    met = pieces(mixed).join(mixed.slots.select("sid", "block", "words").hint("merge"), ["sid", "block"], "left")
+    return met.groupBy("doc_id", "tie", "sid", "size", "start").agg(F.sum(cut).cast("long").alias("taken")).drop("start")
 
 
 def mix_report(docs: DataFrame, **how) -> DataFrame:
@@ -230,14 +232,14 @@ def mixed_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     have a place each in the mix and share the other columns of one of them.
     """
     mixed = mix_sources(docs, id_col=id_col, text_col=text_col, source_col=source_col, **how)
-    parts = pieces(mixed).where("block IS NOT NULL").join(mixed.slots.select("sid", "block", "epoch", "words"), ["sid", "block"])
+    parts = pieces(mixed).where("block IS NOT NULL").join(mixed.slots.select("sid", "block", "epoch", "words").hint("merge"), ["sid", "block"])
     offset = F.col("block") * mixed.block - F.col("start")
     runs = parts.where(F.col("words") > F.col("a")).select("doc_id", "tie", "size", "start", "epoch", F.struct((offset + F.col("a")).alias("a"), (offset + F.least("b", "words")).alias("b")).alias("run"))
     kept = runs.groupBy("doc_id", "tie", "size", "start", "epoch").agg(F.array_sort(F.collect_list("run")).alias("_runs"))
     no_id = F.lit(-(2**63))
     kept = kept.select(F.coalesce("doc_id", no_id).alias("_id"), F.col("tie").alias("_tie"), F.col("size").alias("_size"), "_runs")
     names = docs.columns
-    own = docs.select(*[F.col(c).alias(f"c_{i}") for i, c in enumerate(names)], F.coalesce(F.col(id_col).cast("long"), no_id).alias("_id"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("_tie"))
+    own = docs.select(*[F.col(f"`{c}`").alias(f"c_{i}") for i, c in enumerate(names)], F.coalesce(F.col(id_col).cast("long"), no_id).alias("_id"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("_tie"))
     own = own.dropDuplicates(["_id", "_tie"])  # every place of equal rows is in kept
     text_at = names.index(text_col)
     schema = ", ".join(f"c_{i} {f.dataType.simpleString()}" for i, f in enumerate(docs.schema.fields))
