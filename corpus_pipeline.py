@@ -19,14 +19,18 @@ from channelalign.llm.toxicity import fit, score_toxicity
 from channelalign.sources.tables import load
 
 
+def _apart(docs: DataFrame) -> tuple[DataFrame, dict[str, str]]:
+    """docs with columns d_0, d_1, ... and the new name of each: whatever they were called, they clash with nothing."""
+    at = {c: f"d_{i}" for i, c in enumerate(docs.columns)}
+    return docs.select(*[F.col(f"`{c}`").alias(n) for c, n in at.items()]), at
+
+
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the toxicity model predicts as clean, with their columns. The model is fitted on labelled rows of the input."""
     model = fit(docs, load(spark, sf_dir, "labels"))
-    columns = tuple(docs.columns)
-    renamed = docs.select(*[F.col(c).alias(f"d_{i}") for i, c in enumerate(columns)])
-    at = {c: f"d_{i}" for i, c in enumerate(columns)}
+    renamed, at = _apart(docs)
     scored = score_toxicity(renamed, model, id_col=at["doc_id"], text_col=at["text"], keep=tuple(at.values()))
-    return scored.where("predicted = 0").select(*[F.col(at[c]).alias(c) for c in columns])
+    return scored.where("predicted = 0").select(*[F.col(at[c]).alias(c) for c in docs.columns])
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -34,18 +38,17 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
     groups = near_duplicates(docs)
     # An id is kept if it is its group's least; ids that are null keep their rows' own groups by the text's hash.
     chosen = groups.where(F.col("class_id") == F.col("row_id")).select("row_id").distinct()
-    keyed = docs.withColumn("_row_id", F.coalesce(F.col("doc_id").cast("long"), -F.shiftrightunsigned(F.xxhash64(F.coalesce("text", F.lit(""))), 2) - 2))
-    kept = keyed.join(chosen, F.col("_row_id") == F.col("row_id"), "left_semi").dropDuplicates(["_row_id"])
-    return kept.select(*docs.columns)
+    renamed, at = _apart(docs)
+    row_id = F.coalesce(F.col(at["doc_id"]).cast("long"), -F.shiftrightunsigned(F.xxhash64(F.coalesce(at["text"], F.lit(""))), 2) - 2)
+    kept = renamed.withColumn("row_id", row_id).join(chosen, "row_id", "left_semi").dropDuplicates(["row_id"])
+    return kept.select(*[F.col(n).alias(c) for c, n in at.items()])
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in which no window of ten consecutive words of a benchmark item occurs."""
-    columns = tuple(docs.columns)
-    renamed = docs.select(*[F.col(c).alias(f"d_{i}") for i, c in enumerate(columns)])
-    at = {c: f"d_{i}" for i, c in enumerate(columns)}
+    renamed, at = _apart(docs)
     found = decontaminate(renamed, load(spark, sf_dir, "benchmark"), id_col=at["doc_id"], text_col=at["text"], keep=tuple(at.values()))
-    return found.where("NOT contaminated").select(*[F.col(at[c]).alias(c) for c in columns])
+    return found.where("NOT contaminated").select(*[F.col(at[c]).alias(c) for c in docs.columns])
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

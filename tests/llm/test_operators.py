@@ -1,0 +1,520 @@
+"""Operators of the training-data pipeline against brute force, round trips and edge cases."""
+
+from __future__ import annotations
+
+import io
+import itertools
+import re
+import zlib
+
+import numpy as np
+import pyarrow as pa
+import pytest
+from pyspark.sql import functions as F
+
+from channelalign.llm import decontam, exact_dedup, html_text, licenses, mixing, near_dup, pii, token_counts, token_files, toxicity, words
+from channelalign.llm.components import connected
+from channelalign.llm.crf import marginals, viterbi
+from conftest import SF, same
+
+public_tokenizers = pytest.importorskip("public_tokenizers")
+BPE = public_tokenizers.path("word_bpe_49k.json")
+UNIGRAM = public_tokenizers.path("piece_bpe_32k.model")
+DOCS = "doc_id long, text string, lang string, source string, n_chars long"
+WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
+
+
+def lower(text: str | None) -> str:
+    return re.sub("[A-Z]", lambda m: m[0].lower(), text or "")
+
+
+def word_list(text: str | None) -> list[str]:
+    return WORD.findall(lower(text))
+
+
+@pytest.fixture(scope="module")
+def docs(spark):
+    return spark.read.parquet(f"{SF}/documents.parquet")
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    """Nulls, empty and long texts, ties, repeats."""
+    long = " ".join(f"word{i % 977} x{i}" for i in range(40_000))
+    rows = [(1, None, None, None, None), (2, "", "en", "s", 0), (3, "a b", "en", "s", 3), (3, "a b", "en", "s", 3), (None, "a  b", "en", None, 4), (4, long, "en", "t", len(long)), (5, "été 漢字 \U0001F600", "fr", "t", 9)]
+    return spark.createDataFrame(rows, DOCS)
+
+
+@pytest.fixture(scope="module")
+def empty(spark):
+    return spark.createDataFrame([], DOCS)
+
+
+@pytest.fixture(scope="module")
+def clashing(odd):
+    """Columns called like those that operators use inside."""
+    return odd.withColumns({c: F.lit("x") for c in ("_text", "row_id", "size", "block", "sid", "_id", "tie", "vertex", "score", "d_0", "c_0")})
+
+
+def test_words_by_bytes(docs):
+    texts = [r["text"] for r in docs.select("text").collect()] + ["", "A-bÉ 9z", "x", "é", " ", "y"]
+    data, offsets = words.text_buffers(pa.array(texts))
+    low, a, b, owner = words.split_words(data, offsets)
+    got = [[] for _ in texts]
+    for i in range(len(a)):
+        got[owner[i]].append(low[a[i] : b[i]].tobytes().decode())
+    assert got == [word_list(t) for t in texts]
+    hashes, flat = words.hash_words(low, a, b), list(itertools.chain(*got))
+    assert len(set(zip(flat, hashes.tolist(), strict=True))) == len(set(flat)) == len(set(hashes.tolist()))
+
+
+# ---------------------------------------------------------------- 9 exact duplicates
+
+def brute_exact(rows):
+    norm = lambda t: re.sub(r"[\x20\x09-\x0D]", "", t or "")
+    groups = {}
+    for i, t in rows:
+        groups.setdefault(norm(t), []).append((-len(t or ""), i))
+    return sorted((i, min(groups[norm(t)])[1], len(groups[norm(t)])) for i, t in rows)
+
+
+def test_exact_duplicates(spark, tables, docs):
+    from channelalign.llm.entries import op9_exact_dedup
+
+    same(op9_exact_dedup(spark, SF), tables, exact_dedup.SQL)
+    got = exact_dedup.exact_duplicates(docs).collect()
+    assert sorted((r["doc_id"], r["keep_id"], r["group_size"]) for r in got) == brute_exact([(r["doc_id"], r["text"]) for r in docs.collect()])
+
+
+def test_exact_duplicates_edges(odd, empty, clashing):
+    got = {(r["doc_id"], r["keep_id"], r["group_size"], r["kept"]) for r in exact_dedup.exact_duplicates(odd).collect()}
+    # the row without an id has the longest text of its group
+    assert got == {(1, 1, 2, True), (2, 1, 2, False), (3, None, 3, False), (None, None, 3, True), (4, 4, 1, True), (5, 5, 1, True)}
+    assert exact_dedup.exact_duplicates(empty).count() == 0 and exact_dedup.exact_duplicates(clashing).count() == 7
+
+
+# ---------------------------------------------------------------- 4 token files
+
+def test_token_files_equal_the_tokenizer(docs):
+    from tokenizers import Tokenizer
+
+    plain = Tokenizer.from_file(BPE)
+    at = 0
+    rows = {r["doc_id"]: r for r in token_files.token_output(docs, BPE).collect()}
+    for r in docs.orderBy("doc_id").collect():
+        ids = np.array([*plain.encode(r["text"] or "", add_special_tokens=False).ids, 1], "<u4")
+        got = rows[r["doc_id"]]
+        assert (got["start"], got["n_tokens"], got["ids_crc32"]) == (at, len(ids), zlib.crc32(ids.tobytes()))
+        at += len(ids)
+
+
+@pytest.mark.parametrize("text", ["", "a~b ~ c", "<|endoftext|> Hi<|ENDOFTEXT|>x", "J̌X é z\x1cq", "it's DON'T we'll, İx ΣσΣ.", "x…, y…. 9,9 a1,b2", "　漢字 文。", "A" * 50_000])
+def test_encoder_on_odd_texts(text):
+    from tokenizers import Tokenizer
+
+    want = [*Tokenizer.from_file(BPE).encode(text, add_special_tokens=False).ids, 1]
+    assert next(token_files.encode_texts(pa.array([text]), BPE, 1)).tolist() == want
+    assert next(token_files.encode_texts(pa.array([text + " " + text]), BPE, 1, most=1000)).tolist() == want[:-1] + want
+
+
+def test_reader_opens_only_what_is_asked():
+    out = io.BytesIO()
+    writer = token_files.SeekableWriter(out, frame_ids=100)
+    texts = [np.arange(i % 70, dtype=np.uint32) + i for i in range(60)]
+    for i, ids in enumerate(texts):
+        writer.add(i, ids)
+    writer.close()
+    reader = token_files.SeekableReader(io.BytesIO(out.getvalue()))
+    assert reader.find(41)[0].tolist() == texts[41].tolist() and reader.frames_read == 1
+    assert all(reader.document(i).tolist() == t.tolist() for i, t in enumerate(texts))
+    import zstandard
+
+    frames = b"".join(t.tobytes() for t in texts)
+    assert zstandard.ZstdDecompressor().stream_reader(io.BytesIO(out.getvalue()), read_across_frames=True).read() == frames
+    broken = bytearray(out.getvalue())
+    broken[3] ^= 0xFF
+    with pytest.raises(Exception):  # noqa: B017
+        token_files.SeekableReader(io.BytesIO(bytes(broken))).document(0)
+
+
+def test_token_files_edges(odd, empty, clashing):
+    rows = token_files.token_output(odd, BPE).collect()
+    assert len(rows) == 7 and min(r["n_tokens"] for r in rows) == 1
+    assert token_files.token_output(empty, BPE).count() == 0 and token_files.token_output(clashing, BPE).count() == 7
+
+
+# ---------------------------------------------------------------- 3 decontamination
+
+def brute_leaks(texts, items, span=10):
+    windows = {}
+    for item, text in items:
+        w = word_list(text)
+        for i in range(len(w) - min(span, len(w)) + 1 if w else 0):
+            windows.setdefault(tuple(w[i : i + min(span, len(w))]), set()).add(str(item))
+    out = {}
+    for key, text in texts:
+        w, hit, found = word_list(text), set(), set()
+        for n in {len(x) for x in windows}:
+            for i in range(len(w) - n + 1):
+                if got := windows.get(tuple(w[i : i + n])):
+                    hit |= set(range(i, i + n))
+                    found |= got
+        out[key] = (len(w), len(hit), ",".join(sorted(found)))
+    return out
+
+
+@pytest.mark.parametrize("sent", [1 << 25, 0])
+def test_decontamination_both_ways(spark, docs, sent):
+    import hashlib
+
+    bench = spark.read.parquet(f"{SF}/benchmark.parquet").unionByName(spark.createDataFrame([(900, "the of And"), (901, None), (902, "!!"), (903, "the of and"), (904, "One two three four five six seven eight nine ten")], "item_id long, text string"))
+    texts = docs.select("doc_id", "text").unionByName(spark.createDataFrame([(-1, "zero one two three four five six seven eight nine ten one two"), (-2, None), (-3, "x")], "doc_id long, text string"))
+    want = brute_leaks([(r[0], r[1]) for r in texts.collect()], [(r[0], r[1]) for r in bench.collect()])
+    got = {r["doc_id"]: (r["n_words"], r["n_hit"], r["items_sha256"], r["contaminated"], sum(h["stop"] - h["start"] for h in r["hits"])) for r in decontam.decontaminate(texts, bench, sent_bytes=sent).collect()}
+    assert got == {k: (n, hit, hashlib.sha256(items.encode()).hexdigest(), hit > 0, hit) for k, (n, hit, items) in want.items()}
+    assert want[-1][1] == 10
+
+
+def test_winnowing_keeps_every_span():
+    rng = np.random.default_rng(2)
+    for _ in range(200):
+        shared = rng.integers(0, 5, 10).astype(np.uint64)
+        a, b = (np.concatenate([rng.integers(0, 5, rng.integers(0, 9)).astype(np.uint64), shared, rng.integers(0, 5, rng.integers(0, 9)).astype(np.uint64)]) for _ in range(2))
+        prints = []
+        for x in (a, b):
+            at, grams = words.hash_grams(words.mix(x), np.zeros(len(x), int), 6)
+            one = decontam.winnow(grams, 5)
+            assert one.tolist() == decontam.winnow_many(at, grams, np.zeros(len(x), int), 5).tolist()
+            prints.append(set(grams[one].tolist()))
+        assert prints[0] & prints[1]
+
+
+def test_decontamination_edges(spark, odd, empty, clashing):
+    bench = spark.createDataFrame([(1, "a b")], "item_id long, text string")
+    assert decontam.decontaminate(empty, bench).count() == 0
+    assert decontam.decontaminate(odd, bench.limit(0)).where("contaminated").count() == 0
+    assert decontam.decontaminate(clashing, bench).where("contaminated").count() == 3
+
+
+# ---------------------------------------------------------------- 2 licences
+
+def test_license_phrases():
+    got = licenses.scan_text("x MIT - License and\nthe GNU General Public License. mit license")
+    assert (got["n_words"], got["n_base"], got["first_word"], got["last_word"], got["base_labels"]) == (11, 3, 1, 9, "gpl,mit")
+    assert licenses.scan_text("mit mit license")["first_word"] == 1
+    assert licenses.scan_text(None)["first_word"] is None and licenses.scan_text("summit license")["n_base"] == 0
+    tagged = licenses.scan_text("// SPDX-License-Identifier: (MIT OR Apache-2.0) AND GPL-2.0-only WITH Classpath-exception-2.0\n")
+    assert tagged["labels"] == "apache,gpl,mit" and tagged["base_labels"] == "" and tagged["score"] == 1.0
+
+
+def test_license_expressions():
+    e = licenses.parse_expression("MIT OR Apache-2.0 AND BSD-3-Clause")
+    assert e.choices == {frozenset(["MIT"]), frozenset(["Apache-2.0", "BSD-3-Clause"])}
+    e = licenses.parse_expression("(MIT or Apache-2.0) and GPL-2.0 with GCC-exception")
+    assert e.choices == {frozenset(["MIT", "GPL-2.0"]), frozenset(["Apache-2.0", "GPL-2.0"])} and e.exceptions == {"GCC-exception"}
+    assert licenses.parse_expression("MIT */ int main").ids == {"MIT"}
+    for bad in ("", "AND MIT", "(MIT", "MIT OR", ")"):
+        with pytest.raises(licenses.ExpressionError):
+            licenses.parse_expression(bad)
+
+
+def test_license_scan_equals_brute_force(docs, odd, empty, clashing):
+    for r in licenses.scan_licenses(docs).join(docs, "doc_id").collect():
+        w = word_list(r["text"])
+        places = [(i, k) for p, k in licenses.BASE_PHRASES.items() for i in range(len(w)) if w[i : i + p.count(" ") + 1] == p.split()]
+        assert (r["n_words"], r["n_base"], r["base_labels"]) == (len(w), len(places), ",".join(sorted({k for _, k in places})))
+        assert (r["first_word"], r["last_word"]) == ((min(places)[0], max(places)[0]) if places else (None, None))
+    assert licenses.scan_licenses(odd).count() == 7 == licenses.scan_licenses(clashing).count() and licenses.scan_licenses(empty).count() == 0
+
+
+# ---------------------------------------------------------------- 7 mixing
+
+def test_permutations_are_permutations():
+    for n in (1, 2, 3, 5, 64, 1000, 4097):
+        for key in (1, 2**63 + 5):
+            got = mixing.permute(np.arange(n), np.full(n, n), np.full(n, key, np.uint64))
+            assert sorted(got.tolist()) == list(range(n))
+
+
+def test_targets_stop_and_share():
+    t = mixing.targets([100, 100, 1000])
+    assert t[0] == 200 and t[1] == 200 and abs(sum(t) - 1800) < 1e-6
+    assert mixing.targets([]) == [] and mixing.targets([0, 0]) == [0, 0]
+
+
+def test_mix_meets_its_targets(spark, docs):
+    from channelalign.llm.entries import op7_mix_sources
+
+    rows = op7_mix_sources(spark, SF).collect()
+    texts = {r["doc_id"]: r for r in docs.collect()}
+    sources = {}
+    for r in rows:
+        assert r["size"] == len(re.findall(r"[^\x20\x09-\x0D]+", texts[r["doc_id"]]["text"] or "")) and 0 <= r["taken"] <= 2 * r["size"]
+        sources.setdefault(texts[r["doc_id"]]["source"], []).append(r)
+    for own in sources.values():
+        assert own[0]["source_size"] == sum(r["size"] for r in own)
+        assert abs(sum(r["taken"] for r in own) - own[0]["target"]) <= 1
+    assert sorted(map(tuple, rows)) == sorted(map(tuple, op7_mix_sources(spark, SF).collect()))
+    assert len({(r["source_size"], r["target"]) for r in rows}) > 1
+
+
+def test_mixed_documents_hold_the_taken_words(docs):
+    taken = {r["doc_id"]: r["taken"] for r in mixing.mix_report(docs).collect()}
+    mixed = mixing.mixed_documents(docs)
+    assert mixed.columns == docs.columns
+    got: dict[int, int] = {}
+    for r in mixed.collect():
+        got[r["doc_id"]] = got.get(r["doc_id"], 0) + len(re.findall(r"[^\x20\x09-\x0D]+", r["text"]))
+    assert got == {k: v for k, v in taken.items() if v}
+
+
+def test_mix_edges(odd, empty, clashing):
+    rows = mixing.mix_report(odd).collect()
+    assert len(rows) == 7 and all(r["taken"] <= 2 * r["size"] for r in rows)
+    assert mixing.mix_report(empty).count() == 0 and mixing.mixed_documents(empty).count() == 0
+    assert mixing.mixed_documents(clashing).columns == clashing.columns and mixing.mixed_documents(clashing).count() > 0
+
+
+# ---------------------------------------------------------------- 8 near duplicates
+
+def brute_near(rows, threshold=0.8):
+    def grams(t):
+        w = word_list(t)
+        return frozenset(tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))) if w else frozenset()
+
+    sets = {i: grams(t) for i, t in rows}
+    links, root = dict.fromkeys(sets, 0), {i: i for i in sets}
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for a, b in itertools.combinations(sorted(sets), 2):
+        if sets[a] and len(sets[a] & sets[b]) >= threshold * len(sets[a] | sets[b]) - 1e-9:
+            links[a] += 1
+            links[b] += 1
+            root[max(find(a), find(b))] = min(find(a), find(b))
+    return {i: (find(i), links[i]) for i in sets}
+
+
+@pytest.mark.parametrize("chunk", [1_500_000, 400])
+def test_near_duplicates_equal_brute_force(spark, docs, chunk):
+    import random
+
+    rng = random.Random(4)
+    base = [f"w{rng.randrange(300)}" for _ in range(120)]
+    near = []
+    for i in range(25):
+        w = list(base)
+        for _ in range(rng.randrange(4)):
+            w[rng.randrange(120)] = f"n{rng.randrange(50)}"
+        near.append((10_000 + i, " ".join(w)))
+    rows = docs.select("doc_id", "text").unionByName(spark.createDataFrame([*near, (20_000, "one two"), (20_001, "One, two!"), (20_002, ""), (20_003, None)], "doc_id long, text string"))
+    got = {r["doc_id"]: (r["class_id"], r["n_links"]) for r in near_dup.near_duplicates(rows, chunk_shingles=chunk, sent_rows=10 if chunk == 400 else 1_000_000).collect()}
+    want = brute_near([(r[0], r[1]) for r in rows.collect()])
+    assert got == want and got[20_001] == (20_000, 1) and got[20_003] == (20_003, 0)
+
+
+def test_pruning_bound():
+    least = near_dup.least_matches(0.8, 36, 360, 1e-7)
+    assert all(0 < least[n] < 0.8 * n for n in (72, 360)) and list(least) == list(range(36, 361, 36))
+
+
+def test_near_duplicates_edges(odd, empty, clashing):
+    assert near_dup.near_duplicates(empty).count() == 0
+    rows = near_dup.near_duplicates(odd).collect()
+    assert len(rows) == 7 and len({r["class_id"] for r in rows if r["doc_id"] in (3, None)}) == 1
+    assert near_dup.near_duplicates(clashing).count() == 7
+
+
+def test_components(spark):
+    edges = [(i, i + 1) for i in range(40)] + [(100, i) for i in range(101, 130)] + [(7, 7), (200, 150)]
+    got = {r["vertex"]: r["component"] for r in connected(spark.createDataFrame(edges, "u long, v long")).collect()}
+    assert all(got[i] == 0 for i in range(41)) and all(got[i] == 100 for i in range(100, 130)) and got[200] == got[150] == 150 and len(got) == 73
+
+
+# ---------------------------------------------------------------- 6 personal data
+
+def brute_pii(text):
+    out = []
+    for kind, pattern in enumerate((r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", r"[0-9]([\x20-]?[0-9])+", r"\+[0-9][\x20().0-9-]+[0-9]")):
+        for m in re.finditer(pattern, text):
+            digits = re.sub("[^0-9]", "", m[0])
+            good = [True, all(int(p) <= 255 for p in m[0].split(".")) if kind == 1 else True, 12 <= len(digits) <= 19 and pii.luhn(digits), 9 <= len(digits) <= 15][kind]
+            if good:
+                out.append((m.start(), m.end(), kind))
+    return sorted(out, key=lambda s: (s[0], s[2]))
+
+
+def test_base_spans_equal_the_patterns(docs):
+    texts = [r["text"] or "" for r in docs.collect()]
+    texts += ["a@b.c@d.e x_@y.zz", "1.2.3.4.5.6.7.8 999.1.1.1 1.2.3", "+1 (212) 555-0147, +44 20 7946 0958.", "4111 1111 1111 1111 4111-1111-1111-1112", "éa.b@c.d \U0001F600 10.0.0.1", "@@ a@ @b.c", "00010.1.1.1"]
+    for t in texts:
+        assert pii.base_spans(t) == brute_pii(t), t[:80]
+
+
+def test_added_spans():
+    base, every = pii.scan_texts(["call me at 212-555-0147 please, write bob@intranet or see +1 (212) 555-0147"])[0]
+    assert [k for _, _, k in base] == [3] and sorted(k for _, _, k in every) == [0, 3, 3] and set(base) <= set(every)
+    for clean in ("version 2.0.1 at 10:30", "in 2019 2020 2021", "token = \"0e8f2a\" thing", "licensed under 4.0", ""):
+        assert pii.scan_texts([clean])[0] == ([], [])
+    assert "[EMAIL]" in pii.redact("mail a.b@c.de now") and "a.b@" not in pii.redact("mail a.b@c.de now")
+
+
+def test_pii_edges(odd, empty, clashing):
+    assert pii.find_personal_data(odd).count() == 7 == pii.find_personal_data(clashing).count() and pii.find_personal_data(empty).count() == 0
+
+
+# ---------------------------------------------------------------- fields
+
+def test_marginals_equal_enumeration():
+    rng = np.random.default_rng(0)
+    odds, trans, start = rng.normal(0, 2, 9), rng.normal(0, 1, (2, 2)), rng.normal(0, 1, 2)
+    first = np.array([1, 0, 0, 0, 1, 0, 1, 0, 0], bool)
+    got, pairs = marginals(odds, first, trans, start)
+    want, moved = np.zeros(9), np.zeros((2, 2))
+    for begin, stop in ((0, 4), (4, 6), (6, 9)):
+        total, mass, edge = 0.0, np.zeros(stop - begin), np.zeros((2, 2))
+        for y in itertools.product((0, 1), repeat=stop - begin):
+            w = np.exp(start[y[0]] + sum(odds[begin + i] for i, s in enumerate(y) if s) + sum(trans[a, b] for a, b in itertools.pairwise(y)))
+            total += w
+            mass += w * np.array(y)
+            for a, b in itertools.pairwise(y):
+                edge[a, b] += w
+        want[begin:stop] = mass / total
+        moved += edge / total
+    assert np.allclose(got, want) and np.allclose(pairs[:2], moved)
+    long = rng.normal(0, 2, 1000)
+    ones = np.zeros(1000, bool)
+    ones[0] = True
+    alone, _ = marginals(long[:300], ones[:300], trans, start)
+    assert np.isfinite(marginals(long * 20, ones, trans, start)[0]).all() and len(alone) == 300
+
+
+def test_viterbi_equals_enumeration():
+    rng = np.random.default_rng(1)
+    for _ in range(30):
+        lengths = rng.integers(0, 5, 4)
+        emit, trans = rng.normal(0, 1, (lengths.sum(), 3)), rng.normal(0, 1, (3, 3))
+        got, at = viterbi(emit, lengths, trans), 0
+        for n in lengths:
+            if n:
+                best = max(itertools.product(range(3), repeat=int(n)), key=lambda y: sum(emit[at + i, s] for i, s in enumerate(y)) + sum(trans[a, b] for a, b in itertools.pairwise(y)))
+                assert got[at : at + n].tolist() == list(best)
+            at += n
+
+
+# ---------------------------------------------------------------- 1 toxicity
+
+def test_toxicity_on_held_out_rows(spark):
+    big = "/root/testdata/sf0.01"
+    docs, labels = spark.read.parquet(f"{big}/documents.parquet"), spark.read.parquet(f"{big}/labels.parquet")
+    scored = toxicity.score_toxicity(docs, toxicity.fit(docs, labels)).join(labels, "doc_id").where(toxicity.held_out()).select("score", "predicted", "toxic").collect()
+    good, bad = [r["score"] for r in scored if r["toxic"]], [r["score"] for r in scored if not r["toxic"]]
+    auc = np.mean([(a > b) + 0.5 * (a == b) for a in good for b in bad])
+    assert auc > 0.9 and np.mean([r["predicted"] == r["toxic"] for r in scored]) > 0.9
+
+
+def test_toxicity_spans_and_edges(spark, odd, empty, clashing):
+    texts = [f"é you utter calm words {i} of a day {i * 7}" for i in range(60)]  # all but one word are in both classes
+    texts += [f"é you utter grobian {i} of a day {i * 3}" for i in range(60)]
+    model = toxicity.train(texts, [0] * 60 + [1] * 60)
+    rows = toxicity.score_toxicity(spark.createDataFrame([(1, "éé what a grobian he is"), (2, "calm words"), (3, None)], "doc_id long, text string"), model).orderBy("doc_id").collect()
+    assert rows[0]["predicted"] == 1 and rows[1]["predicted"] == 0 and 0 <= rows[2]["score"] <= 1
+    assert any("éé what a grobian he is"[s["start"] : s["stop"]] == "grobian" for s in rows[0]["spans"])
+    assert toxicity.score_toxicity(odd, model).count() == 7 == toxicity.score_toxicity(clashing, model).count()
+    assert toxicity.score_toxicity(empty, toxicity.fit(empty, spark.createDataFrame([], "doc_id long, toxic int"))).count() == 0
+    assert toxicity.train([], []).head.shape == (5,) and toxicity.train(["a"], [1]).head[0] > 0
+
+
+# ---------------------------------------------------------------- 10 token counts
+
+def test_token_counts_equal_the_tokenizer(docs):
+    import sentencepiece
+    from tokenizers import Tokenizer, models
+
+    sp, mine = sentencepiece.SentencePieceProcessor(model_file=UNIGRAM), token_counts.counter(UNIGRAM)
+    vocabulary = [(sp.id_to_piece(i), sp.get_score(i) if sp.id_to_piece(i) in mine.scores else 0.0) for i in range(sp.get_piece_size())]
+    exact = Tokenizer(models.Unigram(vocabulary, unk_id=0, byte_fallback=True))
+    texts = [r["text"] or "" for r in docs.limit(60).collect()] + ["", "  a   b ", "x\n\ny", "naïve 日本語 ☃ \U0001F642", "▁▁ a", "\t tab", "x\x1ey z"]
+    want = [len(exact.encode("▁" + t.replace(" ", "▁"), add_special_tokens=False).ids) if t else 0 for t in texts]
+    assert [int(mine.count(pa.array([t]))[0][0]) for t in texts] == want
+    assert mine.count(pa.array(texts))[0].tolist() == want
+
+
+def test_ties_take_the_longest_last_piece():
+    pieces = [("▁", -1.0), ("a", -1.0), ("b", -1.0), ("ab", -2.0), ("▁a", -2.0)]
+    # all ways of "▁ab" score -3: the path with the longest last piece stays
+    assert token_counts.UnigramCounter.of(pieces).solve(["▁ab"]) == [(2, -3.0)]
+
+
+def test_token_count_edges(odd, empty, clashing):
+    assert token_counts.count_tokens(odd, UNIGRAM).count() == 7 == token_counts.count_tokens(clashing, UNIGRAM).count() and token_counts.count_tokens(empty, UNIGRAM).count() == 0
+
+
+# ---------------------------------------------------------------- 5 pages
+
+PAGE = """<!DOCTYPE html><html><head><title>t</title><style>p{{}}</style><script>var a="</p>";</script></head><body><header class="site-header">Site</header>
+<nav><ul><li><a href="/a">Menu</a></ul></nav><div class="ad">Buy</div><div class="cookie-notice">Cookies</div>
+<article><header><h1>Title {0}</h1></header><p>First &amp; <b>bold</b>
+ text {0}.<br>Next<p>Second&nbsp;one<ul><li>x{0}<li>y</ul></article>
+<aside>Side</aside><div id="comments"><article class="comment"><p>I agree</p></article></div><form><p>Name</p></form><footer>&copy; me</footer></body></html>"""
+
+
+def test_page_text():
+    assert html_text.Page(PAGE.format(7)).text() == "Title 7\nFirst & bold text 7. Next\nSecond one\nx7\ny"
+    assert html_text.Page("").text() == "" and html_text.Page("just words").text() == "just words"
+    assert html_text.Page("<article><p>cut of").text() == "cut of" and html_text.Page("<article><p>a<p>b</p").text() == "a\nb"
+
+
+def test_template_of_a_host(spark):
+    made = lambda h, n: f"<html><body><div class=top>Welcome to {h}</div><div class=body><p>Story {n} of {h}</p><p>More {n * n}</p></div><div class=x><a href=1>one</a> <a href=2>two</a></div></body></html>"
+    rows = [(n, f"http://h{n % 2}.example.com/{n}", made(f"h{n % 2}", n)) for n in range(40)] + [(90, None, None), (91, "http://lone.example.com/", "<p>alone</p>"), (None, "x", "")]
+    got = {r["page_id"]: (r["text"], r["n_chars"]) for r in html_text.extract_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got[6] == ("Story 6 of h0\nMore 36", 21) and got[91] == ("alone", 5) and got[90] == ("", 0) and len(got) == 43
+
+
+def test_pages_of_the_table(spark):
+    import html as escapes
+
+    pages = spark.read.parquet(f"{SF}/pages.parquet")
+    got = {r["page_id"]: r["text"] for r in html_text.extract_text(pages).collect()}
+    for r in pages.collect():
+        body = re.sub(r"<[^>]*$", "", r["html"].partition("<article>")[2].partition("</article>")[0])
+        blocks = [re.sub(r"\s+", " ", escapes.unescape(re.sub(r"<[^>]*>", "", re.sub("<br>", " ", b)))).strip() for b in re.split(r"</?(?:h1|p)>", body)]
+        assert got[r["page_id"]] == "\n".join(b for b in blocks if b)
+    assert html_text.extract_text(pages.limit(0)).count() == 0
+
+
+# ---------------------------------------------------------------- pipeline
+
+def test_pipeline_stages(spark, docs):
+    import corpus_pipeline
+
+    stages, kept = dict(corpus_pipeline.STAGES), {}
+    now = docs
+    for name, stage in corpus_pipeline.STAGES:
+        before, now = now, stage(spark, now, SF)
+        now = now.cache()
+        kept[name] = (before, now)
+        assert name == "token_files" or now.columns == docs.columns
+    before, after = kept["near_duplicates"]
+    groups = brute_near([(r["doc_id"], r["text"]) for r in before.collect()])
+    assert sorted(r["doc_id"] for r in after.collect()) == sorted({g for g, _ in groups.values()})
+    before, after = kept["decontamination"]
+    leaks = brute_leaks([(r["doc_id"], r["text"]) for r in before.collect()], [(r[0], r[1]) for r in spark.read.parquet(f"{SF}/benchmark.parquet").collect()])
+    assert sorted(r["doc_id"] for r in after.collect()) == sorted(k for k, v in leaks.items() if not v[1])
+    before, after = kept["token_files"]
+    assert after.count() == before.count() and len(stages) == 5
+    assert after.agg(F.sum("n_tokens")).first()[0] == after.agg(F.max(F.col("start") + F.col("n_tokens"))).first()[0]
+
+
+def test_pipeline_stages_on_odd_tables(spark, odd, empty, clashing):
+    import corpus_pipeline
+
+    for frame in (odd, empty, clashing):
+        now = frame
+        for _, stage in corpus_pipeline.STAGES:
+            now = stage(spark, now, SF)
+        now.count()
