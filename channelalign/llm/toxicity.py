@@ -9,6 +9,7 @@ numbers, and a logistic model turns them into its score.
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -30,6 +31,7 @@ _STEMS = (4, 6)
 #: Least likelihood-ratio statistic of a form that marks tokens: rare forms that met toxic documents by chance stay below.
 SURE = 24.0
 _BATCH = 1 << 20
+_GROUP = 250
 
 
 def _piece(summed: np.ndarray, inverse: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -69,6 +71,17 @@ class ToxicityModel:
     field: BinaryCRF
     head: np.ndarray
 
+    def __getstate__(self):
+        """Weights travel as the few that training has set."""
+        used = np.flatnonzero(self.field.weights).astype(np.int32)
+        return used, self.field.weights[used], self.field.transition, self.field.start, self.head
+
+    def __setstate__(self, state) -> None:
+        used, values, transition, start, self.head = state
+        weights = np.zeros(TABLE, np.float32)
+        weights[used] = values
+        self.field = BinaryCRF(weights, transition, start)
+
     def score(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """(score of each text, chance of each token, index of its text, start and end byte)."""
         features, owner, a, b = token_features(data, offsets)
@@ -117,14 +130,20 @@ def train(texts: list[str], toxic: list[int]) -> ToxicityModel:
         head = np.zeros(5)
         head[0] = 0.0 if not len(y) else 4.0 if y.all() else -4.0
         return ToxicityModel(BinaryCRF(np.zeros(TABLE, np.float32), np.zeros((2, 2)), np.zeros(2)), head)
-    raw = [t.encode("utf-8", "replace") for t in texts]
-    data, offsets = np.frombuffer(b"".join(raw), np.uint8), np.cumsum([0, *map(len, raw)])
-    features, owner, _, _ = token_features(data, offsets)
-    used, features = np.unique(features, return_inverse=True)  # training needs the weights of what it has seen only
-    features = features.reshape(len(owner), -1).astype(np.int32)
+    # Texts are read in groups, so that only the tokens' feature numbers are held for all of them.
+    pieces, owners = [], []
+    for i in range(0, len(texts), _GROUP):
+        raw = [t.encode("utf-8", "replace") for t in texts[i : i + _GROUP]]
+        found, own, _, _ = token_features(np.frombuffer(b"".join(raw), np.uint8), np.cumsum([0, *map(len, raw)]))
+        pieces.append(found)
+        owners.append((own + i).astype(np.int32))
+    owner, used = np.concatenate(owners), np.unique(np.concatenate([np.unique(p) for p in pieces]))
+    # Training needs the weights of what it has seen only.
+    features = np.concatenate([np.searchsorted(used, p).astype(np.int32) for p in pieces])
+    del pieces, owners
     label, of_use = label_tokens(features, len(used), owner, y)
     parts, at = [], np.flatnonzero(of_use[owner])
-    bounds = np.searchsorted(owner[at], np.arange(0, len(y) + 250, 250))
+    bounds = np.searchsorted(owner[at], np.arange(0, len(y) + _GROUP, _GROUP))
     for lo, hi in zip(bounds[:-1], bounds[1:], strict=True):
         if hi > lo:
             own = at[lo:hi]
@@ -153,9 +172,15 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     chosen = [usable.where(F.col("_toxic") == k).orderBy(order, "_label_id").limit(n) for k, n in ((1, most_toxic), (0, most_clean))]
     sample = chosen[0].unionByName(chosen[1])  # at most most_toxic + most_clean rows: safe to broadcast
     text = F.coalesce(F.col(text_col), F.lit(""))
-    rows = docs.select(F.col(id_col).alias("_id"), text.alias("_text")).where(F.octet_length("_text") <= LONGEST).join(F.broadcast(sample), F.col("_id") == F.col("_label_id")).select("_id", "_text", "_toxic").collect()
-    rows.sort(key=lambda r: (r["_id"], r["_text"], r["_toxic"]))
-    return train([r["_text"] for r in rows], [r["_toxic"] for r in rows])
+    rows = docs.select(F.col(id_col).alias("_id"), text.alias("_text")).where(F.octet_length("_text") <= LONGEST).join(F.broadcast(sample), F.col("_id") == F.col("_label_id")).select("_id", "_text", "_toxic")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        given = sorted((r["_id"], r["_text"], r["_toxic"]) for batch in batches for r in batch.to_pylist())
+        yield pa.RecordBatch.from_pydict({"model": [pickle.dumps(train([t for _, t, _ in given], [y for _, _, y in given]))]})
+
+    # The sample is bounded, so one task holds it; the driver gets the weights only.
+    made = rows.repartition(1).mapInArrow(run, "model binary").first()
+    return pickle.loads(made["model"]) if made else train([], [])
 
 
 def score_toxicity(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.5, keep: tuple[str, ...] = ()) -> DataFrame:
