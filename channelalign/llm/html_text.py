@@ -32,6 +32,8 @@ LEAST_PAGES, LEAST_SHARE = 8, 0.8
 LINKED = 0.5
 #: Rows of template facts that are sent to every executor; beyond it they are joined to the pages by host.
 SENT_ROWS = 200_000
+#: Parts over which a host's pages are dealt when its classes are joined to them.
+SALTS = 16
 
 # Element names by role, and words in class, id or role attributes of boilerplate.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -228,6 +230,11 @@ def classes_of(pages: DataFrame) -> DataFrame:
     return members.select("host", "token", "kind", F.coalesce("class_size", F.lit(0)).alias("class_size"), F.coalesce("has_tag", F.lit(0)).alias("has_tag"), F.xxhash64(F.col("vector").cast("string")).alias("class"), "pages", "host_pages", "words", "linked")
 
 
+def _places(page: Page) -> list[int]:
+    """The page's distinct tokens in the order of their first places."""
+    return list(dict.fromkeys([*map(_token, page.tags), *(_token(f"{b[1]}\0{b[0]}") for b in page.blocks)]))
+
+
 def _orders(facts: dict[str, dict[int, int]]):
     """For each page and class, the order of the first places of its tokens; their least and largest hash by host and class."""
 
@@ -238,10 +245,8 @@ def _orders(facts: dict[str, dict[int, int]]):
             if not wanted:
                 continue
             order: dict[int, list[int]] = {}
-            seen = set()
-            for token in [*map(_token, page.tags), *(_token(f"{b[1]}\0{b[0]}") for b in page.blocks)]:
-                if token in wanted and token not in seen:
-                    seen.add(token)
+            for token in _places(page):
+                if token in wanted:
                     order.setdefault(wanted[token], []).append(token)
             for name, tokens in order.items():
                 h = _token(",".join(map(str, tokens)))
@@ -253,6 +258,36 @@ def _orders(facts: dict[str, dict[int, int]]):
     return run
 
 
+def _placed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """host, page, token, place of every distinct token of every page."""
+    columns: list[list] = [[], [], [], []]
+
+    def out() -> pa.RecordBatch:
+        kinds = [pa.string(), pa.int64(), pa.int64(), pa.int32()]
+        batch = pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["host", "page", "token", "place"])
+        for c in columns:
+            c.clear()
+        return batch
+
+    for batch, n, host, page, _ in _pages(batches):
+        tokens = _places(page)
+        for c, values in zip(columns, ([host] * len(tokens), [batch.column("_row")[n].as_py()] * len(tokens), tokens, range(len(tokens))), strict=True):
+            c.extend(values)
+        if len(columns[0]) > 100_000:
+            yield out()
+    yield out()
+
+
+def _joined_orders(pages: DataFrame, members: DataFrame) -> DataFrame:
+    """The same as _orders() for members (host, token, class) of any number: they meet the pages' tokens in a shuffle. A host's pages are dealt over SALTS parts."""
+    salt = lambda row: F.pmod(row, F.lit(SALTS)).cast("int")
+    placed = pages.withColumn("_row", F.monotonically_increasing_id()).mapInArrow(_placed, "host string, page long, token long, place int").withColumn("salt", salt(F.col("page")))
+    spread = members.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    order = placed.join(spread, ["host", "token", "salt"]).groupBy("host", "class", "page").agg(F.array_sort(F.collect_list(F.struct("place", "token"))).alias("order"))
+    hashed = F.xxhash64(F.transform("order", lambda x: x["token"]))
+    return order.select("host", "class", hashed.alias("low"), hashed.alias("high"))
+
+
 def templates(pages: DataFrame) -> DataFrame:
     """(host, constant, menus): token hashes of template text blocks, and of slots that are menus, for hosts that have any.
 
@@ -262,15 +297,17 @@ def templates(pages: DataFrame) -> DataFrame:
     """
     facts = written(classes_of(pages), "classes")
     texts = facts.where("kind = 'text' AND class_size > 1")
-    few = texts.count()
-    if few and few <= SENT_ROWS:
+    members = facts.where("kind <> 'slot'").join(texts.select("host", "class").distinct(), ["host", "class"], "left_semi").select("host", "token", "class")
+    rows = members.limit(SENT_ROWS + 1).collect()
+    if len(rows) <= SENT_ROWS:
         by_host: dict[str, dict[int, int]] = {}
-        rows = facts.where("kind <> 'slot'").join(F.broadcast(texts.select("host", "class").distinct()), ["host", "class"], "left_semi").limit(10 * SENT_ROWS + 1).collect()
-        if len(rows) <= 10 * SENT_ROWS:
-            for r in rows:
-                by_host.setdefault(r["host"], {})[r["token"]] = r["class"]
-            order = pages.mapInArrow(_orders(by_host), "host string, class long, low long, high long").groupBy("host", "class").agg(F.min("low").alias("low"), F.max("high").alias("high")).where("low = high")
-            texts = texts.join(order.select("host", "class"), ["host", "class"], "left_semi")
+        for r in rows:
+            by_host.setdefault(r["host"], {})[r["token"]] = r["class"]
+        order = pages.mapInArrow(_orders(by_host), "host string, class long, low long, high long")
+    else:
+        order = _joined_orders(pages, members)
+    valid = order.groupBy("host", "class").agg(F.min("low").alias("low"), F.max("high").alias("high")).where("low = high")
+    texts = texts.join(valid.select("host", "class"), ["host", "class"], "left_semi")
     menus = facts.where((F.col("kind") == "slot") & (F.col("linked") > LINKED * F.col("words")))
     marked = texts.select("host", "token", F.lit("text").alias("kind")).unionByName(menus.select("host", "token", F.lit("slot").alias("kind")))
     return marked.groupBy("host").agg(F.collect_list(F.when(F.col("kind") == "text", F.col("token"))).alias("constant"), F.collect_list(F.when(F.col("kind") == "slot", F.col("token"))).alias("menus"))

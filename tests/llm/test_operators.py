@@ -487,6 +487,16 @@ def test_pages_of_the_table(spark):
     assert html_text.extract_text(pages.limit(0)).count() == 0
 
 
+def test_classes_of_unstable_order_stay_at_every_size(spark, monkeypatch):
+    two = ["<p>Alpha block</p>", "<p>Beta block</p>"]
+    rows = [(n, f"http://turns.example.com/{n}", f"<div class=top>Welcome</div><div class=low>Bye</div><div class=body>{''.join(2 * two[:: 1 - 2 * (n % 2)])}<p>Story {n}</p></div>") for n in range(40)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3)
+    want = {n: "\n".join([*2 * ["Alpha block", "Beta block"][:: 1 - 2 * (n % 2)], f"Story {n}"]) for n in range(40)}
+    for most in (html_text.SENT_ROWS, 0):
+        monkeypatch.setattr(html_text, "SENT_ROWS", most)
+        assert {r["page_id"]: r["text"] for r in html_text.extract_text(pages).collect()} == want
+
+
 # ---------------------------------------------------------------- pipeline
 
 def test_pipeline_stages(spark, docs):
