@@ -3,9 +3,11 @@
 A page is read as a sequence of tokens: every start tag with the chain of elements around it, and every text
 block with its chain. Tokens of one host that have the same occurrence vector (how often each page has them) form
 an equivalence class. A class is valid when it is on many pages and its tokens stand in the same order on every
-page; valid classes nest by their chains and make the host's template. What stands between template tokens is a
-slot: its chain. Text blocks that belong to the template are boilerplate; slots are told apart by the elements
-around them and by their share of linked words; the main slots' blocks make a page's text.
+page; the valid classes together make the host's template. They are not nested into one another: a slot is a
+chain that holds text, not a gap between tokens of a class, and which slots are main follows from fixed element
+names and class words and from their share of linked words. Text blocks outside of main elements that belong to the
+template are boilerplate; the main slots' blocks make a page's text. On hosts without article or main elements,
+blocks that vary by page and have unlisted names are therefore returned, whatever they hold.
 
 Vectors are never laid out: a token's vector is represented by sums over pages of 64-bit page hashes times
 counts, so that a class is a group of equal sums and everything aggregates before it is shuffled.
@@ -225,9 +227,9 @@ def classes_of(pages: DataFrame) -> DataFrame:
     wrapped = F.pmod(F.col("vector"), F.lit(Decimal(2**64)))
     totals = sums.where("kind = 'pages'").select("host", F.col("pages").alias("host_pages"))
     frequent = sums.where("kind <> 'pages'").join(totals, "host").where((F.col("pages") >= LEAST_PAGES) & (F.col("pages") >= LEAST_SHARE * F.col("host_pages"))).withColumn("vector", wrapped)
-    groups = frequent.where("kind <> 'slot'").groupBy("host", "vector").agg(F.count(F.lit(1)).alias("class_size"), F.max((F.col("kind") == "tag").cast("int")).alias("has_tag"))
-    members = frequent.join(groups.select("host", F.col("vector").alias("_v"), "class_size", "has_tag"), (F.col("vector") == F.col("_v")) & (frequent["host"] == groups["host"]), "left").drop(groups["host"])
-    return members.select("host", "token", "kind", F.coalesce("class_size", F.lit(0)).alias("class_size"), F.coalesce("has_tag", F.lit(0)).alias("has_tag"), F.xxhash64(F.col("vector").cast("string")).alias("class"), "pages", "host_pages", "words", "linked")
+    groups = frequent.where("kind <> 'slot'").groupBy("host", "vector").agg(F.count(F.lit(1)).alias("class_size"))
+    members = frequent.join(groups.select("host", F.col("vector").alias("_v"), "class_size"), (F.col("vector") == F.col("_v")) & (frequent["host"] == groups["host"]), "left").drop(groups["host"])
+    return members.select("host", "token", "kind", F.coalesce("class_size", F.lit(0)).alias("class_size"), F.xxhash64(F.col("vector").cast("string")).alias("class"), "pages", "host_pages", "words", "linked")
 
 
 def _places(page: Page) -> list[int]:
@@ -291,8 +293,8 @@ def _joined_orders(pages: DataFrame, members: DataFrame) -> DataFrame:
 def templates(pages: DataFrame) -> DataFrame:
     """(host, constant, menus): token hashes of template text blocks, and of slots that are menus, for hosts that have any.
 
-    A text block is template if its class is valid: it holds tags (or further blocks) of the template and keeps
-    one order on all pages. Slots outside of main elements count as menus by their share of linked words over the
+    A text block is template if its class is valid: it has two or more tokens (tags or blocks), which keep one
+    order on all pages. Slots outside of main elements count as menus by their share of linked words over the
     whole host.
     """
     facts = written(classes_of(pages), "classes")
