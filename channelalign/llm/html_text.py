@@ -158,10 +158,10 @@ class Page:
         flush()
 
     def text(self, constant: frozenset[int] = frozenset(), menus: frozenset[int] = frozenset()) -> str:
-        """The blocks of the main slots. constant: hashes of (chain, text) that are template; menus: hashes of chains of linked slots."""
-        usable = [b for b in self.blocks if not b[2] and _token(f"{b[1]}\0{b[0]}") not in constant]
+        """The blocks of the main slots. constant: hashes of (chain, text) that are template, outside of main elements; menus: hashes of chains of linked slots."""
+        usable = [b for b in self.blocks if not b[2]]
         inside = [b for b in usable if b[3]]
-        chosen = inside or [b for b in usable if _token(b[1]) not in menus and b[5] <= LINKED * b[4]]
+        chosen = inside or [b for b in usable if _token(f"{b[1]}\0{b[0]}") not in constant and _token(b[1]) not in menus and b[5] <= LINKED * b[4]]
         return "\n".join(b[0] for b in chosen)
 
 
@@ -197,8 +197,8 @@ def _tokens(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for text, chain, aside, main, n, linked in page.blocks:
             if aside:
                 continue  # left out whatever the template says
-            counts.setdefault((_token(f"{chain}\0{text}"), "text"), [0, 0, 0])[0] += 1
-            if not main:
+            if not main:  # text of main elements is never template
+                counts.setdefault((_token(f"{chain}\0{text}"), "text"), [0, 0, 0])[0] += 1
                 slot = counts.setdefault((_token(chain), "slot"), [0, 0, 0])
                 slot[0] += 1
                 slot[1] += n
@@ -234,7 +234,7 @@ def classes_of(pages: DataFrame) -> DataFrame:
 
 def _places(page: Page) -> list[int]:
     """The page's distinct tokens in the order of their first places."""
-    return list(dict.fromkeys([*map(_token, page.tags), *(_token(f"{b[1]}\0{b[0]}") for b in page.blocks)]))
+    return list(dict.fromkeys([*map(_token, page.tags), *(_token(f"{b[1]}\0{b[0]}") for b in page.blocks if not b[3])]))
 
 
 def _orders(facts: dict[str, dict[int, int]]):

@@ -497,6 +497,12 @@ def test_classes_of_unstable_order_stay_at_every_size(spark, monkeypatch):
         assert {r["page_id"]: r["text"] for r in html_text.extract_text(pages).collect()} == want
 
 
+def test_copies_of_an_article_keep_their_text(spark):
+    rows = [(n, f"http://copies.example.com/a?print={n}", "<div class=top>Welcome</div><div class=low>Bye</div><article><h1>Title</h1><p>One</p><p>Two</p></article>") for n in range(20)]
+    got = html_text.extract_text(spark.createDataFrame(rows, "page_id long, url string, html string")).select("text").distinct().collect()
+    assert [r["text"] for r in got] == ["Title\nOne\nTwo"]
+
+
 # ---------------------------------------------------------------- pipeline
 
 def test_pipeline_stages(spark, docs):
