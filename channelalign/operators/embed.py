@@ -33,13 +33,16 @@ def series(binned: DataFrame, n_bins: int) -> DataFrame:
     return v.withColumn("i", (F.row_number().over(Window.orderBy("channel", "entity")) - 1).cast("long")).withColumn("n_bins", F.lit(n_bins))
 
 
-def _distance(bins_x, counts_x, bins_y, counts_y, n_bins: int, band: int | None) -> float:
-    x, y = dtw.compress(bins_x, counts_x, n_bins), dtw.compress(bins_y, counts_y, n_bins)
+def _apart(x: tuple[np.ndarray, np.ndarray], y: tuple[np.ndarray, np.ndarray], n_bins: int, band: int | None) -> float:
     if band is None and (len(x[0]) + len(y[0])) * 4 < 2 * n_bins:
         return dtw.run_distance(x, y)
     return dtw.distance(np.repeat(*x), np.repeat(*y), band)
 
 
+def _distance(bins_x, counts_x, bins_y, counts_y, n_bins: int, band: int | None) -> float:
+    return _apart(dtw.compress(bins_x, counts_x, n_bins), dtw.compress(bins_y, counts_y, n_bins), n_bins, band)
+
+
 def affinity(vectors: DataFrame, tau: float, band: int | None = None, blocks: int = 8) -> DataFrame:
     """(i, j, w), i < j: exp(-distance / tau). Blocks of series meet each other once; a task holds two blocks."""
     if tau <= 0:
@@ -49,16 +52,17 @@ def affinity(vectors: DataFrame, tau: float, band: int | None = None, blocks: in
     v = v.withColumn("o", grid).withColumns({"p": F.least("b", "o"), "q": F.greatest("b", "o")})
 
     def meet(group: pd.DataFrame) -> pd.DataFrame:
-        p, q = int(group["p"].iloc[0]), int(group["q"].iloc[0])
+        p, q, n_bins = int(group["p"].iloc[0]), int(group["q"].iloc[0]), int(group["n_bins"].iloc[0])
+        forms: dict[tuple, int] = {}  # equal series are warped once
+        group = group.assign(form=[forms.setdefault((tuple(x), tuple(y)), len(forms)) for x, y in zip(group["bins"], group["cnts"], strict=True)])
+        runs = [dtw.compress(np.array(x), np.array(y), n_bins) for x, y in forms]
         left, right = group[group["b"] == p], group[group["b"] == q]
-        out = []
-        for x in left.itertuples():
-            for y in right.itertuples():
-                if (p == q and x.i >= y.i) or x.i == y.i:
-                    continue
-                d = _distance(np.array(x.bins), np.array(x.cnts), np.array(y.bins), np.array(y.cnts), int(x.n_bins), band)
-                out.append((min(x.i, y.i), max(x.i, y.i), float(np.exp(-d / tau))))
-        return pd.DataFrame(out, columns=["i", "j", "w"]).astype({"i": "int64", "j": "int64", "w": "float64"})
+        (rows, row), (columns, column) = np.unique(left["form"], return_inverse=True), np.unique(right["form"], return_inverse=True)
+        d = np.array([_apart(runs[x], runs[y], n_bins, band) for x in rows for y in columns]).reshape(len(rows), len(columns))
+        i, j = np.meshgrid(left["i"].to_numpy(), right["i"].to_numpy(), indexing="ij")
+        kept = i < j if p == q else np.ones(i.shape, bool)
+        w = np.exp(-d / tau)[row[:, None], column[None]]
+        return pd.DataFrame({"i": np.minimum(i, j)[kept], "j": np.maximum(i, j)[kept], "w": w[kept]}).astype({"i": "int64", "j": "int64", "w": "float64"})
 
     return v.groupBy("p", "q").applyInPandas(meet, "i long, j long, w double")
 
@@ -78,14 +82,16 @@ def _eigen(w: np.ndarray, p: int, zero: float) -> tuple[np.ndarray, np.ndarray]:
     return chosen * np.where(peak < 0, -1.0, 1.0), values[first : first + p]
 
 
-def eigenmap(vectors: DataFrame, p: int, tau: float, band: int | None = None, zero_tol: float = 1e-9, landmarks: int | None = None, seed: int = 0) -> DataFrame:
+def eigenmap(vectors: DataFrame, p: int, tau: float, band: int | None = None, zero_tol: float = 1e-9, landmarks: int | None = None, seed: int = 0, exact_to: int = 0) -> DataFrame:
     """(channel, entity, f): the entries of the first p eigenvectors of an eigenvalue above zero, ascending; the largest entry of each is positive.
 
     A graph in several parts has as many zero eigenvalues; all are skipped. landmarks: that many series, in hash
-    order, are mapped exactly; another one lies at the affinity-weighted mean of the landmarks, approximately.
+    order, are mapped exactly; another one lies at the affinity-weighted mean of the landmarks, approximately. exact_to: landmarks serve only for more series than that.
     """
     n = vectors.count()
     spark = vectors.sparkSession
+    if n <= exact_to:
+        landmarks = None
     if landmarks is None or landmarks >= n:
         if n > MOST_SERIES:
             raise ValueError(f"{n} series are over {MOST_SERIES}: choose a number of landmarks")
@@ -98,8 +104,9 @@ def eigenmap(vectors: DataFrame, p: int, tau: float, band: int | None = None, ze
         chosen = vectors.join(F.broadcast(spark.createDataFrame([(x[0],) for x in names], "i long")), "i", "left_semi")
     place = {x[0]: k for k, x in enumerate(names)}
     w = np.zeros((len(names), len(names)))
-    for r in affinity(chosen, tau, band).collect():
-        w[place[r["i"]], place[r["j"]]] = w[place[r["j"]], place[r["i"]]] = r["w"]
+    found = affinity(chosen, tau, band).toArrow()
+    i, j = (np.searchsorted([x[0] for x in names], found.column(c).to_numpy()) for c in ("i", "j"))
+    w[i, j] = w[j, i] = found.column("w").to_numpy()
     at, _ = _eigen(w, p, zero_tol)
     exact = spark.createDataFrame([(c, e, [float(x) for x in at[k]]) for k, (_, c, e) in enumerate(names)], "channel string, entity long, f array<double>")
     if landmarks is None or landmarks >= n:

@@ -24,6 +24,7 @@ BANDS = (55, 70)
 CENTROIDS = [[0.2, 0.2, 0.1], [0.5, 0.5, 0.2], [0.8, 0.8, 0.3]]
 THETAS = [-5.0, 0.0, 1.0, 5.0, 10.0, 15.0, 20.0, 30.0]
 JITTER = 31
+LANDMARKS = 400  # for more than MOST_SERIES series
 
 _registered: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 
@@ -183,17 +184,17 @@ def reduced_with_attributes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return f.select("channel", "entity", *[F.round(F.col("f")[i], 9).alias(f"f{i}") for i in range(4)])
 
 
-def _conversation_series(spark: SparkSession, sf_dir: str, most: int = 40) -> DataFrame:
+def _conversation_series(spark: SparkSession, sf_dir: str) -> DataFrame:
     from channelalign.sources.tables import load
 
-    c = load(spark, sf_dir, "conversations").where(F.col("conv_id") < most)
+    c = load(spark, sf_dir, "conversations")
     binned = c.groupBy(F.col("role").alias("channel"), F.col("conv_id").alias("entity"), F.col("turn").alias("bin")).agg(F.count(F.lit(1)).alias("cnt"))
     return embed.series(binned, 32)
 
 
 @query
 def dtw_small(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Affinity of short series: conversations as entities, roles as channels, turns as bins."""
+    """Affinity of short series: all conversations as entities, roles as channels, turns as bins. The rows grow with the square of the series."""
     return rounded(embed.affinity(_conversation_series(spark, sf_dir), 5.0))
 
 
@@ -203,9 +204,16 @@ def laplacian_small(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(embed.laplacian(w))
 
 
+@query
+def laplacian_conversations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The Laplacian of the affinity of all conversations; laplacian_small is the fixed graph that its SQL has."""
+    return rounded(embed.laplacian(embed.affinity(_conversation_series(spark, sf_dir), 5.0)))
+
+
 @query
 def eigenmap_small(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _flat(embed.eigenmap(_conversation_series(spark, sf_dir), 3, 5.0))
+    """All conversations: exact up to MOST_SERIES series, by LANDMARKS of them (approximate) beyond."""
+    return _flat(embed.eigenmap(_conversation_series(spark, sf_dir), 3, 5.0, landmarks=LANDMARKS, exact_to=embed.MOST_SERIES))
 
 
 @query
