@@ -45,13 +45,61 @@ class ExpressionError(ValueError):
     """The tokens are no licence expression."""
 
 
-@dataclass(frozen=True)
+@dataclass(frozen=True, eq=False)
 class Expression:
-    """Licence ids of an expression, its exceptions, and the alternatives it leaves (each a set of ids that hold together)."""
+    """An id, or an operator over two expressions. Its sets are built when they are asked for, without recursion."""
+
+    name: str
+    left: Expression | None = None
+    right: Expression | None = None
+
+    def _folded(self, leaf, join):
+        """The value of the whole, from those of the ids upward."""
+        steps, values, todo = [], [], [self]
+        while todo:
+            e = todo.pop()
+            steps.append(e)
+            if e.left is not None:
+                todo += [e.left, e.right]
+        for e in reversed(steps):
+            if e.left is None:
+                values.append(leaf(e.name))
+            else:
+                right, left = values.pop(), values.pop()
+                values.append(join(e.name, left, right))
+        return values[0]
+
+    def _names(self) -> tuple[frozenset[str], frozenset[str]]:
+        ids, exceptions = set(), set()
+        todo = [(self, ids)]
+        while todo:
+            e, into = todo.pop()
+            if e.left is None:
+                if into is not None:
+                    into.add(e.name)
+            elif e.name == "WITH":
+                todo += [(e.left, into), (e.right, exceptions if into is ids else None)]
+            else:
+                todo += [(e.left, into), (e.right, into)]
+        return frozenset(ids), frozenset(exceptions)
+
+    @property
+    def ids(self) -> frozenset[str]:
+        """Licence ids."""
+        return self._names()[0]
 
-    ids: frozenset[str]
-    exceptions: frozenset[str]
-    choices: frozenset[frozenset[str]]
+    @property
+    def exceptions(self) -> frozenset[str]:
+        """What stands behind WITH."""
+        return self._names()[1]
+
+    @property
+    def choices(self) -> frozenset[frozenset[str]]:
+        """The alternatives it leaves, each a set of ids that hold together; their number can grow exponentially."""
+        def join(op: str, a: frozenset, b: frozenset) -> frozenset:
+            return a if op == "WITH" else a | b if op == "OR" else frozenset(x | y for x in a for y in b)
+
+        return self._folded(lambda name: frozenset([frozenset([name])]), join)
 
 
 def _family(identifier: str) -> str:
@@ -65,7 +113,7 @@ def parse_expression(text: str) -> Expression:
     A trailing part that cannot belong to the expression (comment ends, prose) is left out: parsing stops at the
     first token that neither continues nor closes it. Raises ExpressionError if nothing can be read.
     """
-    output: list[Expression | tuple[str, str]] = []
+    output: list[Expression] = []
     pending: list[str] = []
     expect_id = True
 
@@ -74,15 +122,11 @@ def parse_expression(text: str) -> Expression:
         if len(output) < 2:
             raise ExpressionError(f"{op} lacks an operand")
         right, left = output.pop(), output.pop()
-        if op == "WITH":
-            output.append(Expression(left.ids, left.exceptions | right.ids, left.choices))
-        elif op == "AND":
-            output.append(Expression(left.ids | right.ids, left.exceptions | right.exceptions, frozenset(a | b for a in left.choices for b in right.choices)))
-        else:
-            output.append(Expression(left.ids | right.ids, left.exceptions | right.exceptions, left.choices | right.choices))
+        output.append(Expression(op, left, right))
 
     depth = 0
-    for token in _TOKEN.findall(text)[:256]:
+    for m in _TOKEN.finditer(text):
+        token = m[0]
         op = token.upper()
         if expect_id:
             if token == "(":
@@ -91,7 +135,7 @@ def parse_expression(text: str) -> Expression:
             elif token == ")" or op in _OPERATORS:
                 raise ExpressionError(f"{token} where a licence should be")
             else:
-                output.append(Expression(frozenset([token]), frozenset(), frozenset([frozenset([token])])))
+                output.append(Expression(token))
                 expect_id = False
         elif op in _OPERATORS:
             while pending and pending[-1] != "(" and _OPERATORS[pending[-1]] >= _OPERATORS[op]:

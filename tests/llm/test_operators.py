@@ -218,6 +218,13 @@ def test_license_expressions():
             licenses.parse_expression(bad)
 
 
+def test_license_expressions_of_any_length():
+    ids = [f"Lic{chr(97 + n % 26)}{chr(97 + n // 26 % 26)}{chr(97 + n // 676)}" for n in range(3000)]
+    for line in (" AND ".join(ids), " AND ".join(f"({x} OR MIT)" for x in ids), "(" * 400 + "MIT" + ")" * 400 + " AND " + " AND ".join(ids)):
+        got = licenses.scan_text(f"SPDX-License-Identifier: {line}")
+        assert got["score"] == 1.0 and {x.lower() for x in ids} <= set(got["labels"].split(",")) and got["expressions"] == [line]
+
+
 def test_license_scan_equals_brute_force(docs, odd, empty, clashing):
     for r in licenses.scan_licenses(docs).join(docs, "doc_id").collect():
         w = word_list(r["text"])
