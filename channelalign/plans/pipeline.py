@@ -22,7 +22,7 @@ class MatchSpec:
 
 @dataclass(frozen=True)
 class AlignSpec:
-    """feature: None (no clustering), 'reduced' or 'embedded'. every_days: segments with likelihood scores, or None. score_theta: least accumulated score."""
+    """feature: None (no clustering), 'reduced' or 'embedded'. every_days: segments with likelihood scores, or None. score_theta: least accumulated score. exact_to: landmarks serve only for more series than that."""
 
     width_us: int = HOUR_US
     origin_us: int | None = None
@@ -37,6 +37,7 @@ class AlignSpec:
     dimensions: int = 3
     most_bins: int = 240
     landmarks: int | None = None
+    exact_to: int = 0
     prune: bool = False
     salts: int = 1
     most_products: int | None = None
@@ -63,7 +64,7 @@ def labels_for(events: DataFrame, binned: DataFrame, spec: AlignSpec) -> DataFra
     elif spec.feature == "embedded":
         n_bins = span(events, spec.width_us, spec.origin_us).first()["n_bins"]
         coarse, n = embed.coarsen(binned, n_bins, spec.most_bins)
-        features = embed.eigenmap(embed.series(coarse, n), spec.dimensions, spec.tau, landmarks=spec.landmarks)
+        features = embed.eigenmap(embed.series(coarse, n), spec.dimensions, spec.tau, landmarks=spec.landmarks, exact_to=spec.exact_to)
     else:
         raise ValueError(f"no feature {spec.feature}")
     return cluster.representative_clusters(features, spec.cluster)[0]

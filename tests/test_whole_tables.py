@@ -1,6 +1,10 @@
 """Registered queries run over whole tables, not over a fixed part of them."""
 
+import pytest
+
+from channelalign.operators import embed
 from channelalign.plans import register
+from conftest import SF
 
 
 def test_conversations_of_all_ids_are_warped(spark, tmp_path):
@@ -8,3 +12,16 @@ def test_conversations_of_all_ids_are_warped(spark, tmp_path):
     spark.createDataFrame(rows, "conv_id long, turn long, role string").coalesce(1).write.parquet(f"{tmp_path}/conversations.parquet")
     found = register.queries()["dtw_small"](spark, str(tmp_path)).collect()
     assert sorted((r["i"], r["j"]) for r in found) == [(0, 1), (0, 2), (1, 2)]
+
+
+def test_three_ways_map_exactly_up_to_most_series(spark, monkeypatch):
+    asked = []
+
+    def stop(vectors, p, tau, band=None, zero_tol=1e-9, landmarks=None, seed=0, exact_to=0):
+        asked.append((landmarks, exact_to))
+        raise InterruptedError
+
+    monkeypatch.setattr(embed, "eigenmap", stop)
+    with pytest.raises(InterruptedError):
+        register.queries()["pipeline_three_ways"](spark, SF)
+    assert asked == [(register.LANDMARKS, embed.MOST_SERIES)]
