@@ -68,8 +68,8 @@ def _log_density(points: np.ndarray, share: np.ndarray, means: np.ndarray, covs:
     return np.stack(out, axis=1)
 
 
-def fit_mixture(points: np.ndarray, k: int, seed: int = 0, rounds: int = 60, ridge: float = 1e-6) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Shares, means and covariances of a Gaussian mixture by expectation maximisation, started from k-means."""
+def fit_mixture(points: np.ndarray, k: int, seed: int = 0, rounds: int = 60, ridge: float = 1e-6, diagonal: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Shares, means and covariances of a Gaussian mixture by expectation maximisation, started from k-means. diagonal: covariances between dimensions are 0, for many dimensions."""
     means, total = kmeans(points, k, seed)
     k, d = len(means), points.shape[1]
     floor = ridge * max(points.var(axis=0).max(), 1e-12)
@@ -83,18 +83,19 @@ def fit_mixture(points: np.ndarray, k: int, seed: int = 0, rounds: int = 60, rid
         share, means = mass / mass.sum(), held.T @ points / mass[:, None]
         for j in range(k):
             off = points - means[j]
-            covs[j] = (held[:, j, None] * off).T @ off / mass[j] + floor * np.eye(d)
+            full = (held[:, j, None] * off).T @ off / mass[j] + floor * np.eye(d)
+            covs[j] = np.diag(np.diag(full)) if diagonal else full
         if abs(top.mean() - before) < 1e-8:
             break
         before = top.mean()
     return share, means, covs
 
 
-def mixture(points: np.ndarray, k: int, seed: int = 0, n_samples: int = 20) -> tuple[np.ndarray, np.ndarray]:
+def mixture(points: np.ndarray, k: int, seed: int = 0, n_samples: int = 20, diagonal: bool = False) -> tuple[np.ndarray, np.ndarray]:
     """Points drawn from the fitted mixture, each weighted by its density under the fit."""
     if len(np.unique(points, axis=0)) <= k:
         return kmeans(points, k, seed)
-    share, means, covs = fit_mixture(points, k, seed)
+    share, means, covs = fit_mixture(points, k, seed, ridge=1e-2 if diagonal else 1e-6, diagonal=diagonal)
     rng = np.random.default_rng(seed + 1)
     which = rng.choice(len(share), n_samples, p=share / share.sum())
     drawn = np.array([rng.multivariate_normal(means[j], covs[j], method="cholesky") for j in which])

@@ -128,13 +128,13 @@ def score(pairs: DataFrame, model: DataFrame, form: str = "ratio", keys: tuple[s
     return wide.select(*pairs.columns, by.alias("score"))
 
 
-def distribution(h1: DataFrame, h0: DataFrame, n_bins: int = 20) -> DataFrame:
-    """side (H1, H0), bucket, low, observed (density), fitted (density at the middle): the histogram of both maxima on 0..1."""
+def distribution(h1: DataFrame, h0: DataFrame, n_bins: int = 20, keys: tuple[str, ...] = ()) -> DataFrame:
+    """keys, side (H1, H0), bucket, low, observed (density), fitted (density at the middle): the histogram of both maxima on 0..1."""
     def side(name: str, maxima: DataFrame) -> DataFrame:
-        fitted = fit_rayleigh(maxima)
-        counts = maxima.groupBy(F.least(F.floor(F.col("s") * n_bins), F.lit(n_bins - 1)).cast("long").alias("bucket")).agg(F.count(F.lit(1)).alias("c"))
+        fitted = fit_rayleigh(maxima, keys)
+        counts = maxima.groupBy(*keys, F.least(F.floor(F.col("s") * n_bins), F.lit(n_bins - 1)).cast("long").alias("bucket")).agg(F.count(F.lit(1)).alias("c"))
         middle = (F.col("bucket") + 0.5) / n_bins
-        return counts.crossJoin(F.broadcast(fitted)).select(F.lit(name).alias("side"), "bucket", (F.col("bucket") / n_bins).alias("low"), (F.col("c") * n_bins / F.col("n")).alias("observed"), rayleigh_pdf(middle, F.col("sigma")).alias("fitted"))
+        return (counts.join(fitted, list(keys)) if keys else counts.crossJoin(F.broadcast(fitted))).select(*keys, F.lit(name).alias("side"), "bucket", (F.col("bucket") / n_bins).alias("low"), (F.col("c") * n_bins / F.col("n")).alias("observed"), rayleigh_pdf(middle, F.col("sigma")).alias("fitted"))
 
     return side("H1", h1).unionByName(side("H0", h0))
 

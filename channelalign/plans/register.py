@@ -4,10 +4,12 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Callable
+from functools import partial
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from channelalign.functions import local_clusters
 from channelalign.operators import baselines, binning, cluster, embed, likelihood, matching, metrics, reduced, segments, similarity
 from channelalign.operators.binning import DAY_US, HOUR_US
 from channelalign.operators.cluster import ClusterSpec
@@ -262,15 +264,15 @@ def rep_clusters_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def gmm_clusters_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Mixture samples as representatives, on the first eight dimensions."""
-    spec = ClusterSpec(k=10, w=2, method="gmm", n_samples=60)
-    return _quality(spark, sf_dir, {"mixture_samples": lambda f: cluster.representative_clusters(f.withColumn("f", F.slice("f", 1, 8)), spec)[0]})
+    """Mixture samples as representatives, on all dimensions with diagonal covariances."""
+    spec = ClusterSpec(k=10, w=2, method=partial(local_clusters.mixture, n_samples=60, diagonal=True))
+    return _quality(spark, sf_dir, {"mixture_samples": lambda f: cluster.representative_clusters(f, spec)[0]})
 
 
 @query
 def baseline_clusters_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _quality(spark, sf_dir, {
-        "direct_kmeans": lambda f: baselines.direct_kmeans(f, 10)[0], "direct_mixture": lambda f: baselines.direct_gmm(f.withColumn("f", F.slice("f", 1, 8)), 10),
+        "direct_kmeans": lambda f: baselines.direct_kmeans(f, 10)[0], "direct_mixture": lambda f: baselines.direct_gmm(f, 10),
         "sample_then_label": lambda f: baselines.sample_then_label(f, 10, 0.3)[0],
     })
 
@@ -334,6 +336,12 @@ def cosine_all_channels(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(similarity.all_pairs_cosine(binning.bin_events(events_channels(spark, sf_dir, ("view", "click", "purchase")), HOUR_US)).where("sim >= 0.2"), 9)
 
 
+@query
+def cosine_every_channel(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All pairs of all channels; cosine_all_channels has the three channels and the least similarity of its SQL."""
+    return rounded(similarity.all_pairs_cosine(binning.bin_events(events_channels(spark, sf_dir), HOUR_US)), 9)
+
+
 @query
 def jaccard_bins(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(similarity.pairwise_jaccard(_twin(spark, sf_dir)[2], "a", "b"), 9)
@@ -449,6 +457,12 @@ def rayleigh_hist(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(likelihood.distribution(h1.where("segment = 1"), h0.where("segment = 1"), 20))
 
 
+@query
+def rayleigh_hist_segments(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The histograms of all weeks; rayleigh_hist has the one week of its SQL."""
+    return rounded(likelihood.distribution(*_maxima(spark, sf_dir), 20, ("segment",)))
+
+
 @query
 def rayleigh_ks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(likelihood.ks_rayleigh(_maxima(spark, sf_dir)[0], ("segment",)))
@@ -494,6 +508,13 @@ def score_forms(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(a.join(b, ["u", "v"]))
 
 
+@query
+def score_forms_segments(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The log density alone and the log posterior, of all weeks; score_forms has the one week of its SQL."""
+    a, b = (_scored(spark, sf_dir, form=form)[0].select("segment", "u", "v", F.col("score").alias(name)) for form, name in (("log_p1", "log_p1"), ("posterior", "log_posterior")))
+    return rounded(a.join(b, ["segment", "u", "v"]))
+
+
 @query
 def score_accumulated(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(segments.accumulate(_scored(spark, sf_dir)[0]))

@@ -1,7 +1,9 @@
 """Registered queries run over whole tables, not over a fixed part of them."""
 
+import numpy as np
 import pytest
 
+from channelalign.functions import local_clusters
 from channelalign.operators import embed
 from channelalign.plans import register
 from conftest import SF
@@ -25,3 +27,18 @@ def test_three_ways_map_exactly_up_to_most_series(spark, monkeypatch):
     with pytest.raises(InterruptedError):
         register.queries()["pipeline_three_ways"](spark, SF)
     assert asked == [(register.LANDMARKS, embed.MOST_SERIES)]
+
+
+def test_histograms_of_all_weeks(spark):
+    every = register.queries()["rayleigh_hist_segments"](spark, SF).collect()
+    one = register.queries()["rayleigh_hist"](spark, SF).collect()
+    assert {r["segment"] for r in every} == {0, 1, 2, 3, 4}
+    assert sorted(tuple(r)[1:] for r in every if r["segment"] == 1) == sorted(map(tuple, one))
+
+
+def test_mixtures_take_all_dimensions():
+    points = np.random.default_rng(3).normal(size=(120, 64))
+    drawn, weights = local_clusters.mixture(points, 10, 1, 30, diagonal=True)
+    assert drawn.shape == (30, 64) and np.isfinite(drawn).all() and np.isfinite(weights).all()
+    _, _, covs = local_clusters.fit_mixture(points, 4, diagonal=True)
+    assert all((c == np.diag(np.diag(c))).all() for c in covs)
