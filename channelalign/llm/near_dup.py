@@ -1,12 +1,14 @@
 """Jaccard join of word n-grams with Bayesian pruning of candidates.
 
 Documents become sets of 5-word shingles (64-bit hashes; fewer than five words: one shingle of all). Documents
-of equal sets form a class; everything that follows works on classes, so copies cost nothing. MinHash values cut
-in bands give candidate blocks: classes that share a band are connected through the least one of that band, and
-the connected parts are the blocks; classes of different blocks share no band. Inside a block a task compares
-MinHash values a few at a time, drops a pair as soon as the posterior probability that its similarity reaches
-the threshold falls below the tolerance, and verifies all others exactly on their sets. Pairs are counted, never
-emitted: a task returns one row per class with its number of links and its group.
+of equal sets form a class; everything that follows works on one document of each class, so copies cost nothing.
+MinHash values are cut in bands, and classes that share a band are candidates. Connected candidates form a block,
+and a block is compared in a task, or, when it holds more than a task should, in many: either every two chunks of
+the block make a task, or every band value's classes do (again in chunks), whichever compares fewer pairs. A task
+compares MinHash values a few at a time, drops a pair as soon as the posterior probability that its similarity
+reaches the threshold falls below the tolerance, and verifies the others exactly on their sets. A pair counts if it
+shares a band, and where tasks are made from band values only in its first one, so all ways find the same links.
+Pairs are counted, never emitted: a task returns one row per class with its number of links and its group.
 """
 
 from __future__ import annotations
@@ -23,16 +25,20 @@ from pyspark.sql import functions as F
 
 from channelalign.llm.components import connected
 from channelalign.llm.store import written
-from channelalign.llm.words import chunked, hash_grams, hash_words, mix, split_words
+from channelalign.llm.words import chunked, hash_grams, hashed_words, mix
 
 WORDS = 5
 THRESHOLD = 0.8
 BANDS, ROWS = 60, 6
 STEP = 36
 TOLERANCE = 1e-7
-#: Shingles that a task holds of one side of a block; larger blocks are cut in chunks and compared chunk by chunk.
-CHUNK_SHINGLES = 1_500_000
+#: What a task holds of one side of a comparison, in shingles; see _COST.
+CHUNK_SHINGLES = 600_000
+#: The memory of a class in a task, in shingles: its set, its text and a part for its MinHash values.
+_COST = "size + bytes DIV 32 + 40"
 SENT_ROWS = 1_000_000
+#: Text that is turned into sets at a time.
+SLICE_BYTES = 1 << 20
 
 _rng = np.random.default_rng(20)
 _FACTORS = (_rng.integers(0, 1 << 32, BANDS * ROWS, dtype=np.uint64).astype(np.uint32)) | np.uint32(1)
@@ -41,8 +47,7 @@ _SHIFTS = _rng.integers(0, 1 << 32, BANDS * ROWS, dtype=np.uint64).astype(np.uin
 
 def shingles(data: np.ndarray, offsets: np.ndarray, k: int = WORDS) -> list[np.ndarray]:
     """The sorted distinct shingle hashes of every text."""
-    low, a, b, owner = split_words(data, offsets)
-    words = hash_words(low, a, b)
+    words, owner = hashed_words(data, offsets)
     at, grams = hash_grams(words, owner, k)
     n = len(offsets) - 1
     bounds = np.searchsorted(owner[at], np.arange(n + 1)) if len(at) else np.zeros(n + 1, np.int64)
@@ -68,10 +73,11 @@ def signature(values: np.ndarray) -> np.ndarray:
 
 
 def bands(sig: np.ndarray) -> np.ndarray:
-    """One 64-bit value for each band."""
-    total = np.arange(BANDS, dtype=np.uint64) + np.uint64(1)
-    for column in sig.reshape(BANDS, ROWS).T:
-        total = mix(total ^ column.astype(np.uint64), 1)
+    """One 64-bit value for each band of one set or, row by row, of many."""
+    total = np.broadcast_to(np.arange(BANDS, dtype=np.uint64) + np.uint64(1), (*sig.shape[:-1], BANDS))
+    rows = sig.reshape(*sig.shape[:-1], BANDS, ROWS)
+    for j in range(ROWS):
+        total = mix(total ^ rows[..., j].astype(np.uint64), 1)
     return total.view(np.int64)
 
 
@@ -97,11 +103,12 @@ class Found:
     verified: int = 0
 
 
-def compare(sets: list[np.ndarray], copies: np.ndarray, left: int, threshold: float = THRESHOLD, tolerance: float = TOLERANCE, same: bool = True) -> Found:
-    """Links among the first ``left`` sets (same) or between them and the rest (not same)."""
+def compare(sets: list[np.ndarray], copies: np.ndarray, left: int, threshold: float = THRESHOLD, tolerance: float = TOLERANCE, same: bool = True, sigs: np.ndarray | None = None, band: int = -1) -> Found:
+    """Links among the first ``left`` sets (same) or between them and the rest (not same). A pair must share a band; with ``band`` given, that must be its first."""
     n = len(sets)
     sizes = np.array([len(s) for s in sets])
-    sigs = np.stack([signature(s) for s in sets])
+    sigs = np.stack([signature(s) for s in sets]) if sigs is None else sigs
+    cut = bands(sigs)
     local, ids = np.unique(np.concatenate(sets), return_inverse=True)
     begins = np.cumsum(sizes) - sizes
     least = least_matches(threshold, STEP, BANDS * ROWS, tolerance)
@@ -127,6 +134,9 @@ def compare(sets: list[np.ndarray], copies: np.ndarray, left: int, threshold: fl
             stay = matches >= least[done]
             alive, matches = alive[stay], matches[stay]
         found.pruned += len(others) - len(alive)
+        if len(alive):
+            shared = cut[alive] == cut[i]
+            alive = alive[shared.any(axis=1) & ((band < 0) | (shared.argmax(axis=1) == band))]
         found.verified += len(alive)
         if not len(alive):
             continue
@@ -148,54 +158,101 @@ def compare(sets: list[np.ndarray], copies: np.ndarray, left: int, threshold: fl
     return found
 
 
-_SKETCH = "doc_id long, tie long, k1 long, k2 long, size long, bands array<long>"
+_SKETCH = "doc_id long, tie long, k1 long, k2 long, size long, bytes long, bands array<long>"
 
 
 def _sketches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for part, data, offsets in chunked(batches, "_text"):
+    for part, data, offsets in chunked(batches, "_text", SLICE_BYTES):
         sets = shingles(data, offsets)
         full = [len(s) > 0 for s in sets]
         keys = np.array([[np.bitwise_xor.reduce(mix(s, 3)), np.add.reduce(mix(s, 4))] if f else [0, 0] for s, f in zip(sets, full, strict=True)], np.uint64).reshape(-1, 2).view(np.int64)
         cut = [bands(signature(s)) if f else np.zeros(0, np.int64) for s, f in zip(sets, full, strict=True)]
         yield pa.RecordBatch.from_arrays(
-            [part.column("doc_id"), part.column("tie"), pa.array(keys[:, 0]), pa.array(keys[:, 1]), pa.array([len(s) for s in sets], pa.int64()), pa.ListArray.from_arrays(np.cumsum([0, *map(len, cut)]).astype(np.int32), np.concatenate(cut))],
-            names=["doc_id", "tie", "k1", "k2", "size", "bands"],
+            [
+                part.column("doc_id"), part.column("tie"), pa.array(keys[:, 0]), pa.array(keys[:, 1]), pa.array([len(s) for s in sets], pa.int64()), pa.array(np.diff(offsets)),
+                pa.ListArray.from_arrays(np.cumsum([0, *map(len, cut)]).astype(np.int32), np.concatenate(cut)),
+            ],
+            names=["doc_id", "tie", "k1", "k2", "size", "bytes", "bands"],
         )
 
 
+def _signed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Adds each text's MinHash values, for texts that many tasks will read."""
+    for part, data, offsets in chunked(batches, "_text", SLICE_BYTES):
+        made = pa.array([signature(s).tobytes() for s in shingles(data, offsets)], pa.binary())
+        yield pa.RecordBatch.from_arrays([*part.columns, made], names=[*part.schema.names, "sig"])
+
+
+def _sets(texts: list[bytes]) -> list[np.ndarray]:
+    """The sets of texts, a slice of them at a time."""
+    out, first, held = [], 0, 0
+    for n, text in enumerate(texts):
+        held += len(text)
+        if held > SLICE_BYTES or n + 1 == len(texts):
+            own = texts[first : n + 1]
+            out += shingles(np.frombuffer(b"".join(own), np.uint8), np.cumsum([0, *map(len, own)]))
+            first, held = n + 1, 0
+    return out
+
+
+_TASK = ("block", "pos", "band", "i", "j")
+
+
 def _tasks(threshold: float, tolerance: float):
-    """Compares the rows of each task (block, left chunk, right chunk), which stand together, ordered."""
+    """Compares the rows of each task (block, band, left chunk, right chunk), which stand together, ordered."""
+
+    def results(task: tuple, rows: list[tuple]):
+        pos, i, j = task[1], task[3], task[4]
+        own = [r for r in rows if r[0] == i]
+        left = len(own)
+        if i != j:
+            own += [r for r in rows if r[0] == j]
+        if len(own) < 2 or not left:
+            return None
+        sigs = np.stack([np.frombuffer(r[4], np.uint32) for r in own]) if all(r[4] for r in own) else None
+        got = compare(_sets([r[3] for r in own]), np.array([r[2] for r in own], np.int64), left, threshold, tolerance, i == j, sigs, pos)
+        vertex = np.array([r[1] for r in own], np.int64)
+        lowest = vertex.copy()
+        np.minimum.at(lowest, got.group, vertex)
+        hit = got.classes > 0
+        return pa.RecordBatch.from_arrays([pa.array(vertex[hit]), pa.array(lowest[got.group][hit]), pa.array(got.weight[hit]), pa.array(got.classes[hit])], names=["vertex", "linked", "weight", "classes"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def results(key, rows):
-            side = {c: [r for r in rows if r[0] == c] for c in {key[1], key[2]}}
-            lefts, rights = side.get(key[1], []), side.get(key[2], []) if key[1] != key[2] else []
-            own = lefts + rights
-            if len(own) < 2 or not lefts:
-                return None
-            raw = [r[3] for r in own]
-            sets = shingles(np.frombuffer(b"".join(raw), np.uint8), np.cumsum([0, *map(len, raw)]))
-            got = compare(sets, np.array([r[2] for r in own], np.int64), len(lefts), threshold, tolerance, key[1] == key[2])
-            vertex = np.array([r[1] for r in own], np.int64)
-            lowest = vertex.copy()
-            np.minimum.at(lowest, got.group, vertex)
-            return pa.RecordBatch.from_arrays([pa.array(vertex), pa.array(lowest[got.group]), pa.array(got.weight), pa.array(got.classes)], names=["vertex", "linked", "weight", "classes"])
-
         held, rows = None, []
         for batch in batches:
-            columns = [batch.column(c).to_pylist() for c in ("block", "i", "j", "chunk", "vertex", "copies")]
-            for n, (block, i, j, chunk, vertex, copies) in enumerate(zip(*columns, strict=True)):
-                if (block, i, j) != held:
+            tasks = zip(*[batch.column(c).to_pylist() for c in _TASK], strict=True)
+            numbers = zip(*[batch.column(c).to_pylist() for c in ("chunk", "vertex", "copies")], strict=True)
+            for n, (task, own) in enumerate(zip(tasks, numbers, strict=True)):
+                if task != held:
                     if rows and (out := results(held, rows)) is not None:
                         yield out
-                    held, rows = (block, i, j), []
-                rows.append((chunk, vertex, copies, (batch.column("_text")[n].as_py() or "").encode("utf-8", "replace")))
+                    held, rows = task, []
+                rows.append((*own, batch.column("_text")[n].as_py().encode("utf-8", "replace"), batch.column("sig")[n].as_py()))
         if rows and (out := results(held, rows)) is not None:
             yield out
 
     return run
 
 
+def _split(giant: DataFrame, member: DataFrame, bound: int) -> DataFrame:
+    """Tasks' rows of blocks over the bound: vertex, tie, block, pos, band, copies, chunk, chunks. giant: vertex, tie, block, copies, cost, total, many.
+
+    Buckets of equal members (told by number and hash) are compared once, in the first of their bands: a pair of
+    them shares all these bands. Of the two ways to deal a block, that of fewer pairs is taken.
+    """
+    cut = member.where("bands IS NOT NULL").select("vertex", "tie", F.posexplode("bands").alias("pos", "band")).distinct()
+    inside = written(giant.join(cut, ["vertex", "tie"]).select("vertex", "tie", "block", "copies", "cost", "pos", "band"), "buckets")
+    sums = inside.groupBy("block", "pos", "band").agg(F.count(F.lit(1)).alias("n"), F.sum("cost").alias("of_bucket"), F.expr("bit_xor(xxhash64(vertex, tie))").alias("print"), F.min("vertex").alias("least")).where("n > 1")
+    once = sums.groupBy("block", "n", "print", "least").agg(F.min(F.struct("pos", "band", "of_bucket")).alias("b")).select("block", "n", "b.*")
+    once = written(once, "buckets")
+    pairs = once.groupBy("block").agg(F.sum(F.col("n").cast("double") * F.col("n")).alias("pairs"))
+    route = giant.select("block", "many").distinct().join(pairs, "block", "left").select("block", (F.coalesce("pairs", F.lit(0.0)) < F.col("many").cast("double") * F.col("many")).alias("by_band"))
+    route = written(route, "routes")
+    dealt_band = inside.join(once.join(route.where("by_band"), "block").select("block", "pos", "band", "of_bucket"), ["block", "pos", "band"]).select("vertex", "tie", "block", "pos", "band", "copies", F.ceil(F.col("of_bucket") / bound).cast("int").alias("chunks"))
+    dealt_all = giant.join(route.where("NOT by_band").select("block"), "block").select("vertex", "tie", "block", F.lit(-1).alias("pos"), F.lit(0).cast("long").alias("band"), "copies", F.ceil(F.col("total") / bound).cast("int").alias("chunks"))
+    return dealt_band.unionByName(dealt_all)
+
+
 def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, tolerance: float = TOLERANCE, chunk_shingles: int = CHUNK_SHINGLES, sent_rows: int = SENT_ROWS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: doc_id, row_id, class_id, n_links, n_class_links, class_size, copies_id.
 
@@ -203,56 +260,66 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, tolerance: fl
     included; n_class_links counts other classes of equal sets. class_id is the least id of the documents that are
     connected through links; copies_id is the least id of those with the same set; class_size counts the latter.
     Documents without words (null, empty) link to nothing and have a class each. Null ids get an id of their own
-    from the text's hash (negative), which is row_id (otherwise the id itself); rows that share an id share a class.
+    from the text's hash (negative), which is row_id (otherwise the id itself); classes whose least ids are the same
+    (an id that is repeated with another text) count as connected.
 
     A pair at the threshold itself is missed by all bands with probability (1 - 0.8**6)**60, about 1e-8, and by
-    pruning with about the tolerance. Texts move once, for classes in a block of two or more only. Blocks of more
-    than ``chunk_shingles`` shingles are cut in chunks by hash, and every two chunks make a task, so no task's
-    memory follows a block's size.
+    pruning with about the tolerance. Texts move once, for classes in a block of two or more only; those of blocks
+    of more than ``chunk_shingles`` move to each of their tasks (see the module's text), so no task's memory follows
+    a block's size. Classes that hold more than a thousandth of all rows (so at most a thousand) are sent to the
+    rows; the others are joined to them.
     """
     own = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("_text"))
     own = own.select("doc_id", F.xxhash64("_text").alias("tie"), "_text")
-    sketched = written(own.mapInArrow(_sketches, _SKETCH), "sketches")
     known = F.coalesce(F.col("doc_id"), -F.shiftrightunsigned(F.col("tie"), 2) - 2)
-    rows = sketched.select("doc_id", known.alias("vid"), "k1", "k2", "size")
-    classes = rows.where("size > 0").groupBy("k1", "k2", "size").agg(F.min("vid").alias("vertex"), F.count(F.lit(1)).alias("copies"))
-    # One sketch of each class takes part: that of a row with the class's vertex.
-    member = rows.where("size > 0").select("vid", F.col("k1").alias("_1"), F.col("k2").alias("_2"), F.col("size").alias("_3")).join(classes, (F.col("_1") == F.col("k1")) & (F.col("_2") == F.col("k2")) & (F.col("_3") == F.col("size"))).select("vid", "vertex", "copies", "size").distinct()
+    sketched = written(own.mapInArrow(_sketches, _SKETCH), "sketches").withColumn("vid", known)
+    key = ["k1", "k2", "size"]
+    classes = sketched.where("size > 0").groupBy(*key).agg(F.min(F.struct("vid", "tie")).alias("first"), F.count(F.lit(1)).alias("copies"))
+    classes = written(classes.select(*key, F.col("first.vid").alias("vertex"), F.col("first.tie").alias("first_tie"), "copies"), "classes")
+    large = max(1000, sketched.count() // 1000)
+    hot = F.broadcast(classes.where(F.col("copies") > large))  # at most a thousand rows
+    sided = sketched.join(hot, key, "left")
+    cold = sided.where("vertex IS NULL").drop("vertex", "first_tie", "copies").join(classes.where(F.col("copies") <= large), key, "left")
+    mine = (F.col("vid") == F.col("vertex")) & (F.col("tie") == F.col("first_tie"))
+    member = sided.where("vertex IS NOT NULL").unionByName(cold).select(
+        "doc_id", "vid", "tie", F.coalesce("vertex", "vid").alias("vertex"), F.coalesce("copies", F.lit(1)).alias("copies"), F.expr(_COST).alias("cost"), F.when(mine, F.col("bands")).alias("bands")
+    )
     member = written(member, "members")
-    band = sketched.select(known.alias("vid"), F.explode("bands").alias("band"))
-    shared = band.groupBy("band").agg(F.min("vid").alias("least"), F.max("vid").alias("most")).where("least < most").select(F.col("band").bitwiseXOR(F.lit(1)).alias("_band"), "least")
-    edges = band.join(shared, F.col("band").bitwiseXOR(F.lit(1)) == F.col("_band")).where("vid <> least").select(F.col("vid").alias("u"), F.col("least").alias("v")).distinct()
-    edges = edges.join(member.select(F.col("vid").alias("u"), F.col("vertex").alias("cu")), "u").join(member.select(F.col("vid").alias("v"), F.col("vertex").alias("cv")), "v").select(F.col("cu").alias("u"), F.col("cv").alias("v"))
-    blocks = connected(edges)
-    vertices = member.groupBy("vertex").agg(F.max("copies").alias("copies"), F.max("size").alias("size"))
-    placed = written(blocks.join(vertices, "vertex").select("vertex", F.col("component").alias("block"), "copies", "size"), "blocks")
-    chunks = placed.groupBy("block").agg(F.ceil(F.sum("size") / F.lit(chunk_shingles)).cast("int").alias("chunks"))
-    many = chunks.where("chunks > 1").select(F.col("block").alias("_block"), "chunks")
-    dealt = placed.join(many, F.col("block") == F.col("_block"), "left").select("vertex", "block", "copies", F.coalesce("chunks", F.lit(1)).alias("chunks"))
-    dealt = dealt.withColumn("chunk", F.pmod(F.xxhash64("vertex"), F.col("chunks")).cast("int"))
-    task = F.explode(F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda x: F.struct(F.least(x, F.col("chunk")).alias("i"), F.greatest(x, F.col("chunk")).alias("j"))))
-    dealt = dealt.withColumn("t", task).select("vertex", "block", "copies", "chunk", "t.i", "t.j")
-    wanted = placed.select("vertex").distinct()
-    keyed = own.select(F.coalesce(F.col("doc_id"), -F.shiftrightunsigned(F.col("tie"), 2) - 2).alias("vertex"), "_text")
-    if placed.count() <= sent_rows:  # checked: at most this many ids are sent to every executor
-        wanted = F.broadcast(wanted)
-    texts = keyed.join(wanted, "vertex", "left_semi").dropDuplicates(["vertex"])
-    work = dealt.join(texts, "vertex")
-    parts = work.repartition(F.col("block"), F.col("i"), F.col("j")).sortWithinPartitions("block", "i", "j", "chunk", "vertex")
+    band = member.where("bands IS NOT NULL").select("vertex", F.explode("bands").alias("band"))
+    shared = band.groupBy("band").agg(F.min("vertex").alias("least"), F.max("vertex").alias("most")).where("least < most").select(F.col("band").bitwiseXOR(F.lit(1)).alias("_band"), "least")
+    edges = band.join(shared, F.col("band").bitwiseXOR(F.lit(1)) == F.col("_band")).where("vertex <> least").select(F.col("vertex").alias("u"), F.col("least").alias("v")).distinct()
+    vertices = member.where("bands IS NOT NULL").select("vertex", "tie", "copies", "cost").dropDuplicates(["vertex", "tie"])
+    placed = written(connected(edges).withColumnRenamed("component", "block").join(vertices, "vertex"), "blocks")
+    giants = written(placed.groupBy("block").agg(F.sum("cost").alias("total"), F.count(F.lit(1)).alias("many")).where(F.col("total") > chunk_shingles), "giants")
+    wanted, bounded = placed.select(F.col("vertex").alias("vid"), "tie"), placed.count() <= sent_rows
+    if bounded:  # checked: at most this many ids are sent to every executor
+        giants, wanted = F.broadcast(giants), F.broadcast(wanted)
+    small = placed.join(giants, "block", "left_anti").select("vertex", "tie", "block", F.lit(-1).alias("pos"), F.lit(0).cast("long").alias("band"), "copies", F.lit(1).alias("chunks"))
+    texts = own.select(known.alias("vid"), "tie", "_text").join(wanted, ["vid", "tie"], "left_semi").dropDuplicates(["vid", "tie"]).withColumnRenamed("vid", "vertex")
+    if giants.isEmpty():
+        work = small.join(texts, ["vertex", "tie"]).withColumn("sig", F.lit(None).cast("binary"))
+    else:
+        texts = written(texts, "texts")
+        split = _split(placed.join(giants, "block"), member, chunk_shingles)
+        signed = texts.join(split.select("vertex", "tie").distinct(), ["vertex", "tie"], "left_semi").mapInArrow(_signed, "vertex long, tie long, _text string, sig binary")
+        work = small.join(texts, ["vertex", "tie"]).withColumn("sig", F.lit(None).cast("binary")).unionByName(split.join(signed, ["vertex", "tie"]))
+    work = work.withColumn("chunk", F.pmod(F.xxhash64("vertex", "tie"), F.col("chunks")).cast("int"))
+    pair = F.explode(F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda x: F.struct(F.least(x, F.col("chunk")).alias("i"), F.greatest(x, F.col("chunk")).alias("j"))))
+    work = work.withColumn("t", pair).select("block", "pos", "band", "t.i", "t.j", "chunk", "vertex", "copies", "_text", "sig")
+    parts = work.repartition(*_TASK).sortWithinPartitions(*_TASK, "chunk", "vertex")
     linked = written(parts.mapInArrow(_tasks(threshold, tolerance), "vertex long, linked long, weight long, classes long"), "links")
     links = linked.groupBy("vertex").agg(F.sum("weight").alias("weight"), F.sum("classes").alias("classes"))
     group = connected(linked.select(F.col("vertex").alias("u"), F.col("linked").alias("v"))).withColumnRenamed("component", "group")
-    found = vertices.select("vertex", "copies").join(links, "vertex", "left").join(group, "vertex", "left")
-    found = found.select(F.col("vertex").alias("_vertex"), "copies", F.coalesce("weight", F.lit(0)).alias("weight"), F.coalesce("classes", F.lit(0)).alias("classes"), F.coalesce("group", "vertex").alias("group"))
-    per_row = member.select("vid", "vertex").join(found, F.col("vertex") == F.col("_vertex")).select(F.col("vid").alias("_vid"), "vertex", "copies", "weight", "classes", "group")
-    per_row = per_row.groupBy("_vid").agg(F.min("vertex").alias("vertex"), F.max("copies").alias("copies"), F.max("weight").alias("weight"), F.max("classes").alias("classes"), F.min("group").alias("group"))
-    result = rows.join(per_row, F.col("vid") == F.col("_vid"), "left")
-    return result.select(
+    found = written(links.join(group, "vertex", "left"), "found")
+    sent = F.broadcast(found.join(hot.select("vertex"), "vertex", "left_semi"))
+    rows = member.select("doc_id", "vid", "vertex", "copies")
+    joined = rows.where(F.col("copies") > large).join(sent, "vertex", "left").unionByName(rows.where(F.col("copies") <= large).join(found, "vertex", "left"))
+    return joined.select(
         "doc_id",
         F.col("vid").alias("row_id"),
-        F.coalesce("group", "vid").alias("class_id"),
-        F.coalesce(F.col("weight") + F.col("copies") - 1, F.lit(0)).cast("long").alias("n_links"),
+        F.coalesce("group", "vertex").alias("class_id"),
+        (F.coalesce("weight", F.lit(0)) + F.col("copies") - 1).cast("long").alias("n_links"),
         F.coalesce("classes", F.lit(0)).cast("long").alias("n_class_links"),
-        F.coalesce("copies", F.lit(1)).cast("long").alias("class_size"),
-        F.coalesce("vertex", "vid").alias("copies_id"),
+        F.col("copies").cast("long").alias("class_size"),
+        F.col("vertex").alias("copies_id"),
     )

@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from channelalign.llm.crf import BinaryCRF, train_binary
-from channelalign.llm.words import _powers_to, chunked, hash_grams, hash_words, mix, split_words
+from channelalign.llm.words import chunked, hash_grams, hash_words, mix, split_words
 
 TABLE_BITS = 22
 TABLE = 1 << TABLE_BITS
@@ -34,21 +34,14 @@ _BATCH = 1 << 20
 _GROUP = 250
 
 
-def _piece(summed: np.ndarray, inverse: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    return mix((summed[b] - summed[a]) * inverse[a] + (b - a).astype(np.uint64))
-
-
 def token_features(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """(feature indices of each token, index of its text, start and end byte). A text contributes only what it holds itself."""
     low, a, b, owner = split_words(data, offsets)
     if not len(a):
         return np.zeros((0, 4), np.int32), owner, a, b
-    power, inverse = _powers_to(len(low) + 1)
-    summed = np.zeros(len(low) + 1, np.uint64)
-    np.cumsum(low * power[: len(low)], out=summed[1:])
-    word = _piece(summed, inverse, a, b)
-    stems = [_piece(summed, inverse, a, np.minimum(a + n, b)) for n in _STEMS]
-    tail = _piece(summed, inverse, np.maximum(b - 4, a), b)
+    word = hash_words(low, a, b)
+    stems = [hash_words(low, a, np.minimum(a + n, b)) for n in _STEMS]
+    tail = hash_words(low, np.maximum(b - 4, a), b)
     parts = [word, *stems, tail]
     return np.stack([(mix(p, k + 1) >> np.uint64(64 - TABLE_BITS)).astype(np.int32) for k, p in enumerate(parts)], axis=1), owner, a, b
 

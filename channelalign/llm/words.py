@@ -23,23 +23,20 @@ _LOWER[0x80:] = np.arange(0x80, 0x100)
 #: For bytes.translate: lower case, and every separator becomes a space.
 SEPARATED = bytes(int(x) or 0x20 for x in _LOWER)
 
-_P = 0x9E3779B97F4A7C15
-_P_INVERSE = pow(_P, -1, 1 << 64)
 GRAM_BASE = np.uint64(0xD6E8FEB86659FD93)
-_powers = np.ones(1, np.uint64)
-_inverses = np.ones(1, np.uint64)
+_P = 0x9E3779B97F4A7C15
+#: Bytes hashed at a time; the tables of powers are as long as this and never grow.
+SPAN = 1 << 18
+
+
+def _powers(base: int) -> np.ndarray:
+    """base**0, base**1, ... base**SPAN modulo 2**64."""
+    table = np.full(SPAN + 1, base, np.uint64)
+    table[0] = 1
+    return np.cumprod(table, out=table)
 
 
-def _powers_to(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of the base and of its inverse modulo 2**64, at least n of each; kept for the next batch."""
-    global _powers, _inverses
-    if len(_powers) < n:
-        size = 1 << (n - 1).bit_length()
-        _powers, _inverses = (np.full(size, x, np.uint64) for x in (_P, _P_INVERSE))
-        for table in (_powers, _inverses):
-            table[0] = 1
-            np.cumprod(table, out=table)
-    return _powers, _inverses
+_POWERS, _INVERSES = _powers(_P), _powers(pow(_P, -1, 1 << 64))
 
 
 def mix(x: np.ndarray, seed: int = 0) -> np.ndarray:
@@ -76,22 +73,62 @@ def split_words(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.n
     """(lower-cased bytes, start and end of each word, index of each word's text)."""
     low = _LOWER[data]
     inside = low > 0
-    begins, ends = inside.copy(), inside.copy()
-    begins[1:] &= ~inside[:-1]
-    ends[:-1] &= ~inside[1:]
-    full = offsets[:-1][np.diff(offsets) > 0]
-    begins[full] = inside[full]
-    ends[full[full > 0] - 1] = inside[full[full > 0] - 1]
-    starts = np.flatnonzero(begins)
-    return low, starts, np.flatnonzero(ends) + 1, np.searchsorted(offsets, starts, "right") - 1
+    edge = np.empty(len(low) + 1, bool)
+    edge[0], edge[-1] = inside[:1].any(), inside[-1:].any()
+    np.not_equal(inside[1:], inside[:-1], out=edge[1:-1])
+    # A word ends with its text: between two touching words of different texts stands both an end and a start.
+    between = offsets[1:-1][(offsets[1:-1] > 0) & (offsets[1:-1] < len(low))]
+    touching = np.unique(between[inside[between - 1] & inside[between]]) if len(between) else between
+    marks = np.flatnonzero(edge)
+    if len(touching):
+        marks = np.sort(np.concatenate([marks, touching, touching]))
+    starts, stops = marks[::2], marks[1::2]
+    return low, starts, stops, np.searchsorted(offsets, starts, "right") - 1
+
+
+def _hash_long(low: np.ndarray) -> np.uint64:
+    """The polynomial sum of one word longer than SPAN."""
+    total = np.uint64(0)
+    for at in range((len(low) - 1) // SPAN * SPAN, -1, -SPAN):
+        part = low[at : at + SPAN]
+        with np.errstate(over="ignore"):
+            total = total * _POWERS[SPAN] + (part * _POWERS[: len(part)]).sum(dtype=np.uint64)
+    return total
 
 
 def hash_words(low: np.ndarray, starts: np.ndarray, stops: np.ndarray) -> np.ndarray:
-    """A 64-bit polynomial hash of each word, mixed."""
-    power, inverse = _powers_to(len(low) + 1)
-    summed = np.zeros(len(low) + 1, np.uint64)
-    np.cumsum(low * power[: len(low)], out=summed[1:])
-    return mix((summed[stops] - summed[starts]) * inverse[starts] + (stops - starts).astype(np.uint64))
+    """A 64-bit polynomial hash of each of the given pieces (starts and stops ascend), mixed. The same bytes have the same hash wherever they stand."""
+    out = np.empty(len(starts), np.uint64)
+    summed = np.zeros(SPAN + 1, np.uint64)
+    i = 0
+    while i < len(starts):
+        base = int(starts[i])
+        j = int(np.searchsorted(stops, base + SPAN, "right"))
+        if j <= i:
+            out[i] = _hash_long(low[base : int(stops[i])])
+            i += 1
+            continue
+        part = low[base : int(stops[j - 1])]
+        np.cumsum(part * _POWERS[: len(part)], out=summed[1 : len(part) + 1])
+        a, b = starts[i:j] - base, stops[i:j] - base
+        out[i:j] = (summed[b] - summed[a]) * _INVERSES[a]
+        i = j
+    return mix(out + (stops - starts).astype(np.uint64))
+
+
+def hashed_words(data: np.ndarray, offsets: np.ndarray, most: int = CHUNK_BYTES) -> tuple[np.ndarray, np.ndarray]:
+    """(hash of every word, index of its text), read in pieces that end between words, so that little more than the result is held at a time."""
+    words, owners, at = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], 0
+    while at < len(data):
+        stop = min(at + most, len(data))
+        while stop < len(data) and len(gap := np.flatnonzero(_LOWER[data[stop : stop + most]] == 0)) == 0:
+            stop = min(stop + most, len(data))
+        stop += int(gap[0]) if stop < len(data) else 0
+        low, a, b, owner = split_words(data[at:stop], np.clip(offsets, at, stop) - at)
+        words.append(hash_words(low, a, b))
+        owners.append(owner)
+        at = stop
+    return np.concatenate(words), np.concatenate(owners)
 
 
 def hash_grams(words: np.ndarray, owner: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
