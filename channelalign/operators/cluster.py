@@ -14,15 +14,18 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from channelalign.functions import local_clusters as local
+from channelalign.sources.shared import written
 
 REPRESENTATIVE = "subset int, channel string, slot int, f array<double>, weight double"
-#: Representatives up to this many come to the driver for the global clustering; more are clustered by MLlib.
-MOST_COLLECTED = 1_000_000
+#: The most numbers (representatives times dimensions) that come to the driver for the global clustering; more are refused.
+MOST_NUMBERS = 20_000_000
+#: Points of a subset that one task clusters, about: subsets grow in number with the points, not in size.
+SUBSET_POINTS = 100_000
 
 
 @dataclass(frozen=True)
 class ClusterSpec:
-    """k clusters; w subsets (subsets 'per_task'), subsets of about w points ('literal'), or a number of subsets. method: kmeans, gmm or a function (points, k, seed) -> (points, weights). representative: mean, sample or moments. weight: none or count."""
+    """k clusters; w subsets or as many as hold SUBSET_POINTS points each (subsets 'per_task'), subsets of about w points ('literal'), or a number of subsets. method: kmeans, gmm or a function (points, k, seed) -> (points, weights). representative: mean, sample or moments. weight: none or count."""
 
     k: int = 5
     w: int = 22
@@ -40,7 +43,7 @@ class ClusterSpec:
 
 def subset_count(spec: ClusterSpec, n_points: int) -> int:
     if spec.subsets == "per_task":
-        return max(1, spec.w)
+        return max(1, spec.w, -(-n_points // SUBSET_POINTS))
     return max(1, -(-n_points // spec.w)) if spec.subsets == "literal" else int(spec.subsets)
 
 
@@ -77,24 +80,26 @@ def local_cluster(features: DataFrame, spec: ClusterSpec, seed: int | None = Non
     return features.select("subset", "channel", "entity", "f").groupBy("subset", "channel").applyInPandas(run, REPRESENTATIVE)
 
 
-def global_centroids(reps: DataFrame, spec: ClusterSpec, start: np.ndarray | None = None, most: int = MOST_COLLECTED) -> np.ndarray:
+def _centres(rows: list, spec: ClusterSpec, start: np.ndarray | None = None) -> np.ndarray:
+    points, weights = np.array([r["f"] for r in rows], float), np.array([r["weight"] for r in rows], float)
+    centres, _ = local.kmeans(points, spec.k, spec.seed, weights, start, 200, spec.distance)
+    return centres[np.lexsort(centres.T[::-1])]
+
+
+def global_centroids(reps: DataFrame, spec: ClusterSpec, start: np.ndarray | None = None, most: int = MOST_NUMBERS) -> np.ndarray:
     """k centroids of the representatives of all channels together, so that labels correspond across channels.
 
-    Representatives are k * subsets per channel, whatever the data's size; up to ``most`` they are clustered on
-    the driver, beyond that (literal subsets on many points) by MLlib.
+    Representatives are k for each subset and channel and come to the driver in one job. One algorithm serves
+    all sizes; more than ``most`` numbers (literal subsets on very many points) are refused, before they arrive.
     """
-    if reps.limit(most + 1).count() > most:
-        from pyspark.ml.clustering import KMeans
-        from pyspark.ml.functions import array_to_vector
-
-        rows = reps.select(array_to_vector("f").alias("features"), "weight")
-        return np.array(KMeans(k=spec.k, seed=spec.seed, weightCol="weight", maxIter=50).fit(rows).clusterCenters())
-    rows = reps.orderBy("subset", "channel", "slot").collect()
-    points, weights = np.array([r["f"] for r in rows], float), np.array([r["weight"] for r in rows], float)
-    if not len(points):
+    width = F.max(F.size("f"))
+    rows = written(reps, "representatives")
+    n, d = rows.agg(F.count(F.lit(1)), width).first()
+    if not n:
         raise ValueError("there are no points to cluster")
-    centres, _ = local.kmeans(points, spec.k, spec.seed, weights, start, 200, spec.distance)
-    return centres[np.lexsort(centres.T[::-1])]
+    if n * d > most:
+        raise ValueError(f"{n} representatives of {d} dimensions are over {most} numbers: make fewer, larger subsets")
+    return _centres(rows.orderBy("subset", "channel", "slot").collect(), spec, start)
 
 
 def _distance(distance: str, centre: list[float]):
@@ -132,7 +137,7 @@ def label(features: DataFrame, centroids: np.ndarray | list, distance: str = "eu
 
 def representative_clusters(features: DataFrame, spec: ClusterSpec = ClusterSpec()) -> tuple[DataFrame, np.ndarray]:
     """(labels, centroids). rounds > 1 repeats with new random subsets, each started from the last centroids."""
-    n = features.count() if spec.subsets == "literal" else 0
+    n = features.count() if isinstance(spec.subsets, str) else 0
     start = None
     for r in range(spec.rounds):
         parted = assign_subsets(features, subset_count(spec, n), spec.seed + r)
@@ -157,6 +162,35 @@ def _per_channel(features: DataFrame, reps: DataFrame, spec: ClusterSpec) -> tup
     return labels, named
 
 
+def segment_clusters(features: DataFrame, spec: ClusterSpec = ClusterSpec()) -> DataFrame:
+    """segment, channel, entity, cluster: every segment clustered by itself, all in one plan. features: segment, channel, entity, f.
+
+    Subsets are groups of (segment, subset, channel). The segments' centroids, k each, go to the entities as one
+    broadcast row a segment.
+    """
+    counts = features.groupBy("segment").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 0
+    subsets = subset_count(spec, counts)
+    parted = assign_subsets(features, subsets, spec.seed).select(F.col("segment"), "subset", "channel", "entity", "f")
+
+    def run(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
+        points = np.array(group.sort_values("entity")["f"].to_list(), float)
+        reps, weights = local.kmeans(points, spec.k, spec.seed * 1_000_003 + int(key[1]), distance=spec.distance)
+        return pd.DataFrame({"segment": key[0], "subset": key[1], "channel": key[2], "slot": np.arange(len(reps)), "f": [list(map(float, r)) for r in reps], "weight": np.ones(len(reps)) if spec.weight == "none" else np.asarray(weights, float)})
+
+    reps = written(parted.groupBy("segment", "subset", "channel").applyInPandas(run, "segment long, " + REPRESENTATIVE), "representatives")
+    n, d = reps.agg(F.count(F.lit(1)), F.max(F.size("f"))).first()
+    if (n or 0) * (d or 0) > MOST_NUMBERS:
+        raise ValueError(f"{n} representatives are over {MOST_NUMBERS} numbers: make fewer, larger subsets")
+    by: dict[int, list] = {}
+    for r in reps.orderBy("segment", "subset", "channel", "slot").collect():
+        by.setdefault(r["segment"], []).append(r)
+    table = [(segment, [list(map(float, c)) for c in _centres(rows, spec)]) for segment, rows in by.items()]
+    centres = features.sparkSession.createDataFrame(table, "segment long, c array<array<double>>")
+    gap = lambda c: F.aggregate(F.zip_with("f", c, lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda a, x: a + x)
+    nearest = F.array_sort(F.transform("c", lambda c, i: F.struct(gap(c).alias("d"), i.alias("i"))))[0]["i"]
+    return features.join(F.broadcast(centres), "segment").select("segment", "channel", "entity", nearest.cast("int").alias("cluster"))
+
+
 def balance(labels: DataFrame) -> DataFrame:
     """cluster, channel, n, share of its channel: uneven clusters limit what restricting comparisons can save."""
     counts = labels.groupBy("channel", "cluster").agg(F.count(F.lit(1)).alias("n"))

@@ -2,6 +2,7 @@
 
 The number of distances grows with the square of the number of series. Up to MOST_SERIES the map is exact; beyond
 it landmarks are mapped exactly and all others placed among them in one pass (approximate, asked for by name).
+Affinities come to the driver as rows of a matrix of 4-byte numbers: 100 MB for MOST_SERIES.
 """
 
 from __future__ import annotations
@@ -10,7 +11,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from channelalign.functions import dtw
@@ -26,11 +27,13 @@ def coarsen(binned: DataFrame, n_bins: int, most_bins: int) -> tuple[DataFrame,
 
 
 def series(binned: DataFrame, n_bins: int) -> DataFrame:
-    """vectors with a place ``i`` (0, 1, ... by channel and entity) and n_bins. For a bounded number of series."""
-    from pyspark.sql import Window
-
+    """vectors with a place ``i`` (0, 1, ... by hash bucket, channel and entity) and n_bins. Numbered by counts of 256 buckets, so no task sees all series."""
     v = to_vectors(binned)
-    return v.withColumn("i", (F.row_number().over(Window.orderBy("channel", "entity")) - 1).cast("long")).withColumn("n_bins", F.lit(n_bins))
+    bucket = F.pmod(F.xxhash64("channel", "entity"), F.lit(256))
+    counts = binned.select("channel", "entity").distinct().groupBy(bucket.alias("_b")).agg(F.count(F.lit(1)).alias("_n"))
+    before = counts.select("_b", (F.sum("_n").over(Window.orderBy("_b")) - F.col("_n")).alias("_before"))  # over 256 rows
+    own = v.withColumn("_b", bucket).withColumn("_r", F.row_number().over(Window.partitionBy("_b").orderBy("channel", "entity")) - 1)
+    return own.join(F.broadcast(before), "_b").withColumn("i", (F.col("_before") + F.col("_r")).cast("long")).drop("_b", "_r", "_before").withColumn("n_bins", F.lit(n_bins))
 
 
 def _apart(x: tuple[np.ndarray, np.ndarray], y: tuple[np.ndarray, np.ndarray], n_bins: int, band: int | None) -> float:
@@ -43,28 +46,60 @@ def _distance(bins_x, counts_x, bins_y, counts_y, n_bins: int, band: int | None)
     return _apart(dtw.compress(bins_x, counts_x, n_bins), dtw.compress(bins_y, counts_y, n_bins), n_bins, band)
 
 
-def affinity(vectors: DataFrame, tau: float, band: int | None = None, blocks: int = 8) -> DataFrame:
-    """(i, j, w), i < j: exp(-distance / tau). Blocks of series meet each other once; a task holds two blocks."""
-    if tau <= 0:
-        raise ValueError("tau must be above 0")
+def _blocks_meet(vectors: DataFrame, meet, schema: str, blocks: int) -> DataFrame:
+    """Blocks of series meet each other once; a task holds two blocks."""
     v = vectors.select("i", "bins", "cnts", "n_bins").withColumn("b", F.pmod("i", F.lit(blocks)).cast("int"))
     grid = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
     v = v.withColumn("o", grid).withColumns({"p": F.least("b", "o"), "q": F.greatest("b", "o")})
+    return v.groupBy("p", "q").applyInPandas(meet, schema)
+
+
+def _block_distances(group: pd.DataFrame, band: int | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(places of the left series, of the right, distances between them) of a task's two blocks."""
+    p, q, n_bins = int(group["p"].iloc[0]), int(group["q"].iloc[0]), int(group["n_bins"].iloc[0])
+    forms: dict[tuple, int] = {}  # equal series are warped once
+    group = group.assign(form=[forms.setdefault((tuple(x), tuple(y)), len(forms)) for x, y in zip(group["bins"], group["cnts"], strict=True)])
+    runs = [dtw.compress(np.array(x), np.array(y), n_bins) for x, y in forms]
+    left, right = group[group["b"] == p], group[group["b"] == q]
+    (rows, row), (columns, column) = np.unique(left["form"], return_inverse=True), np.unique(right["form"], return_inverse=True)
+    if p == q:  # distances are the same both ways
+        d = np.zeros((len(rows), len(columns)))
+        for x in range(len(rows)):
+            for y in range(x + 1, len(rows)):
+                d[x, y] = d[y, x] = _apart(runs[rows[x]], runs[rows[y]], n_bins, band)
+    else:
+        d = np.array([_apart(runs[x], runs[y], n_bins, band) for x in rows for y in columns]).reshape(len(rows), len(columns))
+    return left["i"].to_numpy(), right["i"].to_numpy(), d[row[:, None], column[None]]
+
+
+def distances(vectors: DataFrame, band: int | None = None, blocks: int = 8) -> DataFrame:
+    """(i, j, d), i < j: the warping distance of every two series. The rows grow with the square of the series."""
 
     def meet(group: pd.DataFrame) -> pd.DataFrame:
-        p, q, n_bins = int(group["p"].iloc[0]), int(group["q"].iloc[0]), int(group["n_bins"].iloc[0])
-        forms: dict[tuple, int] = {}  # equal series are warped once
-        group = group.assign(form=[forms.setdefault((tuple(x), tuple(y)), len(forms)) for x, y in zip(group["bins"], group["cnts"], strict=True)])
-        runs = [dtw.compress(np.array(x), np.array(y), n_bins) for x, y in forms]
-        left, right = group[group["b"] == p], group[group["b"] == q]
-        (rows, row), (columns, column) = np.unique(left["form"], return_inverse=True), np.unique(right["form"], return_inverse=True)
-        d = np.array([_apart(runs[x], runs[y], n_bins, band) for x in rows for y in columns]).reshape(len(rows), len(columns))
-        i, j = np.meshgrid(left["i"].to_numpy(), right["i"].to_numpy(), indexing="ij")
-        kept = i < j if p == q else np.ones(i.shape, bool)
-        w = np.exp(-d / tau)[row[:, None], column[None]]
-        return pd.DataFrame({"i": np.minimum(i, j)[kept], "j": np.maximum(i, j)[kept], "w": w[kept]}).astype({"i": "int64", "j": "int64", "w": "float64"})
+        left, right, d = _block_distances(group, band)
+        i, j = np.meshgrid(left, right, indexing="ij")
+        kept = i < j if group["p"].iloc[0] == group["q"].iloc[0] else np.ones(i.shape, bool)
+        return pd.DataFrame({"i": np.minimum(i, j)[kept], "j": np.maximum(i, j)[kept], "d": d[kept]}).astype({"i": "int64", "j": "int64", "d": "float64"})
+
+    return _blocks_meet(vectors, meet, "i long, j long, d double", blocks)
+
+
+def affinity(vectors: DataFrame, tau: float, band: int | None = None, blocks: int = 8) -> DataFrame:
+    """(i, j, w), i < j: exp(-distance / tau)."""
+    if tau <= 0:
+        raise ValueError("tau must be above 0")
+    return distances(vectors, band, blocks).select("i", "j", F.exp(-F.col("d") / tau).alias("w"))
+
+
+def affinity_rows(vectors: DataFrame, tau: float, band: int | None = None, blocks: int = 8) -> DataFrame:
+    """(i, js, ws): of each series and block of others, their places and affinities, as little-endian bytes of 8 and 4 bytes a number."""
+
+    def meet(group: pd.DataFrame) -> pd.DataFrame:
+        left, right, d = _block_distances(group, band)
+        js, w = right.astype("<i8").tobytes(), np.exp(-d / tau).astype("<f4")
+        return pd.DataFrame({"i": left, "js": [js] * len(left), "ws": [x.tobytes() for x in w]})
 
-    return v.groupBy("p", "q").applyInPandas(meet, "i long, j long, w double")
+    return _blocks_meet(vectors, meet, "i long, js binary, ws binary", blocks)
 
 
 def laplacian(w: DataFrame) -> DataFrame:
@@ -99,14 +134,16 @@ def eigenmap(vectors: DataFrame, p: int, tau: float, band: int | None = None, ze
     else:
         if landmarks > MOST_SERIES:
             raise ValueError(f"at most {MOST_SERIES} landmarks")
-        chosen = vectors.orderBy(F.xxhash64("channel", "entity", F.lit(seed)), "channel", "entity").limit(landmarks)
+        chosen = vectors.orderBy(F.xxhash64("channel", "entity", F.lit(seed)), "channel", "entity").limit(landmarks)  # a top-k: each task keeps its own least
         names = [(r["i"], r["channel"], r["entity"]) for r in chosen.select("i", "channel", "entity").orderBy("i").collect()]
         chosen = vectors.join(F.broadcast(spark.createDataFrame([(x[0],) for x in names], "i long")), "i", "left_semi")
     place = {x[0]: k for k, x in enumerate(names)}
-    w = np.zeros((len(names), len(names)))
-    found = affinity(chosen, tau, band).toArrow()
-    i, j = (np.searchsorted([x[0] for x in names], found.column(c).to_numpy()) for c in ("i", "j"))
-    w[i, j] = w[j, i] = found.column("w").to_numpy()
+    ids, w = np.array([x[0] for x in names], np.int64), np.zeros((len(names), len(names)))
+    # At most MOST_SERIES squared numbers of 4 bytes, in packed rows, a partition of them at a time.
+    for r in affinity_rows(chosen, tau, band).toLocalIterator():
+        i, js = np.searchsorted(ids, r["i"]), np.searchsorted(ids, np.frombuffer(r["js"], "<i8"))
+        w[i, js] = w[js, i] = np.frombuffer(r["ws"], "<f4")
+    np.fill_diagonal(w, 0.0)
     at, _ = _eigen(w, p, zero_tol)
     exact = spark.createDataFrame([(c, e, [float(x) for x in at[k]]) for k, (_, c, e) in enumerate(names)], "channel string, entity long, f array<double>")
     if landmarks is None or landmarks >= n:

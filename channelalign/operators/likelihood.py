@@ -9,8 +9,8 @@ from pyspark.sql import functions as F
 
 
 def training_sample(binned: DataFrame, left: str, right: str, left_fraction: float = 1.0, right_fraction: float = 1.0, seed: int = 0) -> DataFrame:
-    """The rows of sampled entities: a hash of the entity decides, so an entity is in or out as a whole, on every retry. Sampling one side only keeps the partners of what is sampled."""
-    chance = F.pmod(F.xxhash64("channel", "entity", F.lit(seed)), F.lit(1_000_000)) / 1_000_000
+    """The rows of sampled entities: integer arithmetic on the entity decides (any SQL engine repeats it), so an entity is in or out as a whole, on every retry. Sampling one side only keeps the partners of what is sampled."""
+    chance = F.pmod(F.pmod(F.col("entity") * 7919 + (seed + 1) * 104_729, F.lit(1_000_003)) * 31_337 + 613, F.lit(1_000_003)) / 1_000_003
     return binned.where(F.when(F.col("channel") == left, chance < left_fraction).when(F.col("channel") == right, chance < right_fraction).otherwise(False))
 
 
@@ -96,9 +96,13 @@ def ks_rayleigh(maxima: DataFrame, keys: tuple[str, ...] = ()) -> DataFrame:
     """keys, ks: the greatest distance of the sample's distribution from the fitted one."""
     fitted = fit_rayleigh(maxima, keys)
     steps = maxima.groupBy(*keys, "s").agg(F.count(F.lit(1)).alias("_c"))
-    own = Window.partitionBy(*keys) if keys else Window.partitionBy(F.lit(0))
-    upto = own.orderBy("s").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    steps = steps.withColumns({"_k": F.sum("_c").over(upto), "_n": F.sum("_c").over(own)})
+    # Running counts by way of 1024 buckets of the value: no window holds more than a bucket, or the buckets' totals.
+    steps = steps.withColumn("_b", F.floor(F.col("s") * 1024))
+    held = steps.groupBy(*keys, "_b").agg(F.sum("_c").alias("_h"))
+    every = Window.partitionBy(*keys) if keys else Window.partitionBy(F.lit(0))  # over at most 1025 rows
+    held = held.select(*keys, "_b", (F.sum("_h").over(every.orderBy("_b")) - F.col("_h")).alias("_before"), F.sum("_h").over(every).alias("_n"))
+    upto = Window.partitionBy(*keys, "_b").orderBy("s").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    steps = steps.withColumn("_k", F.sum("_c").over(upto)).join(held, [*keys, "_b"]).withColumn("_k", F.col("_k") + F.col("_before"))
     at = (steps.join(fitted, list(keys)) if keys else steps.crossJoin(F.broadcast(fitted))).withColumn("_f", rayleigh_cdf(F.col("s"), F.nullif("sigma", F.lit(0.0))))
     far = F.greatest(F.abs(F.col("_k") / F.col("_n") - F.col("_f")), F.abs((F.col("_k") - F.col("_c")) / F.col("_n") - F.col("_f")))
     return at.groupBy(*keys).agg(F.max(far).alias("ks"))

@@ -77,3 +77,18 @@ def with_attributes(features: DataFrame, extra: DataFrame, columns: list[str]) -
     """Further attributes of the entities, scaled likewise, behind the others; missing ones are 0."""
     more = scaled(extra, columns).withColumnRenamed("f", "_more")
     return features.join(more, ["channel", "entity"], "left").select("channel", "entity", F.concat("f", F.coalesce("_more", F.array(*[F.lit(0.0)] * len(columns)))).alias("f"))
+
+
+def segment_features(planned: DataFrame, bins_a_segment: int) -> DataFrame:
+    """segment, channel, entity, f: the three measures within each segment, whose bins are numbered from its start; scaled by the segment's maxima. The first event is told to a bin."""
+    own = Window.partitionBy("segment", "channel", "entity").orderBy("bin")
+    at = F.pmod(F.col("bin"), F.lit(bins_a_segment))
+    before, gap = F.lag("cnt").over(own), F.col("bin") - F.lag("bin").over(own)
+    up = F.when(before.isNull(), F.when(at > 0, F.col("cnt")).otherwise(0)).when(gap == 1, F.abs(F.col("cnt") - before)).otherwise(F.col("cnt") + before)
+    down = F.when(F.lead("bin").over(own).isNull() & (at < bins_a_segment - 1), F.col("cnt")).otherwise(0)
+    raw = planned.select("segment", "channel", "entity", "cnt", at.alias("_at"), (up + down).alias("_c")).groupBy("segment", "channel", "entity").agg(
+        (F.sum("cnt") / bins_a_segment).alias("aec"), (F.sum("_c") / max(1, bins_a_segment - 1)).alias("dec"), F.min("_at").cast("double").alias("ie")
+    )
+    most = raw.groupBy("segment").agg(*[F.max(c).alias(f"_m_{c}") for c in ("aec", "dec", "ie")])
+    wide = raw.join(F.broadcast(most), "segment")  # a row for each segment
+    return wide.select("segment", "channel", "entity", F.array(*[F.coalesce(F.col(c) / F.nullif(F.col(f"_m_{c}"), F.lit(0)), F.lit(0.0)).cast("double") for c in ("aec", "dec", "ie")]).alias("f"))

@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 from channelalign.operators import likelihood, matching, similarity
 from channelalign.operators.binning import DAY_US
+from channelalign.sources.shared import written
+from channelalign.sources.state import StateStore
 
 STATE = ("u", "v", "score", "n_segments", "last_segment")
 
@@ -33,29 +35,43 @@ def plan(binned: DataFrame, segment: Column) -> DataFrame:
 def train(binned: DataFrame, left: str, right: str, m: int | str = 10, left_fraction: float = 1.0, right_fraction: float = 1.0, seed: int = 0, scope: str = "row", pairs: DataFrame | None = None) -> DataFrame:
     """One model per segment: segment, sigma1, sigma0, n1, n0. Trained on pairs without regard to clusters.
 
-    pairs: all similarities of the segments, if they are at hand and nothing is sampled.
+    pairs: all similarities of the segments, if they are at hand and nothing is sampled. A sample of the left
+    entities keeps all their partners; the products of the training join shrink with the fraction.
     """
     keys = ("segment",)
     sample = binned if left_fraction >= 1 and right_fraction >= 1 else likelihood.training_sample(binned, left, right, left_fraction, right_fraction, seed)
     if pairs is None or sample is not binned:
-        pairs = similarity.pairwise_cosine(sample, left, right, keys=keys)
+        pairs = written(similarity.pairwise_cosine(sample, left, right, keys=keys), "training")
     us, vs = likelihood.entities(sample, left, "u", keys), likelihood.entities(sample, right, "v", keys)
     h1 = likelihood.h1_maxima(pairs, us, keys)
     h0 = likelihood.h0_maxima(pairs, us, vs, m, seed, scope, keys=keys)
     return likelihood.fit_model(h1, h0, keys)
 
 
-def score_segments(binned: DataFrame, left: str, right: str, labels: DataFrame | None = None, form: str = "ratio", model: DataFrame | None = None, absent: str = "neutral", pairs: DataFrame | None = None, **how) -> DataFrame:
+#: The share of left entities that a model is trained on where the scored pairs are not all pairs (clusters, a least similarity).
+TRAINED = 0.1
+
+
+def score_segments(
+    binned: DataFrame, left: str, right: str, labels: DataFrame | None = None, form: str = "ratio", model: DataFrame | None = None, absent: str = "neutral", pairs: DataFrame | None = None,
+    min_sim: float | None = None, prune: bool = False, salts: int = 1, left_fraction: float | None = None, **how,
+) -> DataFrame:
     """segment, u, v, sim, score of every pair of every segment in one plan.
 
+    Pairs are computed once and written: the model and the scores both read them. With labels (with or without a
+    segment of their own) or min_sim they are not all pairs; the model is then trained on a sample of the left
+    entities (left_fraction, TRAINED by default) against all right ones, so no join of all pairs is made. Without
+    either, left_fraction is 1 and nothing is joined twice. min_sim leaves pairs below it unscored.
+
     absent active_zero: pairs that were seen in some segment get the score of similarity 0 for every other segment
     in which both entities are active.
     """
     keys = ("segment",)
+    whole = labels is None and min_sim is None
     if pairs is None:
-        pairs = similarity.pairwise_cosine(binned, left, right, labels=labels, keys=keys)
+        pairs = written(similarity.pairwise_cosine(binned, left, right, labels=labels, keys=keys, min_sim=min_sim, prune=prune and min_sim is not None, salts=salts), "pairs")
     if model is None:
-        model = train(binned, left, right, pairs=pairs if labels is None else None, **how)
+        model = train(binned, left, right, pairs=pairs if whole else None, left_fraction=left_fraction or (1.0 if whole else TRAINED), **how)
     scored = likelihood.score(pairs.select("segment", "u", "v", "sim"), model, form, keys)
     if absent == "neutral":
         return scored
@@ -100,14 +116,15 @@ def matches(state: DataFrame, theta: float, rule: str = "best", how: str = "inte
 
 
 def run_all(binned: DataFrame, left: str, right: str, segments: list[int], store, **how) -> DataFrame:
-    """The loop: each segment is run by itself and its scores join the stored state of the runs before.
+    """The loop: each segment is run by itself and its scores join the stored ones of the runs before.
 
-    store: a channelalign.sources.state.StateStore. A segment that the store already has is skipped, so a run that
-    broke off goes on where it stopped and none counts twice. Plans stay short, since the state is read anew.
+    store: a SegmentStore (writes the segment's scores only) or a StateStore (writes the whole state) of
+    channelalign.sources.state. A segment that the store already has is skipped, so a run that broke off goes on
+    where it stopped and none counts twice. Plans stay short, since the state is read anew.
     """
     for segment in segments:
         if store.has(segment):
             continue
-        now = binned.where(F.col("segment") == segment)
-        store.commit(segment, accumulate(score_segments(now, left, right, **how), store.read()))
+        now = score_segments(binned.where(F.col("segment") == segment), left, right, **how)
+        store.commit(segment, accumulate(now, store.read()) if isinstance(store, StateStore) else now)
     return store.read()

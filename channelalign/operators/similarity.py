@@ -9,13 +9,14 @@ from pyspark.sql import functions as F
 
 
 def _sides(binned: DataFrame, left: str, right: str, labels: DataFrame | None, keys: tuple[str, ...]) -> tuple[DataFrame, DataFrame, list[str]]:
-    """Rows of either channel with their vector's squared norm, and the columns that both must agree on."""
+    """Rows of either channel with their vector's squared norm, and the columns that both must agree on. Labels with a column of the keys (the segment) hold for that key only."""
     rows = binned.where(F.col("channel").isin(left, right))
     norm = F.sum(F.col("cnt") * F.col("cnt")).over(Window.partitionBy(*keys, "channel", "entity"))
     rows = rows.withColumn("sq", norm)
     on = [*keys, "bin"]
     if labels is not None:
-        rows, on = rows.join(labels.select("channel", "entity", "cluster"), ["channel", "entity"]), [*keys, "cluster", "bin"]
+        by = [*[k for k in keys if k in labels.columns], "channel", "entity"]
+        rows, on = rows.join(labels.select(*by, "cluster"), by), [*keys, "cluster", "bin"]
     a = rows.where(F.col("channel") == left).select(*on, F.col("entity").alias("u"), F.col("cnt").alias("cu"), F.col("sq").alias("squ"))
     b = rows.where(F.col("channel") == right).select(*on, F.col("entity").alias("v"), F.col("cnt").alias("cv"), F.col("sq").alias("sqv"))
     return a, b, on
@@ -35,8 +36,8 @@ def _salted(a: DataFrame, b: DataFrame, on: list[str], salts: int, hot: int) ->
     return a, b, [*on, "_salt"]
 
 
-def pairwise_cosine(binned: DataFrame, left: str, right: str, labels: DataFrame | None = None, keys: tuple[str, ...] = (), min_sim: float | None = None, prune: bool = False, salts: int = 1, hot: int = 10_000_000) -> DataFrame:
-    """Cosine similarity of all pairs that share a bin, or of those of equal cluster.
+def pairwise_cosine(binned: DataFrame, left: str, right: str, labels: DataFrame | None = None, keys: tuple[str, ...] = (), min_sim: float | None = None, prune: bool = False, salts: int = 1, hot: int = 10_000_000, several: bool = False) -> DataFrame:
+    """Cosine similarity of all pairs that share a bin, or of those of equal cluster (several: entities have several labels each).
 
     An inverted index in long form: rows meet on (keys, cluster, bin) and their products are summed per pair, with
     partial sums before the shuffle; norms travel with the rows, so pairs are shuffled once. keys: columns that
@@ -51,6 +52,11 @@ def pairwise_cosine(binned: DataFrame, left: str, right: str, labels: DataFrame
     if salts > 1:
         a, b, on = _salted(a, b, on, salts, hot)
     met = a.join(b, on)
+    if labels is not None:  # entities may have several labels: what a pair has in one cluster is all of its dot product
+        met = met.groupBy(*keys, "cluster", "u", "v").agg(F.sum(F.col("cu") * F.col("cv")).alias("dot"), F.max("squ").alias("squ"), F.max("sqv").alias("sqv"))
+        pairs = met.dropDuplicates([*keys, "u", "v"]) if several else met
+        pairs = pairs.select(*keys, "u", "v", "dot", cosine().alias("sim"))
+        return pairs if min_sim is None else pairs.where(F.col("sim") >= min_sim)
     pairs = met.groupBy(*keys, "u", "v").agg(F.sum(F.col("cu") * F.col("cv")).alias("dot"), F.max("squ").alias("squ"), F.max("sqv").alias("sqv"))
     pairs = pairs.select(*keys, "u", "v", "dot", cosine().alias("sim"))
     return pairs if min_sim is None else pairs.where(F.col("sim") >= min_sim)

@@ -218,3 +218,27 @@ ORACLES: dict[str, str] = {
 # Segments from the epoch of the unpinned pipeline: weeks since 1970.
 ORACLES["pipeline_segments"] = sql([twin(), bins(HOUR, origin=0, segment=WEEK), pairs(seg=True), maxima(), MODEL, SCORED, "st AS (SELECT u, v, sum(score) AS score FROM sc GROUP BY ALL)", best("st", "score", where="score >= 1.0"), measures()], "SELECT * FROM ms")
 del ORACLES["pipeline_all"]
+# Draws of the other side, and of pairs from all.
+_DRAW = "((({u}) * 7919 + (j + 1) * 104729 + {seed} * 15485863) % 1000003 * 31337 + ({u}) * 613 + j * 86028121) % {total}"
+_PLACED_U = "nu AS (SELECT segment, u, row_number() OVER (PARTITION BY segment ORDER BY u % 64, u) - 1 AS place, count(*) OVER (PARTITION BY segment) AS total FROM us)"
+_TEN = "(SELECT unnest(range(0, 10)) AS j)"
+ORACLES["h0_by_right"] = sql(weekly(_PLACED_U, "ut AS (SELECT segment, max(total) AS t FROM nu GROUP BY ALL)", f"dv AS (SELECT segment, v, {_DRAW.format(u='v', seed=0, total='t')} AS place FROM vs JOIN ut USING (segment), {_TEN})"), "SELECT segment, v, round(max(coalesce(sim, 0.0)), 9) AS s FROM dv JOIN nu USING (segment, place) LEFT JOIN pr USING (segment, u, v) GROUP BY segment, v")
+ORACLES["h0_pool"] = sql(
+    weekly(_PLACED_U, "ut AS (SELECT segment, max(total) AS t FROM nu GROUP BY ALL)", f"dp AS (SELECT segment, u AS own, {_DRAW.format(u='u', seed=0, total='total')} AS vp, {_DRAW.format(u='u', seed=1, total='t')} AS up FROM us JOIN tt USING (segment) JOIN ut USING (segment), {_TEN})"),
+    "SELECT dp.segment, own AS u, round(max(coalesce(sim, 0.0)), 9) AS s FROM dp JOIN vs ON vs.segment = dp.segment AND vs.place = vp JOIN nu ON nu.segment = dp.segment AND nu.place = up LEFT JOIN pr ON pr.segment = dp.segment AND pr.u = nu.u AND pr.v = vs.v GROUP BY dp.segment, own",
+)
+ORACLES["stream_split_segments"] = ORACLES["stream_equals_batch"]
+ORACLES["metrics_sweep_28d_supplier"] = sql([supplier_twin(), bins(DAY, origin=0, segment="CAST(floor(bin / 28.0) AS BIGINT)"), pairs(seg=True), maxima(), MODEL, SCORED, STATE, sweep()], "SELECT * FROM ms")
+# Weekly segments within activity bands: fb are all bins, bn those of the training sample.
+_SAMPLED = "bn AS (SELECT * FROM fb WHERE channel = 'b' OR ((entity * 7919 + 104729) % 1000003 * 31337 + 613) % 1000003 / 1000003.0 < 0.2)"
+_BANDED = [twin(), bins(HOUR, origin=0, segment=WEEK, name="fb"), BAND.replace("FROM bn", "FROM fb"), _SAMPLED, "lf AS (SELECT fb.*, cluster FROM fb JOIN lb USING (channel, entity))"]
+ORACLES["pipeline_segments_clustered"] = sql(
+    [
+        *_BANDED, pairs(seg=True), maxima(), MODEL, "sf AS (SELECT segment, channel, entity, CAST(sum(cnt * cnt) AS BIGINT) AS q FROM fb GROUP BY ALL)",
+        "df AS (SELECT l.segment, l.entity AS u, r.entity AS v, CAST(sum(l.cnt * r.cnt) AS BIGINT) AS dot FROM lf l JOIN lf r ON l.bin = r.bin AND l.segment = r.segment AND l.cluster = r.cluster AND l.channel = 'a' AND r.channel = 'b' GROUP BY ALL)",
+        "pf AS (SELECT df.segment, u, v, dot / sqrt(CAST(x.q * y.q AS DOUBLE)) AS sim FROM df JOIN sf x ON x.channel = 'a' AND x.entity = u AND x.segment = df.segment JOIN sf y ON y.channel = 'b' AND y.entity = v AND y.segment = df.segment)",
+        SCORED.replace("FROM pr", "FROM pf"), "st AS (SELECT u, v, sum(score) AS score FROM sc GROUP BY ALL)", best("st", "score", where="score >= 1.0"), measures(),
+    ], "SELECT * FROM ms",
+)
+_PRODUCTS = "(SELECT CAST(sum(a * b) AS BIGINT) FROM (SELECT count(*) FILTER (channel = 'a') AS a, count(*) FILTER (channel = 'b') AS b FROM {0} GROUP BY {1})) AS {2}"
+ORACLES["products_segments_clustered"] = sql(_BANDED, "SELECT " + ", ".join(_PRODUCTS.format(*x) for x in (("fb", "segment, bin", "unclustered"), ("lf", "segment, bin, cluster", "clustered"), ("bn", "segment, bin", "training"))))

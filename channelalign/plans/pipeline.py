@@ -7,9 +7,10 @@ from dataclasses import dataclass, field, replace
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from channelalign.operators import cluster, embed, matching, metrics, reduced, segments, similarity
-from channelalign.operators.binning import HOUR_US, bin_events, span
+from channelalign.operators import cluster, embed, likelihood, matching, metrics, reduced, segments, similarity
+from channelalign.operators.binning import DAY_US, HOUR_US, bin_events, span
 from channelalign.operators.cluster import ClusterSpec
+from channelalign.sources.shared import written
 
 
 @dataclass(frozen=True)
@@ -22,7 +23,13 @@ class MatchSpec:
 
 @dataclass(frozen=True)
 class AlignSpec:
-    """feature: None (no clustering), 'reduced' or 'embedded'. every_days: segments with likelihood scores, or None. score_theta: least accumulated score. exact_to: landmarks serve only for more series than that."""
+    """feature: None (no clustering), 'reduced', 'embedded' or 'given' (labels are handed to align). every_days: segments with likelihood scores, or None. score_theta: least accumulated score. exact_to: landmarks serve only for more series than that.
+
+    With segments, per_segment makes features and clusters of every segment's own range (reduced only);
+    train_fraction is the share of left entities that each segment's model is trained on (None: all where nothing is
+    clustered, segments.TRAINED otherwise); match.theta is the least similarity of a pair to be scored. prune and
+    salts hold with and without segments; salts 0 takes as many as keep a bin's products near ``hot``.
+    """
 
     width_us: int = HOUR_US
     origin_us: int | None = None
@@ -39,8 +46,11 @@ class AlignSpec:
     landmarks: int | None = None
     exact_to: int = 0
     prune: bool = False
-    salts: int = 1
+    salts: int = 0
+    hot: int = 10_000_000
     most_products: int | None = None
+    per_segment: bool = False
+    train_fraction: float | None = None
 
 
 @dataclass
@@ -56,9 +66,10 @@ class PlanTooLarge(RuntimeError):
 
 
 def labels_for(events: DataFrame, binned: DataFrame, spec: AlignSpec) -> DataFrame | None:
-    """Cluster labels by the chosen feature."""
+    """Cluster labels by the chosen feature, of all events."""
     if spec.feature is None:
         return None
+    binned = binned.select("channel", "entity", "bin", "cnt")
     if spec.feature == "reduced":
         features = reduced.reduced_features(events, spec.width_us, origin_us=spec.origin_us, role=spec.role)
     elif spec.feature == "embedded":
@@ -70,25 +81,46 @@ def labels_for(events: DataFrame, binned: DataFrame, spec: AlignSpec) -> DataFra
     return cluster.representative_clusters(features, spec.cluster)[0]
 
 
-def estimate(binned: DataFrame, left: str, right: str, labels: DataFrame | None = None) -> dict[str, int]:
+def estimate(binned: DataFrame, left: str, right: str, labels: DataFrame | None = None, keys: tuple[str, ...] = ()) -> dict[str, int]:
     """Rows that the similarity join will make, before it is started."""
-    return metrics.partial_products(binned, left, right, labels).first().asDict()
+    return metrics.partial_products(binned, left, right, labels, keys).first().asDict()
+
+
+def _training_products(planned: DataFrame, left: str, right: str, fraction: float) -> int:
+    sample = likelihood.training_sample(planned, left, right, fraction)
+    return estimate(sample, left, right, None, ("segment",))["products"]
 
 
-def align(events: DataFrame, left: str, right: str, spec: AlignSpec = AlignSpec()) -> AlignResult:
-    """Matches between two channels; see AlignSpec for the stages that can be switched."""
+def align(events: DataFrame, left: str, right: str, spec: AlignSpec = AlignSpec(), labels: DataFrame | None = None) -> AlignResult:
+    """Matches between two channels; see AlignSpec for the stages that can be switched. labels: channel, entity, cluster and, if they differ by segment, segment; they take the place of the clustering."""
     events = events.where(F.col("channel").isin(left, right))
     if spec.every_days is not None and spec.origin_us is None:
         spec = replace(spec, origin_us=0)
     binned = bin_events(events, spec.width_us, spec.origin_us, spec.role)
-    labels = labels_for(events, binned, spec)
-    if spec.most_products is not None and (made := estimate(binned, left, right, labels)["products"]) > spec.most_products:
-        raise PlanTooLarge(f"{made} products are over {spec.most_products}: use more clusters, smaller bins, segments or pruning")
+    keys: tuple[str, ...] = ()
     if spec.every_days is not None:
-        planned = segments.plan(binned, segments.segment_of_bin(spec.width_us, spec.every_days, spec.origin_us))
-        state = segments.accumulate(segments.score_segments(planned, left, right, labels, m=spec.m))
-        return AlignResult(segments.matches(state, spec.score_theta, spec.match.rule, spec.match.how, spec.match.m), state, labels, planned)
-    pairs = similarity.pairwise_cosine(binned, left, right, labels, min_sim=spec.match.theta, prune=spec.prune, salts=spec.salts)
+        keys = ("segment",)
+        binned = segments.plan(binned, segments.segment_of_bin(spec.width_us, spec.every_days, spec.origin_us))
+    if labels is None and spec.per_segment and spec.feature is not None:
+        if spec.feature != "reduced" or not keys:
+            raise ValueError("clusters of segments need segments and the reduced feature")
+        labels = written(cluster.segment_clusters(reduced.segment_features(binned, spec.every_days * DAY_US // spec.width_us), spec.cluster), "labels")
+    elif labels is None and spec.feature is not None:
+        labels = written(labels_for(events, binned, spec), "labels")
+    salts = spec.salts
+    if spec.most_products is not None or salts == 0:
+        made = estimate(binned, left, right, labels, keys)
+        salts = salts or max(1, min(1024, -(-made["busiest"] // spec.hot)))
+        total = made["products"]
+        if keys and (labels is not None or spec.match.theta is not None) and spec.most_products is not None:
+            total += _training_products(binned, left, right, spec.train_fraction or segments.TRAINED)
+        if spec.most_products is not None and total > spec.most_products:
+            raise PlanTooLarge(f"{total} products are over {spec.most_products}: use more clusters, smaller bins, segments or pruning")
+    if keys:
+        scored = segments.score_segments(binned, left, right, labels, m=spec.m, min_sim=spec.match.theta, prune=spec.prune, salts=salts, left_fraction=spec.train_fraction)
+        state = segments.accumulate(scored)
+        return AlignResult(segments.matches(state, spec.score_theta, spec.match.rule, spec.match.how, spec.match.m), state, labels, binned)
+    pairs = similarity.pairwise_cosine(binned, left, right, labels, min_sim=spec.match.theta, prune=spec.prune and spec.match.theta is not None, salts=salts, hot=spec.hot)
     found = matching.reconcile(pairs, spec.match.how, spec.match.rule, spec.match.theta, spec.match.m)
     return AlignResult(found, pairs, labels, binned)
 

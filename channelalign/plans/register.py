@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import time
 import uuid
 from collections.abc import Callable
+from dataclasses import replace
 from functools import partial
 
 from pyspark.sql import DataFrame, SparkSession
@@ -17,8 +19,8 @@ from channelalign.plans.oracle import ORACLES
 from channelalign.plans.pipeline import AlignSpec, align, align_all
 from channelalign.sources.channels import embedding_features, event_stream, events_channels, lineitem_channels, orders_channel
 from channelalign.sources.planted import planted_events, planted_lineitem
-from channelalign.sources.shared import shared_dir
-from channelalign.sources.state import StateStore, write_days
+from channelalign.sources.shared import shared_dir, written
+from channelalign.sources.state import SegmentStore, write_days
 from channelalign.streaming import streams
 
 ORIGIN = 1_704_067_200_000_000  # 2024-01-01 UTC, the first day of the events table
@@ -200,6 +202,13 @@ def dtw_small(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(embed.affinity(_conversation_series(spark, sf_dir), 5.0))
 
 
+@query
+def affinity_small(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Warping distances and affinities of all conversations, side by side."""
+    d = embed.distances(_conversation_series(spark, sf_dir))
+    return rounded(d.withColumn("w", F.exp(-F.col("d") / 5.0)))
+
+
 @query
 def laplacian_small(spark: SparkSession, sf_dir: str) -> DataFrame:
     w = spark.createDataFrame([(0, 1, 1.0), (1, 2, 1.0), (0, 3, 0.25)], "i long, j long, w double")
@@ -535,8 +544,8 @@ def score_matches(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(segments.matches(segments.accumulate(_scored(spark, sf_dir)[0]), 1.0).select("u", "v", "score"))
 
 
-def _store(spark: SparkSession) -> StateStore:
-    return StateStore(spark, f"{shared_dir(spark)}/state-{uuid.uuid4().hex}")
+def _store(spark: SparkSession) -> SegmentStore:
+    return SegmentStore(spark, f"{shared_dir(spark)}/state-{uuid.uuid4().hex}")
 
 
 @query
@@ -559,6 +568,23 @@ def stream_equals_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(store.read())
 
 
+@query
+def stream_split_segments(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The state of a stream whose weeks come in two files each, a week's second half after the next week's first: late rows revise their segment's scores."""
+    base, store = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}", _store(spark)
+    events, _ = planted_events(spark, sf_dir, JITTER)
+    shifted = events.withColumn("us", F.col("us") - ORIGIN).withColumn("week", F.floor(F.col("us") / (7 * DAY_US))).withColumn("half", F.pmod(F.col("key"), F.lit(2)))
+    weeks = sorted(r[0] for r in shifted.select("week").distinct().collect())  # a few numbers
+    for n in range(len(weeks) + 1):
+        wanted = [(w, h) for w, h in ((weeks[n] if n < len(weeks) else None, 0), (weeks[n - 1] if n else None, 1)) if w is not None]
+        here = F.lit(False)
+        for w, h in wanted:
+            here |= (F.col("week") == w) & (F.col("half") == h)
+        shifted.where(here).drop("week", "half").coalesce(1).write.mode("append").parquet(f"{base}/weeks")
+    streams.start(event_stream(spark, f"{base}/weeks", 1), store, "a", "b", HOUR_US, 7, f"{base}/checkpoint", compact_every=2).awaitTermination()
+    return rounded(store.read())
+
+
 # ------------------------------------------------------------------ measures and baselines
 
 @query
@@ -597,6 +623,15 @@ def metrics_sweep_monthly_supplier(spark: SparkSession, sf_dir: str) -> DataFram
     return rounded(metrics.sweep(state, truth, THETAS), 9)
 
 
+@query
+def metrics_sweep_28d_supplier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Suppliers in segments of 28 days."""
+    events, truth = planted_lineitem(spark, sf_dir)
+    binned = segments.plan(binning.bin_events(events, DAY_US, 0), segments.segment_of_bin(DAY_US, 28))
+    state = segments.accumulate(segments.score_segments(binned, "a", "b")).withColumn("score", F.round("score", 6))
+    return rounded(metrics.sweep(state, truth, THETAS), 9)
+
+
 @query
 def jaccard_found_truth(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(metrics.jaccard(matching.reconcile(_pairs(spark, sf_dir)), planted_events(spark, sf_dir, JITTER)[1]), 9)
@@ -654,6 +689,97 @@ def pipeline_segments(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _run(spark, sf_dir, AlignSpec(every_days=7, score_theta=1.0), jitter_s=JITTER)
 
 
+def _banded_run(spark: SparkSession, sf_dir: str):
+    events, truth = planted_events(spark, sf_dir, JITTER)
+    return events, truth, cluster.activity_bands(binning.bin_events(events, HOUR_US, 0), BANDS)
+
+
+@query
+def pipeline_segments_clustered(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Weekly segments, compared within activity bands, models trained on a fifth of the left entities."""
+    events, truth, labels = _banded_run(spark, sf_dir)
+    return rounded(metrics.summary(align(events, "a", "b", AlignSpec(every_days=7, score_theta=1.0, train_fraction=0.2), labels).matches, truth), 9)
+
+
+@query
+def products_segments_clustered(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Products of the weekly joins: all pairs, those within bands, and those of the training sample."""
+    events, _, labels = _banded_run(spark, sf_dir)
+    planned = segments.plan(binning.bin_events(events, HOUR_US, 0), segments.segment_of_bin(HOUR_US, 7))
+    sample = likelihood.training_sample(planned, "a", "b", 0.2)
+    made = [metrics.partial_products(b, "a", "b", own, ("segment",)).select(F.col("products").alias(name)) for name, b, own in (("unclustered", planned, None), ("clustered", planned, labels), ("training", sample, None))]
+    return made[0].crossJoin(made[1]).crossJoin(made[2])
+
+
+@query
+def pipeline_segments_own_clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A whole run for each week: features and clusters of the week's own events, its pairs, its model."""
+    return _run(spark, sf_dir, AlignSpec(every_days=7, score_theta=1.0, feature="reduced", per_segment=True, cluster=ClusterSpec(k=3)), jitter_s=JITTER)
+
+
+def _ways(spark: SparkSession, events: DataFrame, truth: DataFrame, runs: dict[str, AlignSpec]) -> DataFrame:
+    """For each run: measures, products and seconds from events to matches, and how many times as fast as the first run it is."""
+    rows, first = None, None
+    for name, spec in runs.items():
+        began = time.perf_counter()
+        got = align(events, "a", "b", spec)
+        found = written(got.matches.select("u", "v"), "matches")
+        seconds = time.perf_counter() - began
+        first = seconds if first is None else first
+        keys = ("segment",) if spec.every_days is not None else ()
+        row = metrics.summary(found, truth).select("n_found", "n_right", "ma", "fnma", "bnma").crossJoin(metrics.partial_products(got.binned, "a", "b", got.labels, keys).select("products"))
+        row = row.select(F.lit(name).alias("way"), "*", F.lit(seconds).alias("seconds"), F.lit(first / seconds).alias("speed_up"))
+        rows = row if rows is None else rows.unionByName(row)
+    return rounded(rows, 4)
+
+
+@query
+def table_three_ways(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bins of 3 s, a second of jitter, k = 5, w = 22: no clustering, the reduced feature, the embedded one (by LANDMARKS landmarks where there are more series), with seconds and speed-up."""
+    events, truth = planted_events(spark, sf_dir, 1, profile=True)
+    base = AlignSpec(width_us=3_000_000, most_bins=60, landmarks=LANDMARKS)
+    return _ways(spark, events, truth, {name: replace(base, feature=feature) for name, feature in (("none", None), ("reduced", "reduced"), ("embedded", "embedded"))})
+
+
+def _growing(spark: SparkSession, frames, every_days: int, width_us: int) -> DataFrame:
+    out = None
+    for share in (0.25, 0.5, 1.0):
+        events, truth = frames(share)
+        base = AlignSpec(width_us=width_us, every_days=every_days, score_theta=1.0)
+        rows = _ways(spark, events, truth, {"none": base, "reduced": replace(base, feature="reduced"), "reduced_by_segment": replace(base, feature="reduced", per_segment=True)}).withColumn("share", F.lit(share))
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+@query
+def scale_parts_segments(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A quarter, half and all of the parts in segments of 90 days, clustered (over all, by segment) and not: measures, products, seconds."""
+    return _growing(spark, lambda share: planted_lineitem(spark, sf_dir, "l_partkey", share=share), 90, DAY_US)
+
+
+@query
+def scale_users_weekly(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A quarter, half and all of the users in weekly segments, clustered (over all, by segment) and not: measures, products, seconds."""
+    n = planted_events(spark, sf_dir, JITTER)[0].where("channel = 'a'").agg(F.max("src")).first()[0] or 0
+    return _growing(spark, lambda share: planted_events(spark, sf_dir, JITTER, profile=True, users=int((n + 1) * share) + 1), 7, HOUR_US)
+
+
+@query
+def ablation_clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Numbers of clusters and subsets, and labels of the two nearest centroids: what is kept, what stays together, and the measures."""
+    events, truth = planted_events(spark, sf_dir, JITTER, profile=True)
+    binned, features = binning.bin_events(events, HOUR_US), written(reduced.reduced_features(events, HOUR_US), "features")
+    out = None
+    for k, w, nearest in ((2, 22, 1), (5, 5, 1), (5, 22, 1), (5, 50, 1), (10, 22, 1), (5, 22, 2)):
+        labels = written(cluster.representative_clusters(features, ClusterSpec(k=k, w=w, nearest=nearest))[0], "labels")
+        together = truth.join(labels.where("channel = 'a'").select(F.col("entity").alias("u"), "cluster"), "u").join(labels.where("channel = 'b'").select(F.col("entity").alias("v"), "cluster"), ["v", "cluster"]).select("u", "v").distinct().agg(F.count(F.lit(1)).alias("together"))
+        pairs = similarity.pairwise_cosine(binned, "a", "b", labels, several=nearest > 1)
+        row = metrics.summary(matching.reconcile(pairs), truth).select("ma", "fnma", "bnma").crossJoin(metrics.comparisons(labels, "a", "b").select("kept_share")).crossJoin(together)
+        row = row.select(F.lit(k).alias("k"), F.lit(w).alias("w"), F.lit(nearest).alias("nearest"), "*")
+        out = row if out is None else out.unionByName(row)
+    return rounded(out, 4)
+
+
 @query
 def sensitivity_width(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bin width against jitter."""
@@ -668,15 +794,15 @@ def sensitivity_width(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def scale_entities(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Growing sets of parts, clustered and not: comparisons, products and accuracy."""
+    """A quarter, half and all of the parts over the whole history, clustered and not: products and accuracy."""
     out = None
-    for below in (50, 100, 200):
-        events, truth = planted_lineitem(spark, sf_dir, "l_partkey", below)
-        binned = binning.bin_events(events, DAY_US)
-        labels = cluster.representative_clusters(reduced.reduced_features(events, DAY_US))[0]
+    for share in (0.25, 0.5, 1.0):
+        events, truth = planted_lineitem(spark, sf_dir, "l_partkey", share=share)
+        binned = written(binning.bin_events(events, DAY_US), "bins")
+        labels = written(cluster.representative_clusters(reduced.reduced_features(events, DAY_US))[0], "labels")
         for name, own in (("none", None), ("reduced", labels)):
             found = matching.reconcile(similarity.pairwise_cosine(binned, "a", "b", own))
-            row = metrics.summary(found, truth).select("ma", "fnma", "bnma").crossJoin(metrics.partial_products(binned, "a", "b", own).select("products")).select(F.lit(below).alias("parts"), F.lit(name).alias("clustering"), "products", "ma", "fnma", "bnma")
+            row = metrics.summary(found, truth).select("ma", "fnma", "bnma").crossJoin(metrics.partial_products(binned, "a", "b", own).select("products")).select(F.lit(share).alias("share"), F.lit(name).alias("clustering"), "products", "ma", "fnma", "bnma")
             out = row if out is None else out.unionByName(row)
     return rounded(out, 4)
 

@@ -41,11 +41,13 @@ def planted_events(spark: SparkSession, sf_dir: str, jitter_s: int = 1, profile:
     return _twin(e, size, (F.col("key") * 7919 % (2 * jitter_s + 1) - jitter_s) * 1_000_000, F.col("key") % 2)
 
 
-def planted_lineitem(spark: SparkSession, sf_dir: str, entity: str = "l_suppkey", below: int | None = None) -> tuple[DataFrame, DataFrame]:
-    """(events, truth) from shipments: suppliers or parts as entities, one day of jitter for a fifth of channel b."""
+def planted_lineitem(spark: SparkSession, sf_dir: str, entity: str = "l_suppkey", below: int | None = None, share: float | None = None) -> tuple[DataFrame, DataFrame]:
+    """(events, truth) from shipments: suppliers or parts as entities, one day of jitter for a fifth of channel b. below: only ids below; share: only that share of the table's ids, from the least."""
     i = load(spark, sf_dir, "lineitem").select(F.col(entity).alias("entity"), micros("l_shipdate").alias("us"), (F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("key"))
     table, key = {"l_suppkey": ("supplier", "s_suppkey"), "l_partkey": ("part", "p_partkey")}[entity]
     size = load(spark, sf_dir, table).agg((F.count(F.lit(1)) * 10 + 1).alias("n"))
+    if share is not None:
+        i = i.crossJoin(F.broadcast(size)).where(F.col("entity") <= share * ((F.col("n") - 1) / 10)).drop("n")
     if below is not None:
         i = i.where(F.col("entity") < below)
     return _twin(i, size, F.when(F.col("key") % 5 == 0, F.lit(DAY_US)).otherwise(F.lit(0)), F.col("key") % 2)

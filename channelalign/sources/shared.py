@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -20,9 +21,9 @@ def shared_dir(spark: SparkSession) -> str:
     return spark.sparkContext._jsc.sc().getCheckpointDir().get().rstrip("/")
 
 
-def checkpointed(frame):
-    """A reliable checkpoint of the frame in the shared folder; cuts lineage in loops."""
+def written(frame: DataFrame, what: str) -> DataFrame:
+    """The frame, written once as Parquet to the shared folder and read back: what is used several times is computed once, and no executor's disk holds the only copy."""
     spark = frame.sparkSession
-    if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
-        spark.sparkContext.setCheckpointDir(shared_dir(spark))
-    return frame.checkpoint()
+    path = f"{shared_dir(spark)}/{what}-{uuid.uuid4().hex}"
+    frame.write.parquet(path)
+    return spark.read.schema(frame.schema).parquet(path)

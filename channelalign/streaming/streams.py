@@ -12,6 +12,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from channelalign.operators import segments
 from channelalign.operators.binning import bin_events
+from channelalign.sources.state import SegmentStore
 
 
 def _timed(events: DataFrame, delay: str) -> DataFrame:
@@ -41,20 +42,33 @@ def without_repeats(events: DataFrame, delay: str = "1 hour") -> DataFrame:
     return _timed(events, delay).dropDuplicatesWithinWatermark(["channel", "key"]).drop("ts")
 
 
-def first_events(events: DataFrame) -> DataFrame:
-    """channel, entity, first_us, n as a stream of updates: each entity's first event and count so far, in state."""
+def first_events(events: DataFrame, idle: str | None = None, delay: str = "1 hour") -> DataFrame:
+    """channel, entity, first_us, n as a stream of updates: each entity's first event and count so far, in state.
+
+    idle: an entity without an event for that long behind the watermark is forgotten, which bounds the state; its
+    next event counts as its first. Without it the state grows with the number of entities.
+    """
     schema = "channel string, entity long, first_us long, n long"
+    idle_ms = None if idle is None else int(pd.Timedelta(idle).total_seconds() * 1000)
 
     def update(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
         first, n = state.get if state.exists else (None, 0)
+        last = 0
         for rows in batches:
-            low = int(rows["us"].min())
+            low, last = int(rows["us"].min()), max(last, int(rows["us"].max()))
             first, n = low if first is None else min(first, low), n + len(rows)
         state.update((first, n))
+        if idle_ms is not None:
+            state.setTimeoutTimestamp(max(state.getCurrentWatermarkMs(), last // 1000) + idle_ms)
         yield pd.DataFrame({"channel": [key[0]], "entity": [key[1]], "first_us": [first], "n": [n]})
 
-    rows = events.select("channel", F.col("src").alias("entity"), "us")
-    return rows.groupBy("channel", "entity").applyInPandasWithState(update, schema, "first_us long, n long", "update", GroupStateTimeout.NoTimeout)
+    rows = events if idle is None else _timed(events, delay)
+    rows = rows.select("channel", F.col("src").alias("entity"), "us", *([] if idle is None else ["ts"]))
+    timeout = GroupStateTimeout.NoTimeout if idle is None else GroupStateTimeout.EventTimeTimeout
+    return rows.groupBy("channel", "entity").applyInPandasWithState(update, schema, "first_us long, n long", "update", timeout)
 
 
 def co_occurrences(left: DataFrame, right: DataFrame, delta_us: int, delay: str = "1 hour") -> DataFrame:
@@ -65,27 +79,37 @@ def co_occurrences(left: DataFrame, right: DataFrame, delta_us: int, delay: str
     return a.join(b, F.expr(f"bin_a = bin_b AND tb >= ta - {gap} AND tb <= ta + {gap}")).select("u", "v", "us")
 
 
-def segment_handler(store, left: str, right: str, width_us: int, every_days: int, **how) -> Callable[[DataFrame, int], None]:
-    """For foreachBatch: scores each segment that a micro-batch holds as a whole and commits it under its number. A batch that comes again finds its segments committed."""
+def segment_handler(store: SegmentStore, left: str, right: str, width_us: int, every_days: int, compact_every: int = 16, **how) -> Callable[[DataFrame, int], None]:
+    """For foreachBatch: adds a micro-batch's bins to their segments and scores these segments anew from all their bins.
+
+    A segment may come in any number of batches, in any order and late: its new scores take the place of the old
+    ones (see SegmentStore), and events that came after its first scores are counted in store.late(). A batch that
+    comes again finds its segments done.
+    """
 
     def handle(batch: DataFrame, batch_id: int) -> None:
         binned = segments.plan(bin_events(batch, width_us, 0), segments.segment_of_bin(width_us, every_days))
-        found = sorted(r[0] for r in binned.select("segment").distinct().collect())  # a few numbers
-        segments.run_all(binned, left, right, found, store, **how)
+        touched = store.add_bins(batch_id, binned)
+        todo = [s for s in touched if not store.has(s, batch_id)]
+        if late := [s for s in todo if store.has(s)]:
+            store.note_late(batch_id, late)
+        for segment in todo:
+            rescore(store, segment, left, right, batch_id, **how)
+        if compact_every and batch_id % compact_every == compact_every - 1:
+            store.compact()
 
     return handle
 
 
-def start(events: DataFrame, store, left: str, right: str, width_us: int, every_days: int, checkpoint: str, **how) -> StreamingQuery:
-    """Runs what the stream has, then stops. Files must hold whole segments (day files of every_days days per trigger)."""
-    handler = segment_handler(store, left, right, width_us, every_days, **how)
-    return events.writeStream.foreachBatch(handler).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+def start(events: DataFrame, store: SegmentStore, left: str, right: str, width_us: int, every_days: int, checkpoint: str, trigger: str | None = None, **how) -> StreamingQuery:
+    """Runs what the stream has, then stops; with ``trigger`` ("10 minutes") it runs on, a micro-batch in that time."""
+    writer = events.writeStream.foreachBatch(segment_handler(store, left, right, width_us, every_days, **how)).option("checkpointLocation", checkpoint)
+    return (writer.trigger(availableNow=True) if trigger is None else writer.trigger(processingTime=trigger)).start()
 
 
-def rescore(store_scores: Callable[[int], DataFrame], state: DataFrame, segment_binned: DataFrame, segment: int, left: str, right: str, **how) -> tuple[DataFrame, DataFrame]:
-    """Late events of a closed segment: (state with the segment's old scores taken out and the new ones added, the new scores)."""
-    again = segments.score_segments(segment_binned, left, right, **how)
-    return segments.accumulate(again, segments.retract(state, store_scores(segment))), again
+def rescore(store: SegmentStore, segment: int, left: str, right: str, batch: int, **how) -> None:
+    """Scores a segment from all bins that the store has of it; the state then holds these scores instead of earlier ones."""
+    store.commit(segment, segments.score_segments(store.bins([segment]), left, right, **how), batch)
 
 
 def incremental_bins(events: DataFrame, width_us: int, path: str, checkpoint: str, origin_us: int = 0) -> None:

@@ -1,6 +1,7 @@
 """Worked examples, invariants and edge frames."""
 
 import math
+from dataclasses import replace
 
 import numpy as np
 import pytest
@@ -11,7 +12,7 @@ from pyspark.sql import functions as F
 from channelalign.functions import dtw, local_clusters
 from channelalign.operators import baselines, binning, cluster, embed, likelihood, matching, metrics, reduced, segments, similarity
 from channelalign.operators.cluster import ClusterSpec
-from channelalign.plans.pipeline import AlignSpec, PlanTooLarge, align
+from channelalign.plans.pipeline import AlignSpec, MatchSpec, PlanTooLarge, align
 from channelalign.sources.channels import EVENT_SCHEMA, split_usable
 from channelalign.sources.planted import planted_events
 from conftest import SF
@@ -217,3 +218,73 @@ def test_edge_frames(spark):
 def test_near_counts_cross_bin_edges(spark):
     events = spark.createDataFrame([("a", 1, None, 99, 1), ("b", 2, None, 101, 2), ("b", 3, None, 250, 3)], EVENT_SCHEMA)
     assert [(r["u"], r["v"], r["n"]) for r in similarity.near_counts(events, "a", "b", 100).collect()] == [(1, 2, 1)]
+
+
+def test_subsets_grow_with_the_points(monkeypatch):
+    spec = ClusterSpec(w=4)
+    assert cluster.subset_count(spec, 1000) == 4
+    monkeypatch.setattr(cluster, "SUBSET_POINTS", 100)
+    assert cluster.subset_count(spec, 1000) == 10
+
+
+def test_too_many_representatives_are_refused(spark):
+    reps = spark.createDataFrame([(0, "a", i, [float(i), 1.0], 1.0) for i in range(10)], cluster.REPRESENTATIVE)
+    assert cluster.global_centroids(reps, ClusterSpec(k=2), most=20).shape == (2, 2)
+    with pytest.raises(ValueError, match="larger subsets"):
+        cluster.global_centroids(reps, ClusterSpec(k=2), most=19)
+
+
+def test_manhattan_labels(spark):
+    f = spark.createDataFrame([("a", 1, [0.0, 3.0]), ("a", 2, [2.2, 2.2])], "channel string, entity long, f array<double>")
+    got = {r["entity"]: r["cluster"] for r in cluster.label(f, [[0.0, 0.0], [4.0, 4.0]], "manhattan").collect()}
+    assert got == {1: 0, 2: 1}
+
+
+def test_segment_clusters_and_labels_by_segment(spark):
+    rows = [(s, c, e, [float((e % 2) * 5 + s), 0.0]) for s in (0, 1) for c in "ab" for e in range(20)]
+    f = spark.createDataFrame(rows, "segment long, channel string, entity long, f array<double>")
+    got = cluster.segment_clusters(f, ClusterSpec(k=2, w=2)).collect()
+    assert len(got) == 80 and all(r["cluster"] == r["entity"] % 2 for r in got)
+    binned = spark.createDataFrame([(c, e, b, 1, b // 10) for c in "ab" for e in range(4) for b in (1, 11)], "channel string, entity long, bin long, cnt long, segment long")
+    labels = spark.createDataFrame([(s, c, e, (e + (c == "b") * s) % 2) for s in (0, 1) for c in "ab" for e in range(4)], "segment long, channel string, entity long, cluster int")
+    pairs = {(r["segment"], r["u"], r["v"]) for r in similarity.pairwise_cosine(binned, "a", "b", labels, ("segment",)).collect()}
+    assert pairs == {(s, u, v) for s in (0, 1) for u in range(4) for v in range(4) if (u - v - s) % 2 == 0}
+    assert metrics.partial_products(binned, "a", "b", labels, ("segment",)).first()["products"] == 16
+
+
+def test_several_labels_count_a_pair_once(spark):
+    binned = spark.createDataFrame([(c, 1, b, 2) for c in "ab" for b in (1, 2)], BINNED)
+    labels = spark.createDataFrame([(c, 1, k) for c in "ab" for k in (0, 1)], "channel string, entity long, cluster int")
+    assert [(r["dot"], r["sim"]) for r in similarity.pairwise_cosine(binned, "a", "b", labels, several=True).collect()] == [(8, 1.0)]
+
+
+def test_series_are_numbered_without_a_window_over_all(spark):
+    rows = [(c, e, b, 1) for c in "ab" for e in range(150) for b in range(e % 3 + 1)]
+    v = embed.series(spark.createDataFrame(rows, BINNED), 4)
+    assert sorted(r["i"] for r in v.collect()) == list(range(300))
+    d = embed.distances(v.where("i < 30"))
+    by = {r["i"]: np.repeat([1, 0], [len(r["bins"]), 4 - len(r["bins"])]) for r in v.where("i < 30").collect()}
+    got = {(r["i"], r["j"]): r["d"] for r in d.collect()}
+    assert got == {(i, j): dtw.distance(by[i], by[j]) for i in range(30) for j in range(i + 1, 30)}
+    w = {(r["i"], r["j"]): r["w"] for r in embed.affinity(v.where("i < 30"), 2.0).collect()}
+    assert all(np.isclose(w[k], np.exp(-x / 2)) for k, x in got.items())
+
+
+def test_distance_of_distributions_without_keys(spark):
+    s = [0.1, 0.2, 0.2, 0.4, 0.9]
+    frame = spark.createDataFrame([(i, x) for i, x in enumerate(s)], "u long, s double")
+    sigma2 = sum(x * x for x in s) / (2 * len(s))
+    cdf = lambda x: 1 - np.exp(-x * x / (2 * sigma2))
+    want = max(max(abs((i + 1) / 5 - cdf(x)) if i + 1 == 5 or s[i + 1] != x else 0, abs(s.index(x) / 5 - cdf(x))) for i, x in enumerate(s))
+    assert np.isclose(likelihood.ks_rayleigh(frame).first()["ks"], want)
+
+
+def test_segment_mode_takes_pruning_salts_and_sampled_training(spark):
+    events, _ = planted_events(spark, SF, 31)
+    base = AlignSpec(every_days=7, match=MatchSpec(theta=0.3), train_fraction=1.0)
+    plain = align(events, "a", "b", base).pairs.collect()
+    hard = align(events, "a", "b", replace(base, prune=True, salts=3)).pairs.collect()
+    rounded = lambda rows: sorted((r["u"], r["v"], round(r["score"], 9), r["n_segments"]) for r in rows)
+    assert rounded(plain) == rounded(hard) != []
+    with pytest.raises(PlanTooLarge):
+        align(events, "a", "b", replace(base, most_products=10))
