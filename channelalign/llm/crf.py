@@ -7,6 +7,8 @@ from dataclasses import dataclass
 import numpy as np
 
 BLOCK = 128
+#: Tokens whose matrices are held at a time where only their chances are asked for.
+SLAB = 1 << 16
 
 
 def _products(m: np.ndarray, step: int) -> np.ndarray:
@@ -23,50 +25,67 @@ def _products(m: np.ndarray, step: int) -> np.ndarray:
     return out
 
 
-def marginals(odds: np.ndarray, first: np.ndarray, transition: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(probability of state 1 of every token, expected transitions [2, 2] and starts as a [3, 2] array).
-
-    odds: score of state 1 above state 0. first: where a sequence begins; sequences stand one after another.
-    A token that begins a sequence has a matrix of equal rows, so nothing passes from one sequence to the next
-    and one scan serves all of them: products within blocks are vectorised over blocks, and only the blocks'
-    products are chained in a loop.
-    """
+def _matrices(odds: np.ndarray, first: np.ndarray, step: np.ndarray, begin: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(emissions [blocks * BLOCK, 2], matrices [blocks, BLOCK, 2, 2]); what fills the last block begins a sequence each."""
     n = len(odds)
-    if not n:
-        return np.zeros(0), np.zeros((3, 2))
     blocks = -(-n // BLOCK)
     x = np.zeros(blocks * BLOCK)
     x[:n] = np.clip(odds, -60, 60)
     begins = np.ones(blocks * BLOCK, bool)
     begins[:n] = first
     emit = np.stack([np.exp(-np.maximum(x, 0)), np.exp(np.minimum(x, 0))], axis=1)
-    step, begin = np.exp(transition - transition.max()), np.exp(start - start.max())
     m = np.where(begins[:, None, None], begin[None, None, :], step[None]) * emit[:, None, :]
-    m = m.reshape(blocks, BLOCK, 2, 2)
-    left = _products(m, 1)
-    ahead = np.empty((blocks, 2))
+    return emit, m.reshape(blocks, BLOCK, 2, 2)
+
+
+def _chained(totals: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """From the product of every block: what comes in ahead of each from the left, and behind each from the right."""
+    ahead, behind = np.empty((len(totals), 2)), np.empty((len(totals), 2))
+    rows = totals.tolist()
     p, q = 0.5, 0.5
-    for k, ((a, b), (c, d)) in enumerate(left[:, -1].tolist()):
+    for k, ((a, b), (c, d)) in enumerate(rows):
         ahead[k] = p, q
         p, q = p * a + q * c, p * b + q * d
         total = p + q
         p, q = p / total, q / total
-    alpha = ahead[:, None, :1] * left[:, :, 0] + ahead[:, None, 1:] * left[:, :, 1]
-    alpha /= alpha.sum(axis=2, keepdims=True)
-    right = _products(m, -1)
-    behind = np.empty((blocks, 2))
     p, q = 1.0, 1.0
-    for k in range(blocks - 1, -1, -1):
+    for k in range(len(rows) - 1, -1, -1):
         behind[k] = p, q
-        (a, b), (c, d) = right[k, 0].tolist()
+        (a, b), (c, d) = rows[k]
         p, q = a * p + b * q, c * p + d * q
         total = p + q
         p, q = p / total, q / total
-    beta = np.empty((blocks, BLOCK, 2))
+    return ahead, behind
+
+
+def _both_ways(m: np.ndarray, left: np.ndarray, ahead: np.ndarray, behind: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Forward and backward values of every token, each pair scaled to a sum of 1."""
+    alpha = ahead[:, None, :1] * left[:, :, 0] + ahead[:, None, 1:] * left[:, :, 1]
+    alpha /= alpha.sum(axis=2, keepdims=True)
+    right = _products(m, -1)
+    beta = np.empty((len(m), BLOCK, 2))
     beta[:, -1] = behind
     beta[:, :-1] = right[:, 1:, :, 0] * behind[:, None, :1] + right[:, 1:, :, 1] * behind[:, None, 1:]
     beta /= beta.sum(axis=2, keepdims=True)
-    alpha, beta = alpha.reshape(-1, 2)[:n], beta.reshape(-1, 2)[:n]
+    return alpha.reshape(-1, 2), beta.reshape(-1, 2)
+
+
+def marginals(odds: np.ndarray, first: np.ndarray, transition: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(probability of state 1 of every token, expected transitions [2, 2] and starts as a [3, 2] array).
+
+    odds: score of state 1 above state 0. first: where a sequence begins; sequences stand one after another.
+    A token that begins a sequence has a matrix of equal rows, so nothing passes from one sequence to the next
+    and one scan serves all of them: products within blocks are vectorised over blocks, and only the blocks'
+    products are chained in a loop.
+    """
+    n = len(odds)
+    if not n:
+        return np.zeros(0), np.zeros((3, 2))
+    step, begin = np.exp(transition - transition.max()), np.exp(start - start.max())
+    emit, m = _matrices(odds, first, step, begin)
+    left = _products(m, 1)
+    alpha, beta = _both_ways(m, left, *_chained(left[:, -1]))
+    alpha, beta = alpha[:n], beta[:n]
     both = alpha * beta
     chance = both[:, 1] / both.sum(axis=1)
     pairs = np.zeros((3, 2))
@@ -79,6 +98,30 @@ def marginals(odds: np.ndarray, first: np.ndarray, transition: np.ndarray, start
     return chance, pairs
 
 
+def chances(odds: np.ndarray, first: np.ndarray, transition: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """The probabilities of marginals() alone, a slab of tokens at a time: one pass for the blocks' products, which are chained over all slabs, and one for the tokens."""
+    step, begin = np.exp(transition - transition.max()), np.exp(start - start.max())
+    slabs = [slice(a, min(a + SLAB, len(odds))) for a in range(0, len(odds), SLAB)]
+    if not slabs:
+        return np.zeros(0)
+    kept, totals = None, []
+    for part in slabs:
+        m = _matrices(odds[part], first[part], step, begin)[1]
+        left = _products(m, 1)
+        totals.append(left[:, -1].copy())
+        kept = (m, left) if len(slabs) == 1 else None
+    ahead, behind = _chained(np.concatenate(totals))
+    out, at = [], 0
+    for part, total in zip(slabs, totals, strict=True):
+        m, left = kept or ((m := _matrices(odds[part], first[part], step, begin)[1]), _products(m, 1))
+        own = slice(at, at + len(total))
+        alpha, beta = _both_ways(m, left, ahead[own], behind[own])
+        both = (alpha * beta)[: part.stop - part.start]
+        out.append(both[:, 1] / both.sum(axis=1))
+        at += len(total)
+    return np.concatenate(out)
+
+
 @dataclass
 class BinaryCRF:
     """Two states; the score of state 1 of a token is the sum of the weights of its features."""
@@ -92,7 +135,7 @@ class BinaryCRF:
         odds = np.zeros(len(features))
         for column in features.T:
             odds += self.weights[column]
-        return marginals(odds, first, self.transition, self.start)[0]
+        return chances(odds, first, self.transition, self.start)
 
 
 def train_binary(parts: list[tuple[np.ndarray, np.ndarray, np.ndarray]], size: int, rounds: int = 20, rate: float = 0.5, decay: float = 1e-6) -> BinaryCRF:

@@ -18,6 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from channelalign.llm.memory import released
 from channelalign.llm.words import GRAM_BASE, chunked, hash_grams, hash_words, mix, plain_words, split_words
 
 SPAN = 10
@@ -133,7 +134,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
     size = bench.agg(F.sum(F.octet_length("_text"))).first()[0] or 0
     if size <= sent_bytes:
         sent = docs.sparkSession.sparkContext.broadcast(bench.collect())
-        result = own.mapInArrow(_scan(sent, span, keep), schema)
+        result = own.mapInArrow(released(_scan(sent, span, keep)), schema)
     else:
         result = _joined(own, bench, span, keep)
     return result.withColumnsRenamed({f"_kept_{c}": c for c in keep})
@@ -225,11 +226,11 @@ def _joined(own: DataFrame, bench: DataFrame, span: int, keep: tuple[str, ...])
 
     keyed = own.withColumn("_key", F.concat_ws(":", F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.sha2("_text", 256)))
     texts = keyed.select("_key", "_text")
-    wanted = bench.mapInArrow(item_windows, "item string, size int, window string")
-    item_prints = wanted.select(F.col("window").alias("_key"), F.col("window").alias("_text"), F.col("size").alias("_own")).distinct().select("_key", "_text").mapInArrow(prints, "_key string, size int, gram long").select("size", "gram").distinct()
-    doc_prints = texts.mapInArrow(prints, "_key string, size int, gram long").distinct()
+    wanted = bench.mapInArrow(released(item_windows), "item string, size int, window string")
+    item_prints = wanted.select(F.col("window").alias("_key"), F.col("window").alias("_text"), F.col("size").alias("_own")).distinct().select("_key", "_text").mapInArrow(released(prints), "_key string, size int, gram long").select("size", "gram").distinct()
+    doc_prints = texts.mapInArrow(released(prints), "_key string, size int, gram long").distinct()
     near = doc_prints.join(item_prints, ["size", "gram"], "left_semi").select("_key").distinct()
-    met = texts.join(near, "_key", "left_semi").distinct().mapInArrow(windows, "_key string, start long, size int, window string")
+    met = texts.join(near, "_key", "left_semi").distinct().mapInArrow(released(windows), "_key string, start long, size int, window string")
     by_window = wanted.groupBy("size", "window").agg(F.array_sort(F.collect_set("item")).alias("items"))
     hits = met.join(by_window, ["size", "window"])
     covered = hits.select("_key", F.explode(F.sequence("start", F.col("start") + F.col("size") - 1)).alias("word")).distinct().groupBy("_key").agg(F.count(F.lit(1)).alias("n_hit"), F.array_sort(F.collect_list("word")).alias("_words"))

@@ -31,6 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from channelalign.llm.memory import released
 from channelalign.llm.store import written
 
 #: A class must be on this many pages of its host, and on this share of them, to be template.
@@ -276,7 +277,7 @@ def _signed(x: int) -> int:
 def classes_of(pages: DataFrame) -> DataFrame:
     """Tokens in equivalence classes that are frequent enough, with class, class_size and their sums. pages: page_id, url, html."""
     sums = written(
-        pages.mapInArrow(_tokens, TOKENS).groupBy("host", "token", "kind").agg(
+        pages.mapInArrow(released(_tokens), TOKENS).groupBy("host", "token", "kind").agg(
             # sums of 64-bit values modulo 2**64, by way of decimals that cannot overflow
             F.max("around").alias("around"), F.max("name").alias("name"), F.sum("pages").alias("pages"), F.sum(F.col("vector").cast("decimal(38,0)")).alias("vector"),
             F.sum("words").alias("words"), F.sum("linked").alias("linked"), F.sum("blocks").alias("blocks"), F.min("low").alias("low"), F.max("high").alias("high"),
@@ -340,7 +341,7 @@ def _placed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def _joined_orders(pages: DataFrame, members: DataFrame) -> DataFrame:
     """The same as _orders() for members (host, token, class) of any number: they meet the pages' tokens in a shuffle. A host's pages are dealt over SALTS parts."""
     salt = lambda row: F.pmod(row, F.lit(SALTS)).cast("int")
-    placed = pages.withColumn("_row", F.monotonically_increasing_id()).mapInArrow(_placed, "host string, page long, token long, place int").withColumn("salt", salt(F.col("page")))
+    placed = pages.withColumn("_row", F.monotonically_increasing_id()).mapInArrow(released(_placed), "host string, page long, token long, place int").withColumn("salt", salt(F.col("page")))
     spread = members.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
     order = placed.join(spread, ["host", "token", "salt"]).groupBy("host", "class", "page").agg(F.array_sort(F.collect_list(F.struct("place", "token"))).alias("order"))
     return order.select("host", "class", F.xxhash64(F.transform("order", lambda x: x["token"])).alias("order"), F.lit(1).cast("long").alias("pages"))
@@ -412,7 +413,7 @@ def templates(pages: DataFrame) -> DataFrame:
         by_host: dict[str, dict[int, int]] = {}
         for r in rows:
             by_host.setdefault(r["host"], {})[r["token"]] = r["class"]
-        order = pages.mapInArrow(_orders(by_host), "host string, class long, order long, pages long")
+        order = pages.mapInArrow(released(_orders(by_host)), "host string, class long, order long, pages long")
     else:
         order = _joined_orders(pages, members)
     counted = order.groupBy("host", "class", "order").agg(F.sum("pages").alias("pages")).groupBy("host", "class").agg(F.max("pages").alias("most"), F.sum("pages").alias("all"))
@@ -463,6 +464,6 @@ def extract_text(pages: DataFrame, id_col: str = "page_id", url_col: str = "url"
     schema = "page_id long, url string, text string, n_chars long"
     if (n[0] or 0) + n[1] <= SENT_ROWS:  # checked: so many numbers at most go to every executor
         known = {r["host"]: _ready((r["constant"], r["menus"], r["region"], r["titles"])) for r in facts.collect()}
-        return own.mapInArrow(lambda batches: read(batches, known), schema)
+        return own.mapInArrow(released(lambda batches: read(batches, known)), schema)
     host = F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), r"^[a-zA-Z][a-zA-Z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1))
-    return own.join(facts, host == facts["host"], "left").drop("host").mapInArrow(lambda batches: read(batches, None), schema)
+    return own.join(facts, host == facts["host"], "left").drop("host").mapInArrow(released(lambda batches: read(batches, None)), schema)

@@ -20,6 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from channelalign.llm.memory import released
 from channelalign.llm.store import written
 from channelalign.llm.words import mix
 
@@ -195,7 +196,7 @@ def mix_sources(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: fl
 
     drawn = draw_shards(plans, shard_slots, seed)
     shards = spark.createDataFrame(drawn, "shard long, sid int, first long, n long").repartition(max(1, min(len(drawn), -(-sum(p.slots for p in plans) // SLOTS_A_TASK))))
-    return Mix(documents, shards.mapInArrow(slots, "shard long, slot long, sid int, block long, epoch long, words long"), plans, names, block)
+    return Mix(documents, shards.mapInArrow(released(slots), "shard long, slot long, sid int, block long, epoch long, words long"), plans, names, block)
 
 
 def pieces(mixed: Mix) -> DataFrame:
@@ -266,4 +267,4 @@ def mixed_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
             yield pa.RecordBatch.from_arrays(columns, names=[f"c_{i}" for i in range(len(names))])
 
     met = own.join(kept, ["_id", "_tie"]).select(*[f"c_{i}" for i in range(len(names))], "_size", "_runs")
-    return met.mapInArrow(cut, schema).toDF(*names)
+    return met.mapInArrow(released(cut), schema).toDF(*names)

@@ -24,6 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from channelalign.llm.components import connected
+from channelalign.llm.memory import released
 from channelalign.llm.store import written
 from channelalign.llm.words import chunked, hash_grams, hashed_words, mix
 
@@ -272,7 +273,7 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, tolerance: fl
     own = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("_text"))
     own = own.select("doc_id", F.xxhash64("_text").alias("tie"), "_text")
     known = F.coalesce(F.col("doc_id"), -F.shiftrightunsigned(F.col("tie"), 2) - 2)
-    sketched = written(own.mapInArrow(_sketches, _SKETCH), "sketches").withColumn("vid", known)
+    sketched = written(own.mapInArrow(released(_sketches), _SKETCH), "sketches").withColumn("vid", known)
     key = ["k1", "k2", "size"]
     classes = sketched.where("size > 0").groupBy(*key).agg(F.min(F.struct("vid", "tie")).alias("first"), F.count(F.lit(1)).alias("copies"))
     classes = written(classes.select(*key, F.col("first.vid").alias("vertex"), F.col("first.tie").alias("first_tie"), "copies"), "classes")
@@ -301,13 +302,13 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, tolerance: fl
     else:
         texts = written(texts, "texts")
         split = _split(placed.join(giants, "block"), member, chunk_shingles)
-        signed = texts.join(split.select("vertex", "tie").distinct(), ["vertex", "tie"], "left_semi").mapInArrow(_signed, "vertex long, tie long, _text string, sig binary")
+        signed = texts.join(split.select("vertex", "tie").distinct(), ["vertex", "tie"], "left_semi").mapInArrow(released(_signed), "vertex long, tie long, _text string, sig binary")
         work = small.join(texts, ["vertex", "tie"]).withColumn("sig", F.lit(None).cast("binary")).unionByName(split.join(signed, ["vertex", "tie"]))
     work = work.withColumn("chunk", F.pmod(F.xxhash64("vertex", "tie"), F.col("chunks")).cast("int"))
     pair = F.explode(F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda x: F.struct(F.least(x, F.col("chunk")).alias("i"), F.greatest(x, F.col("chunk")).alias("j"))))
     work = work.withColumn("t", pair).select("block", "pos", "band", "t.i", "t.j", "chunk", "vertex", "copies", "_text", "sig")
     parts = work.repartition(*_TASK).sortWithinPartitions(*_TASK, "chunk", "vertex")
-    linked = written(parts.mapInArrow(_tasks(threshold, tolerance), "vertex long, linked long, weight long, classes long"), "links")
+    linked = written(parts.mapInArrow(released(_tasks(threshold, tolerance)), "vertex long, linked long, weight long, classes long"), "links")
     links = linked.groupBy("vertex").agg(F.sum("weight").alias("weight"), F.sum("classes").alias("classes"))
     group = connected(linked.select(F.col("vertex").alias("u"), F.col("linked").alias("v"))).withColumnRenamed("component", "group")
     found = written(links.join(group, "vertex", "left"), "found")

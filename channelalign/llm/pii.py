@@ -20,6 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from channelalign.llm.crf import viterbi
+from channelalign.llm.memory import released
 
 KINDS = ("email", "ip", "card", "phone", "secret")
 
@@ -377,7 +378,7 @@ def find_personal_data(docs: DataFrame, id_col: str = "doc_id", text_col: str =
                     names=["doc_id", "n_email", "n_ip", "n_card", "n_phone", "base_sha256", "spans", "n_spans"],
                 )
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("_text")).mapInArrow(scan, SCHEMA)
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("_text")).mapInArrow(released(scan), SCHEMA)
 
 
 def redact(text: str, mask: str = "[{}]") -> str:

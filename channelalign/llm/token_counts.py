@@ -24,6 +24,8 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from channelalign.llm.memory import released
+
 MARK = "▁"
 UNKNOWN_PENALTY = 10.0
 #: Parts words within a batch; texts that hold it are solved whole.
@@ -135,4 +137,4 @@ def count_tokens(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(tokens), pa.array(score), chars], names=["doc_id", "n_tokens", "score", "n_chars"])
                 first = last
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("_text")).mapInArrow(scan, "doc_id long, n_tokens long, score double, n_chars long")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("_text")).mapInArrow(released(scan), "doc_id long, n_tokens long, score double, n_chars long")

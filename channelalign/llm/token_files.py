@@ -26,6 +26,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from channelalign.llm.memory import released
 from channelalign.llm.store import fresh_dir, written
 
 # Fixed values of the public seekable format: magic numbers, and the descriptor bit that says checksums are present.
@@ -298,7 +299,7 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer_path: str, end_id:
     fs.create_dir(base, recursive=True)
     tied = F.xxhash64(text_col)
     ordered = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).repartitionByRange(F.col("doc_id")).sortWithinPartitions("doc_id", tied if text_col == "text" else F.xxhash64("text"))
-    return written(ordered.mapInArrow(write, SHARD_SCHEMA), "token-shards")
+    return written(ordered.mapInArrow(released(write), SHARD_SCHEMA), "token-shards")
 
 
 def read_token_files(shards: DataFrame) -> DataFrame:
@@ -320,7 +321,7 @@ def read_token_files(shards: DataFrame) -> DataFrame:
                         )
 
     tasks = max(1, min(shards.count(), 1 << 14))  # a fixed number, so that these few small rows are not gathered in one task
-    return shards.select("shard", "path").repartition(tasks).mapInArrow(read, DOC_SCHEMA)
+    return shards.select("shard", "path").repartition(tasks).mapInArrow(released(read), DOC_SCHEMA)
 
 
 def token_output(docs: DataFrame, tokenizer_path: str, end_id: int = 1, folder: str | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -20,6 +20,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from channelalign.llm.crf import BinaryCRF, train_binary
+from channelalign.llm.memory import released
 from channelalign.llm.words import chunked, hash_grams, hash_words, mix, split_words
 
 TABLE_BITS = 22
@@ -30,8 +31,8 @@ FOLDS = 5
 _STEMS = (4, 6)
 #: Least likelihood-ratio statistic of a form that marks tokens: rare forms that met toxic documents by chance stay below.
 SURE = 24.0
-_BATCH = 1 << 20
-_GROUP = 250
+_BATCH = 1 << 19
+_GROUP = 100
 
 
 def token_features(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -142,7 +143,7 @@ def train(texts: list[str], toxic: list[int]) -> ToxicityModel:
             own = at[lo:hi]
             parts.append((features[own], _firsts(owner[own]), label[own].astype(float)))
     field = train_binary(parts, len(used))
-    chance = np.concatenate([field.chances(features[i : i + _BATCH], _firsts(owner[i : i + _BATCH])) for i in range(0, len(owner), _BATCH)]) if len(owner) else np.zeros(0)
+    chance = field.chances(features, _firsts(owner))
     x = document_numbers(chance, owner, len(y))
     head = np.zeros(x.shape[1])
     for _ in range(60):  # Newton steps with a small ridge
@@ -172,7 +173,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
         yield pa.RecordBatch.from_pydict({"model": [pickle.dumps(train([t for _, t, _ in given], [y for _, _, y in given]))]})
 
     # The sample is bounded, so one task holds it; the driver gets the weights only.
-    made = rows.repartition(1).mapInArrow(run, "model binary").first()
+    made = rows.repartition(1).mapInArrow(released(run), "model binary").first()
     return pickle.loads(made["model"]) if made else train([], [])
 
 
@@ -203,7 +204,7 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id"
 
     schema = T.StructType([*T._parse_datatype_string("doc_id long, score double, predicted int, spans array<struct<start:long,stop:long>>").fields, *[T.StructField(f"_kept_{c}", docs.schema[c].dataType) for c in keep]])
     own = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("_text"), *[F.col(c).alias(f"_kept_{c}") for c in keep])
-    return own.mapInArrow(scan, schema).withColumnsRenamed({f"_kept_{c}": c for c in keep})
+    return own.mapInArrow(released(scan), schema).withColumnsRenamed({f"_kept_{c}": c for c in keep})
 
 
 def held_out(id_col: str = "doc_id"):
