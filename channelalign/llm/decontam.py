@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -24,7 +25,7 @@ from channelalign.llm.words import GRAM_BASE, chunked, hash_grams, hash_words, m
 SPAN = 10
 GRAM = 6
 #: The most bytes of benchmark text that are sent to the executors as a whole; beyond it fingerprints meet in a shuffle.
-SENT_BYTES = 32 << 20
+SENT_BYTES = 16 << 20
 
 
 def winnow(hashes: np.ndarray, width: int) -> np.ndarray:
@@ -51,40 +52,59 @@ def winnow_many(at: np.ndarray, hashes: np.ndarray, owner: np.ndarray, width: in
     return np.unique((np.arange(n) + where)[whole])
 
 
+@dataclass
 class Windows:
-    """The distinct windows of a set of items, their fingerprints and the items that have them. Made from (item id, text) rows."""
-
-    def __init__(self, items: list[tuple], span: int = SPAN, gram: int = GRAM):
-        self.span, self.gram, self.width = span, gram, span - gram + 1
-        found: dict[bytes, set] = {}
-        for item_id, text in items:
-            words = plain_words(text)
-            if words:
-                size = min(span, len(words))
-                for i in range(len(words) - size + 1):
-                    found.setdefault(b" ".join(words[i : i + size]), set()).add(item_id)
-        self.items = {w: frozenset(x) for w, x in found.items()}
-        joined = list(found)
-        self.sizes = sorted({w.count(b" ") + 1 for w in joined})
-        self.keys: dict[int, np.ndarray] = {}
-        prints: list[np.ndarray] = []
-        for size in self.sizes:
-            own = [w for w in joined if w.count(b" ") + 1 == size]
-            data = np.frombuffer(b"".join(own), np.uint8)
-            low, a, b, owner = split_words(data, np.cumsum([0, *map(len, own)]))
-            words = hash_words(low, a, b)
-            self.keys[size] = np.unique(hash_grams(words, owner, size)[1])
-            if size == span:
-                at, grams = hash_grams(words, owner, gram)
-                prints.append(grams[winnow_many(at, grams, owner, self.width)])
-        self.prints = np.unique(np.concatenate(prints)) if prints else np.zeros(0, np.uint64)
-
-    def candidates(self, words: np.ndarray, owner: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
-        """(size, starts) of the windows of documents whose hash is one of an item window of that size."""
+    """The windows of a set of items as arrays: hash, place in the items' text and item of each, ordered by size and hash, and the fingerprints of whole windows. About 30 bytes a word beside the text."""
+
+    span: int
+    gram: int
+    text: bytes  # the items' words, one space between two of an item
+    ids: list
+    sizes: list[int]
+    keys: dict[int, np.ndarray]
+    starts: dict[int, np.ndarray]
+    stops: dict[int, np.ndarray]
+    owners: dict[int, np.ndarray]
+    prints: np.ndarray
+
+    @property
+    def width(self) -> int:
+        return self.span - self.gram + 1
+
+    @classmethod
+    def of(cls, items: list[tuple], span: int = SPAN, gram: int = GRAM) -> Windows:
+        """From (item id, text) rows."""
+        spoken = [(item, b" ".join(words)) for item, text in items if (words := plain_words(text))]
+        text = b"".join(t for _, t in spoken)
+        low, a, b, owner = split_words(np.frombuffer(text, np.uint8), np.cumsum([0, *(len(t) for _, t in spoken)]))
+        words = hash_words(low, a, b)
+        size_of = np.minimum(np.bincount(owner, minlength=len(spoken)), span) if len(spoken) else np.zeros(0, np.int64)
+        made = cls(span, gram, text, [item for item, _ in spoken], sorted(set(size_of.tolist())), {}, {}, {}, {}, np.zeros(0, np.uint64))
+        for size in made.sizes:
+            at, hashes = hash_grams(words, owner, size)
+            own = np.flatnonzero(size_of[owner[at]] == size)
+            own = own[np.argsort(hashes[own], kind="stable")]
+            at = at[own]
+            made.keys[size], made.starts[size], made.stops[size], made.owners[size] = hashes[own], a[at], b[at + size - 1], owner[at].astype(np.int32)
+        if span in made.keys:
+            at, grams = hash_grams(words, owner, gram)
+            chosen = winnow_many(at, grams, owner, made.width)
+            made.prints = np.unique(grams[chosen[size_of[owner[at[chosen]]] == span]])
+        return made
+
+    def items(self, size: int, hashed: np.uint64, text: bytes) -> np.ndarray:
+        """Places in ``ids`` of the items that have this very window."""
+        first, last = (int(np.searchsorted(self.keys[size], hashed, side)) for side in ("left", "right"))
+        same = [n for n in range(first, last) if self.text[self.starts[size][n] : self.stops[size][n]] == text]
+        return np.unique(self.owners[size][same])
+
+    def candidates(self, words: np.ndarray, owner: np.ndarray) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+        """(size, starts, hashes) of the windows of documents whose hash is one of an item window of that size."""
         for size in self.sizes:
             if size < self.span:  # an item shorter than a window: all runs of its length are looked up
                 at, grams = hash_grams(words, owner, size)
-                yield size, at[_within(grams, self.keys[size])]
+                met = _within(grams, self.keys[size])
+                yield size, at[met], grams[met]
                 continue
             at, grams = hash_grams(words, owner, self.gram)
             chosen = winnow_many(at, grams, owner, self.width)
@@ -92,12 +112,12 @@ class Windows:
             starts = np.unique((hits[:, None] - np.arange(self.width)).ravel())
             starts = starts[(starts >= 0) & (starts + size <= len(words))]
             starts = starts[owner[starts] == owner[starts + size - 1]]
-            if len(starts):
-                total = np.zeros(len(starts), np.uint64)
-                for j in range(size):
-                    total = total * GRAM_BASE + words[starts + j]
-                starts = starts[_within(mix(total, size), self.keys[size])]
-            yield size, starts
+            total = np.zeros(len(starts), np.uint64)
+            for j in range(size):
+                total = total * GRAM_BASE + words[starts + j]
+            total = mix(total, size)
+            met = _within(total, self.keys[size])
+            yield size, starts[met], total[met]
 
 
 def _within(values: np.ndarray, ordered: np.ndarray) -> np.ndarray:
@@ -124,7 +144,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
     """One row per document: doc_id, n_words, n_hit, n_items, items_sha256, contaminated and hits (word spans), then the columns ``keep``.
 
     The size of the benchmark is measured first. Up to ``sent_bytes`` of text its windows are sent to the executors
-    and documents are scanned once, without a shuffle. A larger benchmark is joined by fingerprint in a shuffle
+    as arrays of about six times the text's size, and documents are scanned once, without a shuffle. A larger benchmark is joined by fingerprint in a shuffle
     (see _joined). Both ways give the same rows. Null texts and texts without words hit nothing; items without
     words have no window; items of equal text are items each; null item ids count as the text 'null'.
     """
@@ -133,7 +153,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
     bench = benchmark.select(F.coalesce(F.col(item_col).cast("string"), F.lit("null")).alias("item"), F.coalesce(F.col(item_text_col), F.lit("")).alias("_text"))
     size = bench.agg(F.sum(F.octet_length("_text"))).first()[0] or 0
     if size <= sent_bytes:
-        sent = docs.sparkSession.sparkContext.broadcast(bench.collect())
+        sent = docs.sparkSession.sparkContext.broadcast(Windows.of([(r[0], r[1]) for r in bench.collect()], span))
         result = own.mapInArrow(released(_scan(sent, span, keep)), schema)
     else:
         result = _joined(own, bench, span, keep)
@@ -142,7 +162,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
 
 def _scan(sent, span: int, keep: tuple[str, ...]):
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        windows = Windows([(r[0], r[1]) for r in sent.value], span)
+        windows = sent.value  # made once, at the driver; a worker reads it once for all its tasks
         for part, data, offsets in chunked(batches, "_text"):
             low, a, b, owner = split_words(data, offsets)
             n = part.num_rows
@@ -150,10 +170,14 @@ def _scan(sent, span: int, keep: tuple[str, ...]):
             first = np.cumsum(counts) - counts
             covered, items = np.zeros(len(a), bool), {}
             words = hash_words(low, a, b)
-            for size, starts in windows.candidates(words, owner):
-                for s in starts.tolist():
+            known: dict[bytes, list] = {}  # a passage that many documents share is looked up once
+            for size, starts, hashes in windows.candidates(words, owner):
+                for s, hashed in zip(starts.tolist(), hashes, strict=True):
                     text = b" ".join(low[a[i] : b[i]].tobytes() for i in range(s, s + size))
-                    if got := windows.items.get(text):
+                    got = known.get(text)
+                    if got is None:
+                        got = known[text] = [windows.ids[n] for n in windows.items(size, hashed, text)]
+                    if got:
                         covered[s : s + size] = True
                         items.setdefault(int(owner[s]), set()).update(got)
             hit = np.bincount(owner[covered], minlength=n)

@@ -175,9 +175,11 @@ def scan_text(text: str | None) -> dict:
     words = raw.translate(SEPARATED).split()
     joined = f" {b' '.join(words).decode('utf-8')} "
     n_base, first, last, base, labels, weight, tagged = 0, None, None, set(), set(), 0.0, False
+    counted, spaces = 0, 0  # spaces before ``counted``: hits come by their ends, so every character is counted once
     for stop, (phrase, n) in automaton().iter(joined):
         if phrase in BASE_PHRASES:
-            begin = joined.count(" ", 0, stop) - n
+            spaces, counted = spaces + joined.count(" ", counted, stop), stop
+            begin = spaces - n
             n_base += 1
             first, last = begin if first is None else min(first, begin), begin if last is None else max(last, begin)
             base.add(BASE_PHRASES[phrase])
@@ -206,7 +208,8 @@ SCHEMA = "doc_id long, n_words long, n_base long, first_word long, last_word lon
 def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, expressions.
 
-    One pass over whole texts, no shuffle. Null and empty texts have no words, no places (null) and score 0.
+    One pass over whole texts, no shuffle, in time linear in a text's length. Null and empty texts have no words, no
+    places (null) and score 0. Rows that repeat an id are rows each; of equal texts every one has the same result.
     """
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

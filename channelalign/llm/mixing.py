@@ -2,7 +2,8 @@
 
 The words of a source, document after document in a hash order, are cut into blocks of `block` words (the last
 one may be shorter). An output shard has a fixed number of slots; how many of them each source fills is a
-multinomial draw by the target weights, conditioned on the sources' whole quotas, shard after shard. The slots
+multinomial draw by the target weights, conditioned on the sources' whole quotas: ranges of shards are halved, and a
+seed of its own draws what of a range's slots falls to its first half, so any task finds its shards' counts alone. The slots
 of a source are numbered through; slot k is epoch k div n of position k mod n, and a keyed permutation of the
 source's n block numbers, another one for every epoch, says which block it takes. Slots and blocks meet in a
 join on (source, block). No epoch repeats a block, so a block is taken at most once more often than another,
@@ -24,13 +25,13 @@ from channelalign.llm.memory import released
 from channelalign.llm.store import written
 from channelalign.llm.words import mix
 
-BLOCK = 32
+BLOCK = 1024
 SHARE = 1.5
 LIMIT = 2.0
 #: The weights of the sources in order of their names, repeating.
 WEIGHTS = (3, 1, 2)
-SHARD_SLOTS = 1 << 16
-SLOTS_A_TASK = 1 << 18
+SHARD_SLOTS = 1 << 14
+SLOTS_A_TASK = 1 << 16
 ROWS_A_BUCKET = 4096
 MOST_SOURCES = 1_000_000
 WORD = r"[^\x20\x09-\x0D]+"
@@ -76,6 +77,20 @@ def permute(position: np.ndarray, n: np.ndarray, key: np.ndarray, rounds: int =
     return x.astype(np.int64)
 
 
+def place_of(value: int, n: int, key: np.uint64, rounds: int = 6) -> int:
+    """The position that permute() takes to ``value``: the network backwards."""
+    half = max(1, (math.ceil(math.log2(max(n, 2))) + 1) // 2)
+    half += (1 << 2 * half) < n
+    low, x = (1 << half) - 1, value
+    while True:
+        left, right = x >> half, x & low
+        for r in reversed(range(rounds)):
+            left, right = right ^ (int(mix(np.array([left], np.uint64) ^ key, r)[0]) & low), left
+        x = (left << half) | right
+        if x < n:
+            return x
+
+
 def _epoch_keys(source: np.ndarray, epoch: np.ndarray, seed: int) -> np.ndarray:
     return mix(mix(source.astype(np.uint64), seed) ^ epoch.astype(np.uint64), seed + 1)
 
@@ -104,11 +119,7 @@ def plan_sources(sizes: list[int], wanted: list[float], block: int, seed: int) -
         slots, left = full * n, rest
         if rest:
             key = _epoch_keys(np.array([s]), np.array([full]), seed)
-            order = permute(np.arange(n) if n <= 1 << 16 else np.zeros(1, np.int64), np.full(n if n <= 1 << 16 else 1, n), np.repeat(key, n if n <= 1 << 16 else 1))
-            if n <= 1 << 16:
-                place = int(np.flatnonzero(order == n - 1)[0])
-            else:  # where the short block stands, in pieces of bounded memory
-                place = next(a + int(hit[0]) for a in range(0, n, 1 << 20) if len(hit := np.flatnonzero(permute(np.arange(a, min(n, a + (1 << 20))), np.full(min(n, a + (1 << 20)) - a, n), np.repeat(key, min(n, a + (1 << 20)) - a)) == n - 1)))
+            place = place_of(n - 1, n, key[0])  # where the short block stands
             before = place * block
             if rest <= before:
                 k, last = -(-rest // block), rest - (-(-rest // block) - 1) * block
@@ -124,17 +135,35 @@ def plan_sources(sizes: list[int], wanted: list[float], block: int, seed: int) -
     return plans
 
 
-def draw_shards(plans: list[SourcePlan], shard_slots: int, seed: int) -> list[tuple[int, int, int, int]]:
-    """(shard, source, first slot, slots): multinomial counts of a shard's slots, conditioned on what is left of each source's quota."""
-    rng = np.random.default_rng(seed)
-    left = np.array([p.slots for p in plans], np.int64)
-    done, rows, shard = np.zeros(len(plans), np.int64), [], 0
-    while left.sum():
-        n = int(min(shard_slots, left.sum()))
-        drawn = left.copy() if n == left.sum() else rng.multivariate_hypergeometric(left, n, method="marginals")
-        rows += [(shard, int(s), int(done[s]), int(drawn[s])) for s in np.flatnonzero(drawn)]
-        done, left, shard = done + drawn, left - drawn, shard + 1
-    return rows
+def _part(rng: np.random.Generator, good: int, bad: int, n: int) -> int:
+    """How many of n slots fall to ``good`` of good + bad. Beyond 10**9 slots, where the exact draw ends, a normal one of the same mean and spread."""
+    if good + bad < 10**9:
+        return int(rng.hypergeometric(good, bad, n)) if n else 0
+    total = good + bad
+    spread = math.sqrt(n * (good / total) * (bad / total) * ((total - n) / (total - 1)))
+    return min(max(round(rng.normal(n * (good / total), spread)), n - bad, 0), good, n)
+
+
+def draw_shards(quotas: np.ndarray, shard_slots: int, seed: int, lo: int, hi: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(shard, first slot of each source, its slots) for the shards from lo up to hi: see the module's text."""
+    total = int(quotas.sum())
+    todo = [(0, -(-total // shard_slots), np.zeros(len(quotas), np.int64), quotas)]
+    while todo:
+        a, b, first, held = todo.pop()
+        if b <= lo or a >= hi:
+            continue
+        if b - a == 1:
+            yield a, first, held
+            continue
+        middle = (a + b) // 2
+        rng = np.random.default_rng([seed, a, b])
+        n, rest = (middle - a) * shard_slots, int(held.sum())
+        drawn = np.zeros(len(held), np.int64)
+        for s in np.flatnonzero(held):
+            rest -= int(held[s])
+            drawn[s] = _part(rng, int(held[s]), rest, n)
+            n -= int(drawn[s])
+        todo += [(middle, b, first + drawn, held - drawn), (a, middle, first, drawn)]
 
 
 @dataclass
@@ -153,8 +182,8 @@ def mix_sources(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: fl
 
     Texts are read once; sizes go to a narrow table. Places of documents in their source come from sums over
     (source, bucket of rows) and running sums within a bucket, so a source that holds a third of the rows is
-    spread over as many tasks as it has buckets. Only one row per source and one per shard and source come to
-    the driver; more than MOST_SOURCES sources are refused.
+    spread over as many tasks as it has buckets. Only one row per source comes to the driver; more than MOST_SOURCES
+    sources are refused.
     """
     spark = docs.sparkSession
     # A row is known by its id and its text's hash; rows equal in both are told apart by their place in the order.
@@ -179,23 +208,25 @@ def mix_sources(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: fl
     placed = numbered.withColumn("_sum", F.sum("size").over(within)).join(before, ["sid", "bucket"])
     documents = written(placed.select("doc_id", "tie", "sid", "size", (F.col("before") + F.col("_sum") - F.col("size")).alias("start")), "places")
 
-    counts = [(i, p.blocks, p.slots, p.trim) for i, p in enumerate(plans)]
+    counts = [(p.blocks, p.slots, p.trim) for p in plans]
+    quotas = np.array([p.slots for p in plans], np.int64)
+    n_shards, dealt = -(-int(quotas.sum()) // shard_slots), max(1, SLOTS_A_TASK // shard_slots)
 
     def slots(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for shard, sid, first, n in zip(*(batch.column(c).to_pylist() for c in range(4)), strict=True):
-                _, blocks, total, trim = counts[sid]
-                for a in range(first, first + n, 1 << 16):
-                    slot = np.arange(a, min(a + (1 << 16), first + n))
-                    epoch, position = slot // blocks, slot % blocks
-                    taken = permute(position, np.full(len(slot), blocks), _epoch_keys(np.full(len(slot), sid), epoch, seed))
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(np.full(len(slot), shard)), pa.array(slot), pa.array(np.full(len(slot), sid, np.int32)), pa.array(taken), pa.array(epoch), pa.array(np.where(slot == total - 1, trim, block))],
-                        names=["shard", "slot", "sid", "block", "epoch", "words"],
-                    )
-
-    drawn = draw_shards(plans, shard_slots, seed)
-    shards = spark.createDataFrame(drawn, "shard long, sid int, first long, n long").repartition(max(1, min(len(drawn), -(-sum(p.slots for p in plans) // SLOTS_A_TASK))))
+            for begin in batch.column("id").to_pylist():
+                for shard, firsts, held in draw_shards(quotas, shard_slots, seed, begin, begin + dealt):
+                    for sid in np.flatnonzero(held).tolist():
+                        (blocks, total, trim), first, n = counts[sid], int(firsts[sid]), int(held[sid])
+                        slot = np.arange(first, first + n)
+                        epoch, position = slot // blocks, slot % blocks
+                        taken = permute(position, np.full(n, blocks), _epoch_keys(np.full(n, sid), epoch, seed))
+                        yield pa.RecordBatch.from_arrays(
+                            [pa.array(np.full(n, shard)), pa.array(slot), pa.array(np.full(n, sid, np.int32)), pa.array(taken), pa.array(epoch), pa.array(np.where(slot == total - 1, trim, block))],
+                            names=["shard", "slot", "sid", "block", "epoch", "words"],
+                        )
+
+    shards = spark.range(0, n_shards, dealt, max(1, -(-n_shards // dealt)))
     return Mix(documents, shards.mapInArrow(released(slots), "shard long, slot long, sid int, block long, epoch long, words long"), plans, names, block)
 
 
