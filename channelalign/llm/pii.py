@@ -58,7 +58,7 @@ card 5500.0000.0000.0004|card expires 12/27
 visa 4012_8888_8888_1881|card declined
 number 4111/1111/1111/1111|card was used
 card 4111.1111.1111.1112 is no card
-number 2669109448945250 on the list
+number 2669109448945251 on the list
 the 9807915762804490 there
 a 1234567890123456 b
 code 8850016329171204 and so on
