@@ -7,6 +7,8 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from channelalign.sources.shared import written
+
 
 def _sides(binned: DataFrame, left: str, right: str, labels: DataFrame | None, keys: tuple[str, ...]) -> tuple[DataFrame, DataFrame, list[str]]:
     """Rows of either channel with their vector's squared norm, and the columns that both must agree on. Labels with a column of the keys (the segment) hold for that key only."""
@@ -48,6 +50,8 @@ def pairwise_cosine(binned: DataFrame, left: str, right: str, labels: DataFrame
     if prune:
         if min_sim is None:
             raise ValueError("pruning needs min_sim")
+        if several:
+            raise ValueError("pruning takes one label an entity")
         return _pruned(a, b, on, keys, min_sim)
     if salts > 1:
         a, b, on = _salted(a, b, on, salts, hot)
@@ -62,24 +66,40 @@ def pairwise_cosine(binned: DataFrame, left: str, right: str, labels: DataFrame
     return pairs if min_sim is None else pairs.where(F.col("sim") >= min_sim)
 
 
+def _products(a: DataFrame, b: DataFrame, on: list[str]) -> int:
+    """Rows that a join of both sides makes, from counts alone."""
+    sides = a.groupBy(*on).agg(F.count(F.lit(1)).alias("_a")).join(b.groupBy(*on).agg(F.count(F.lit(1)).alias("_b")), on)
+    return sides.agg(F.sum(F.col("_a") * F.col("_b"))).first()[0] or 0
+
+
+#: Prefixes must save this share of the products to be worth a second join.
+WORTH = 0.75
+
+
 def _pruned(a: DataFrame, b: DataFrame, on: list[str], keys: tuple[str, ...], theta: float) -> DataFrame:
     """Pairs of at least theta, without a product for the others' common bins.
 
     Bins are ordered by how many rows they have, rare ones first. What stands from a bin on bounds what it can
     add: once the rest of a vector has a norm below theta, no pair can reach theta from there on alone. So the
     first common bin of a pair that does is in both vectors' prefixes. Prefixes meet, and the distinct candidates
-    are then computed in full.
+    are then computed in full. Both sides and their prefixes are written once; where the prefixes' products, which
+    are counted first, are not few, all products are summed instead: the same pairs by the cheaper way.
     """
     group = [c for c in on if c != "bin"]
+    a, b = written(a, "left"), written(b, "right")
     busy = a.select(*on).unionByName(b.select(*on)).groupBy(*on).agg(F.count(F.lit(1)).alias("_busy"))
 
     def prefix(side: DataFrame, entity: str, sq: str, cnt: str) -> DataFrame:
         rest = Window.partitionBy(*group, entity).orderBy(F.col("_busy").desc(), F.col("bin").desc()).rowsBetween(Window.unboundedPreceding, Window.currentRow)
         held = side.join(busy, on).withColumn("_rest", F.sum(F.col(cnt) * F.col(cnt)).over(rest))
-        return held.where(F.col("_rest") >= theta * theta * F.col(sq) - 1e-9).select(*on, entity)
-
-    candidates = prefix(a, "u", "squ", "cu").join(prefix(b, "v", "sqv", "cv"), on).select(*group, "u", "v").distinct()
-    met = candidates.join(a, [*group, "u"]).join(b, [*group, "bin", "v"])
+        return written(held.where(F.col("_rest") >= theta * theta * F.col(sq) - 1e-9).select(*on, entity), "prefixes")
+
+    left, right = prefix(a, "u", "squ", "cu"), prefix(b, "v", "sqv", "cv")
+    if _products(left, right, on) > (1 - WORTH) * _products(a, b, on):
+        met = a.join(b, on)
+    else:
+        candidates = left.join(right, on).select(*group, "u", "v").distinct()
+        met = candidates.join(a, [*group, "u"]).join(b, [*group, "bin", "v"])
     pairs = met.groupBy(*keys, "u", "v").agg(F.sum(F.col("cu") * F.col("cv")).alias("dot"), F.max("squ").alias("squ"), F.max("sqv").alias("sqv"))
     return pairs.select(*keys, "u", "v", "dot", cosine().alias("sim")).where(F.col("sim") >= theta)
 

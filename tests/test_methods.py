@@ -288,3 +288,12 @@ def test_segment_mode_takes_pruning_salts_and_sampled_training(spark):
     assert rounded(plain) == rounded(hard) != []
     with pytest.raises(PlanTooLarge):
         align(events, "a", "b", replace(base, most_products=10))
+
+
+def test_pruning_is_exact_by_both_ways(spark, monkeypatch):
+    events, _ = planted_events(spark, SF, 31)
+    binned = binning.bin_events(events, binning.HOUR_US)
+    plain = sorted((r["u"], r["v"], r["dot"]) for r in similarity.pairwise_cosine(binned, "a", "b", min_sim=0.3).collect())
+    for worth in (1.0, -100.0):  # always all products; always prefixes
+        monkeypatch.setattr(similarity, "WORTH", worth)
+        assert sorted((r["u"], r["v"], r["dot"]) for r in similarity.pairwise_cosine(binned, "a", "b", min_sim=0.3, prune=True).collect()) == plain != []
