@@ -42,8 +42,15 @@ def _apart(x: tuple[np.ndarray, np.ndarray], y: tuple[np.ndarray, np.ndarray], n
     return dtw.distance(np.repeat(*x), np.repeat(*y), band)
 
 
-def _distance(bins_x, counts_x, bins_y, counts_y, n_bins: int, band: int | None) -> float:
-    return _apart(dtw.compress(bins_x, counts_x, n_bins), dtw.compress(bins_y, counts_y, n_bins), n_bins, band)
+#: Series of more bins are warped pair by pair, by their runs.
+DENSE_BINS = 512
+
+
+def _all_apart(xs: list[tuple[np.ndarray, np.ndarray]], ys: list[tuple[np.ndarray, np.ndarray]], n_bins: int, band: int | None) -> np.ndarray:
+    """Distances of every x from every y, both as runs."""
+    if band is None and n_bins <= DENSE_BINS and xs and ys:
+        return dtw.all_distances(np.stack([np.repeat(*x) for x in xs]), np.stack([np.repeat(*y) for y in ys]))
+    return np.array([_apart(x, y, n_bins, band) for x in xs for y in ys]).reshape(len(xs), len(ys))
 
 
 def _blocks_meet(vectors: DataFrame, meet, schema: str, blocks: int) -> DataFrame:
@@ -62,13 +69,7 @@ def _block_distances(group: pd.DataFrame, band: int | None) -> tuple[np.ndarray,
     runs = [dtw.compress(np.array(x), np.array(y), n_bins) for x, y in forms]
     left, right = group[group["b"] == p], group[group["b"] == q]
     (rows, row), (columns, column) = np.unique(left["form"], return_inverse=True), np.unique(right["form"], return_inverse=True)
-    if p == q:  # distances are the same both ways
-        d = np.zeros((len(rows), len(columns)))
-        for x in range(len(rows)):
-            for y in range(x + 1, len(rows)):
-                d[x, y] = d[y, x] = _apart(runs[rows[x]], runs[rows[y]], n_bins, band)
-    else:
-        d = np.array([_apart(runs[x], runs[y], n_bins, band) for x in rows for y in columns]).reshape(len(rows), len(columns))
+    d = _all_apart([runs[x] for x in rows], [runs[y] for y in columns], n_bins, band)
     return left["i"].to_numpy(), right["i"].to_numpy(), d[row[:, None], column[None]]
 
 
@@ -155,10 +156,14 @@ def eigenmap(vectors: DataFrame, p: int, tau: float, band: int | None = None, ze
         known, where = sent.value
         for rows in batches:
             out = []
-            for r in rows.itertuples():
-                d = np.array([_distance(np.array(r.bins), np.array(r.cnts), b, c, int(r.n_bins), band) for b, c in known])
-                weight = np.exp(-(d - d.min()) / tau)  # shifted, so that far series do not vanish
-                out.append((r.channel, r.entity, list(map(float, weight @ where / weight.sum()))))
+            for first in range(0, len(rows), 64):
+                part = rows.iloc[first : first + 64]
+                n_bins = int(part["n_bins"].iloc[0])
+                mine = [dtw.compress(np.array(x), np.array(y), n_bins) for x, y in zip(part["bins"], part["cnts"], strict=True)]
+                d = _all_apart(mine, [dtw.compress(b, c, n_bins) for b, c in known], n_bins, band)
+                weight = np.exp(-(d - d.min(axis=1, keepdims=True)) / tau)  # shifted, so that far series do not vanish
+                at_part = weight @ where / weight.sum(axis=1, keepdims=True)
+                out += [(c, e, list(map(float, f))) for c, e, f in zip(part["channel"], part["entity"], at_part, strict=True)]
             yield pd.DataFrame(out, columns=["channel", "entity", "f"])
 
     rest = vectors.join(F.broadcast(exact.select("channel", "entity")), ["channel", "entity"], "left_anti").select("channel", "entity", "bins", "cnts", "n_bins")

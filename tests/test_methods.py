@@ -297,3 +297,10 @@ def test_pruning_is_exact_by_both_ways(spark, monkeypatch):
     for worth in (1.0, -100.0):  # always all products; always prefixes
         monkeypatch.setattr(similarity, "WORTH", worth)
         assert sorted((r["u"], r["v"], r["dot"]) for r in similarity.pairwise_cosine(binned, "a", "b", min_sim=0.3, prune=True).collect()) == plain != []
+
+
+def test_all_distances_equal_single_ones():
+    rng = np.random.default_rng(8)
+    for n, m in ((1, 1), (1, 4), (7, 3), (20, 20), (13, 31)):
+        x, y = rng.integers(0, 5, (6, n)).astype(float), rng.integers(0, 5, (5, m)).astype(float)
+        assert np.array_equal(dtw.all_distances(x, y), [[dtw.distance(a, b) for b in y] for a in x])
