@@ -8,9 +8,14 @@ from pyspark.sql import functions as F
 from channelalign.llm.store import written
 
 
-def _looked_up(edges: DataFrame, least: DataFrame) -> DataFrame:
-    # The least neighbours are joined by a key of another expression, so both sides are exchanged for this join and AQE may split a hot vertex.
-    return edges.join(least.select((F.col("u") + 0).alias("_u"), "m"), F.col("u") == F.col("_u")).drop("_u")
+def _looked_up(edges: DataFrame, least: DataFrame, large: int | None) -> DataFrame:
+    """edges with the least neighbour m of u. least: u, m, n. Vertices of more than ``large`` edges, a thousandth of all or more, are so few that they are sent to the edges."""
+    if large is None:
+        return edges.join(least.select((F.col("u") + 0).alias("_u"), "m"), F.col("u") == F.col("_u")).drop("_u")
+    hot = F.broadcast(least.where(F.col("n") > large).select(F.col("u").alias("_h"), F.col("m").alias("_m")))
+    sided = edges.join(hot, F.col("u") == F.col("_h"), "left")
+    cold = sided.where("_h IS NULL").select("u", "v").join(least.where(F.col("n") <= large).select((F.col("u") + 0).alias("_u"), "m"), F.col("u") == F.col("_u")).drop("_u")
+    return sided.where("_h IS NOT NULL").select("u", "v", F.col("_m").alias("m")).unionByName(cold)
 
 
 def connected(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
@@ -18,16 +23,20 @@ def connected(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
 
     Every round points larger neighbours at the least neighbour and then smaller ones, which keeps one row per
     vertex and parent at most; rounds grow with the logarithm of the components' size. Each round is written to
-    the shared folder. No component comes together in one task, nor at the driver.
+    the shared folder. No component comes together in one task, nor at the driver: the least neighbour of a vertex
+    with very many edges is sent to them instead of joined.
     """
     now = written(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "edges")
     mark = None
     for _ in range(most_rounds):
+        edges, top = now.groupBy("v").agg(F.count(F.lit(1)).alias("n")).agg(F.sum("n"), F.max("n")).first()
+        many = max(1000, (edges or 0) // 1000)
+        many = many if (top or 0) > many else None
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = _looked_up(both, least).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = _looked_up(large, least)
+        least = both.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n")).select("u", F.least("u", "m").alias("m"), "n")
+        large = _looked_up(both, least, many).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        least = large.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n"))
+        small = _looked_up(large, least, many)
         now = written(small.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(least.select("u", F.col("m").alias("v"))).distinct(), "edges")
         seen = now.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if mark == tuple(seen):

@@ -741,3 +741,9 @@ def test_personal_data_of_the_table():
 @pytest.mark.parametrize("text", ["a" * 400_000 + "@b", "a@" * 100_000, "1" * 300_000, "+1" + " " * 300_000, "1.2." * 60_000, "@" * 300_000, '"' * 300_000 + "1", "a@b.c " * 30_000])
 def test_personal_data_in_hostile_texts(text):
     assert seconds(lambda: pii.scan_texts([text])) < 20
+
+
+def test_components_of_a_vertex_with_many_edges(spark):
+    edges = [(5000 + i, i % 7) for i in range(2500)] + [(i, 0) for i in range(1, 7)] + [(9000 + i, 9001 + i) for i in range(20)] + [(20_000 + i, 8000) for i in range(1500)]
+    got = {r["vertex"]: r["component"] for r in connected(spark.createDataFrame(edges, "u long, v long").repartition(5)).collect()}
+    assert all(got[5000 + i] == 0 for i in range(2500)) and all(got[9000 + i] == 9000 for i in range(21)) and all(got[20_000 + i] == 8000 for i in range(1500)) and len(got) == 2507 + 21 + 1501
