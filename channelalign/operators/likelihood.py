@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -39,16 +40,20 @@ def draw(u: Column, j: Column, total: Column, seed: int) -> Column:
     return ((u * 7919 + (j + 1) * 104_729 + seed * 15_485_863) % 1_000_003 * 31_337 + u * 613 + j * 86_028_121) % total
 
 
-def h0_maxima(pairs: DataFrame, u_ids: DataFrame, v_ids: DataFrame, m: int | str = 10, seed: int = 0, scope: str = "row", axis: str = "u", keys: tuple[str, ...] = ()) -> DataFrame:
+def h0_maxima(pairs: DataFrame | Callable[[DataFrame], DataFrame], u_ids: DataFrame, v_ids: DataFrame, m: int | str = 10, seed: int = 0, scope: str = "row", axis: str = "u", keys: tuple[str, ...] = ()) -> DataFrame:
     """keys, u, s: the greatest of a uniform sample of similarities that hardly holds a true partner.
 
     scope row draws m entities of the other side for each u (with replacement); those without a common bin count
     as 0, as leaving them out would raise the fit. scope pool draws (u, v) pairs from all: a u that is drawn
     itself, too. m "matched" takes the runner-up of each row instead: the maximum over as many candidates as the
-    row's best, which is left out. axis v swaps the sides. Rows: m per u; no grid of all pairs is made.
+    row's best, which is left out. axis v swaps the sides. Rows: m per u; no grid of all pairs is made. pairs: all
+    similarities or, for draws, a function that adds ``sim`` to rows with keys, u and v.
     """
     if axis == "v":
-        swapped = pairs.withColumnsRenamed({"u": "_v", "v": "u"}).withColumnRenamed("_v", "v")
+        def turn(rows: DataFrame) -> DataFrame:
+            return rows.withColumnsRenamed({"u": "_v", "v": "u"}).withColumnRenamed("_v", "v")
+
+        swapped = (lambda asked: turn(pairs(turn(asked)))) if callable(pairs) else turn(pairs)
         out = h0_maxima(swapped, v_ids.withColumnRenamed("v", "u"), u_ids.withColumnRenamed("u", "v"), m, seed, scope, "u", keys)
         return out.withColumnRenamed("u", "v")
     if m == "matched":
@@ -68,7 +73,8 @@ def h0_maxima(pairs: DataFrame, u_ids: DataFrame, v_ids: DataFrame, m: int | str
         raise ValueError(f"no scope {scope}")
     else:
         draws = draws.withColumn("_owner", F.col("u"))
-    met = draws.join(vs.select(*keys, "v", "place"), [*keys, "place"]).join(pairs.select(*keys, "u", "v", "sim"), [*keys, "u", "v"], "left")
+    met = draws.join(vs.select(*keys, "v", "place"), [*keys, "place"])
+    met = pairs(met) if callable(pairs) else met.join(pairs.select(*keys, "u", "v", "sim"), [*keys, "u", "v"], "left")
     return met.groupBy(*keys, F.col("_owner").alias("u")).agg(F.max(F.coalesce("sim", F.lit(0.0))).alias("s"))
 
 
