@@ -38,6 +38,9 @@ CHUNK_SHINGLES = 600_000
 #: The memory of a class in a task, in shingles: its set, its text and a part for its MinHash values.
 _COST = "size + bytes DIV 32 + 40"
 SENT_ROWS = 1_000_000
+#: Bits of the filter for each band value that classes share, and the most bits it has; it lets through what it should and, at worst, more.
+FILTER_BITS = 32
+MOST_BITS = 1 << 28
 #: Text that is turned into sets at a time.
 SLICE_BYTES = 1 << 20
 
@@ -160,6 +163,7 @@ def compare(sets: list[np.ndarray], copies: np.ndarray, left: int, threshold: fl
 
 
 _SKETCH = "doc_id long, tie long, k1 long, k2 long, size long, bytes long, bands array<long>"
+_THINNED = _SKETCH.replace("array<long>", "array<struct<pos: int, band: long>>")
 
 
 def _sketches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -241,7 +245,7 @@ def _split(giant: DataFrame, member: DataFrame, bound: int) -> DataFrame:
     Buckets of equal members (told by number and hash) are compared once, in the first of their bands: a pair of
     them shares all these bands. Of the two ways to deal a block, that of fewer pairs is taken.
     """
-    cut = member.where("bands IS NOT NULL").select("vertex", "tie", F.posexplode("bands").alias("pos", "band")).distinct()
+    cut = member.where("bands IS NOT NULL").select("vertex", "tie", F.inline("bands")).distinct()
     inside = written(giant.join(cut, ["vertex", "tie"]).select("vertex", "tie", "block", "copies", "cost", "pos", "band"), "buckets")
     sums = inside.groupBy("block", "pos", "band").agg(F.count(F.lit(1)).alias("n"), F.sum("cost").alias("of_bucket"), F.expr("bit_xor(xxhash64(vertex, tie))").alias("print"), F.min("vertex").alias("least")).where("n > 1")
     once = sums.groupBy("block", "n", "print", "least").agg(F.min(F.struct("pos", "band", "of_bucket")).alias("b")).select("block", "n", "b.*")
@@ -254,6 +258,32 @@ def _split(giant: DataFrame, member: DataFrame, bound: int) -> DataFrame:
     return dealt_band.unionByName(dealt_all)
 
 
+def _shared_bands(sketched: DataFrame) -> DataFrame:
+    """The sketches with those of their bands (with their places) that two classes may share: all that are shared and few others (a bitmap of their low bits tells them)."""
+    own = sketched.where("size > 0").select(F.xxhash64("k1", "k2", "size").alias("k"), F.explode("bands").alias("band"))
+    shared = written(own.groupBy("band").agg(F.min("k").alias("least"), F.max("k").alias("most")).where("least < most").select("band"), "shared")
+    bits = min(MOST_BITS, 1 << max(15, (FILTER_BITS * shared.count()).bit_length()))
+    low = shared.select(F.col("band").bitwiseAND(F.lit(bits - 1)).alias("low"))
+    words = low.groupBy(F.shiftright("low", 15).alias("at")).agg(F.bitmap_construct_agg(F.col("low").bitwiseAND(F.lit((1 << 15) - 1))).alias("word")).collect()  # at most 8192 rows of 4 KB
+    table = np.zeros((bits >> 15, 1 << 12), np.uint8)
+    for r in words:
+        table[r["at"]] = np.frombuffer(r["word"], np.uint8)
+    sent = sketched.sparkSession.sparkContext.broadcast(table.ravel())
+
+    def thin(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            lists = batch.column("bands")
+            sizes, values = lists.value_lengths().to_numpy(), lists.flatten().to_numpy()
+            at = values & (bits - 1)
+            good = (sent.value[at >> 3] >> (at & 7).astype(np.uint8)) & 1 > 0
+            ends = np.concatenate([[0], np.cumsum(good)])[np.concatenate([[0], np.cumsum(sizes)])]
+            pos = np.arange(len(values)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+            kept = pa.ListArray.from_arrays(ends.astype(np.int32), pa.StructArray.from_arrays([pa.array(pos[good].astype(np.int32)), pa.array(values[good])], names=["pos", "band"]))
+            yield pa.RecordBatch.from_arrays([kept if n == "bands" else batch.column(n) for n in batch.schema.names], names=batch.schema.names)
+
+    return written(sketched.mapInArrow(released(thin), _THINNED), "thinned")
+
+
 def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, tolerance: float = TOLERANCE, chunk_shingles: int = CHUNK_SHINGLES, sent_rows: int = SENT_ROWS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: doc_id, row_id, class_id, n_links, n_class_links, class_size, copies_id.
 
@@ -267,13 +297,13 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, tolerance: fl
     A pair at the threshold itself is missed by all bands with probability (1 - 0.8**6)**60, about 1e-8, and by
     pruning with about the tolerance. Texts move once, for classes in a block of two or more only; those of blocks
     of more than ``chunk_shingles`` move to each of their tasks (see the module's text), so no task's memory follows
-    a block's size. Classes that hold more than a thousandth of all rows (so at most a thousand) are sent to the
+    a block's size. Band values are grouped once, and those of one class only go no further. Classes that hold more than a thousandth of all rows (so at most a thousand) are sent to the
     rows; the others are joined to them.
     """
     own = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("_text"))
     own = own.select("doc_id", F.xxhash64("_text").alias("tie"), "_text")
     known = F.coalesce(F.col("doc_id"), -F.shiftrightunsigned(F.col("tie"), 2) - 2)
-    sketched = written(own.mapInArrow(released(_sketches), _SKETCH), "sketches").withColumn("vid", known)
+    sketched = _shared_bands(written(own.mapInArrow(released(_sketches), _SKETCH), "sketches")).withColumn("vid", known)
     key = ["k1", "k2", "size"]
     classes = sketched.where("size > 0").groupBy(*key).agg(F.min(F.struct("vid", "tie")).alias("first"), F.count(F.lit(1)).alias("copies"))
     classes = written(classes.select(*key, F.col("first.vid").alias("vertex"), F.col("first.tie").alias("first_tie"), "copies"), "classes")
@@ -286,7 +316,7 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, tolerance: fl
         "doc_id", "vid", "tie", F.coalesce("vertex", "vid").alias("vertex"), F.coalesce("copies", F.lit(1)).alias("copies"), F.expr(_COST).alias("cost"), F.when(mine, F.col("bands")).alias("bands")
     )
     member = written(member, "members")
-    band = member.where("bands IS NOT NULL").select("vertex", F.explode("bands").alias("band"))
+    band = member.where("bands IS NOT NULL").select("vertex", F.explode("bands.band").alias("band"))
     shared = band.groupBy("band").agg(F.min("vertex").alias("least"), F.max("vertex").alias("most")).where("least < most").select(F.col("band").bitwiseXOR(F.lit(1)).alias("_band"), "least")
     edges = band.join(shared, F.col("band").bitwiseXOR(F.lit(1)) == F.col("_band")).where("vertex <> least").select(F.col("vertex").alias("u"), F.col("least").alias("v")).distinct()
     vertices = member.where("bands IS NOT NULL").select("vertex", "tie", "copies", "cost").dropDuplicates(["vertex", "tie"])

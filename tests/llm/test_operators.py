@@ -747,3 +747,17 @@ def test_components_of_a_vertex_with_many_edges(spark):
     edges = [(5000 + i, i % 7) for i in range(2500)] + [(i, 0) for i in range(1, 7)] + [(9000 + i, 9001 + i) for i in range(20)] + [(20_000 + i, 8000) for i in range(1500)]
     got = {r["vertex"]: r["component"] for r in connected(spark.createDataFrame(edges, "u long, v long").repartition(5)).collect()}
     assert all(got[5000 + i] == 0 for i in range(2500)) and all(got[9000 + i] == 9000 for i in range(21)) and all(got[20_000 + i] == 8000 for i in range(1500)) and len(got) == 2507 + 21 + 1501
+
+
+def test_near_duplicates_move_shared_bands_only(spark, monkeypatch):
+    """Band values of one class only are dropped before members are joined; none that classes share is."""
+    rows = [(i, " ".join(f"a{i}x{j}" for j in range(60))) for i in range(300)] + [(300 + i, " ".join([f"b{j}" for j in range(150)] + [f"e{i}"])) for i in range(6)] + [(400 + i, " ".join(f"c{j}" for j in range(60))) for i in range(9)]
+    kept, seen = near_dup.written, {}
+    monkeypatch.setattr(near_dup, "written", lambda frame, what: seen.setdefault(what, kept(frame, what)))
+    got = {r["doc_id"]: (r["class_id"], r["n_links"]) for r in near_dup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == brute_near(rows)
+    moved = [r["band"] for r in seen["members"].selectExpr("inline(bands)").collect()]
+    sketched = {r["doc_id"]: set(r["bands"]) for r in seen["sketches"].collect()}
+    of_class = [b for i, own in sketched.items() if i <= 400 for b in own]  # one of the nine copies
+    shared = {b for b in of_class if of_class.count(b) > 1}
+    assert shared <= set(moved) and len(moved) < len(of_class) / 10
