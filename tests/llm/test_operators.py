@@ -761,3 +761,18 @@ def test_near_duplicates_move_shared_bands_only(spark, monkeypatch):
     of_class = [b for i, own in sketched.items() if i <= 400 for b in own]  # one of the nine copies
     shared = {b for b in of_class if of_class.count(b) > 1}
     assert shared <= set(moved) and len(moved) < len(of_class) / 10
+
+
+def test_encoder_parts_latin_letters_from_punctuation():
+    """A Latin-1 letter before punctuation makes no word of its own; words of letters are encoded without marks between them."""
+    letters = [chr(c) for c in range(0xC0, 0x100)] + ["a", "z"]
+    marks = [chr(c) for c in range(0x21, 0x7F) if not chr(c).isalnum()]
+    texts = [*(f"na{c}{m}x {c}'s{m}" for c in letters for m in marks), "café. café, café", "é. éé,", "×. ÷,"]
+    coder = token_files.WordEncoder(BPE)
+    asked, kept = [], coder._ids
+    coder._ids = lambda words: asked.extend(words) or kept(words)
+    ids, sizes = coder.encode(pa.array(texts, pa.large_string()))
+    want = [e.ids for e in coder.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+    assert ids.tolist() == [i for own in want for i in own] and sizes.tolist() == [len(own) for own in want]
+    assert "café" in coder.known and not {"café.", "café,"} & set(coder.known)
+    assert "café" not in asked
