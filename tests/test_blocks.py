@@ -73,3 +73,19 @@ def test_slices_of_a_task(monkeypatch, scale, m, ties):
 def test_no_product_of_all_pairs_is_shuffled(spark, name):
     text = plan(register.queries()[name](spark, SF))
     assert not any("bin" in line.split("[", 1)[1].split("]")[0] for line in text.splitlines() if "Join [" in line)
+
+
+@pytest.mark.parametrize("name", ["jaccard_bins"])
+def test_all_pairs_are_made_without_a_shuffle(spark, name):
+    text = plan(register.queries()[name](spark, SF))
+    assert not any("bin" in line.split("[", 1)[1].split("]")[0] for line in text.splitlines() if "Join [" in line)
+    assert not any("hashpartitioning(u#" in line or "u#" in line and "v#" in line for line in text.splitlines() if "Exchange" in line)
+
+
+def test_jaccard_by_blocks_is_that_of_sets(spark, binned, monkeypatch):
+    monkeypatch.setattr(blocks, "BLOCK", 4)
+    of = {c: {} for c in "ab"}
+    for r in binned.collect():
+        of[r["channel"]].setdefault(r["entity"], set()).add(r["bin"])
+    want = [[u, v, len(x & y), len(x & y) / len(x | y)] for u, x in of["a"].items() for v, y in of["b"].items() if x & y]
+    assert comparable(similarity.pairwise_jaccard(binned, "a", "b").collect()) == comparable(want)
