@@ -75,7 +75,7 @@ def test_no_product_of_all_pairs_is_shuffled(spark, name):
     assert not any("bin" in line.split("[", 1)[1].split("]")[0] for line in text.splitlines() if "Join [" in line)
 
 
-@pytest.mark.parametrize("name", ["jaccard_bins"])
+@pytest.mark.parametrize("name", ["cosine_every_channel", "jaccard_bins"])
 def test_all_pairs_are_made_without_a_shuffle(spark, name):
     text = plan(register.queries()[name](spark, SF))
     assert not any("bin" in line.split("[", 1)[1].split("]")[0] for line in text.splitlines() if "Join [" in line)
@@ -89,3 +89,9 @@ def test_jaccard_by_blocks_is_that_of_sets(spark, binned, monkeypatch):
         of[r["channel"]].setdefault(r["entity"], set()).add(r["bin"])
     want = [[u, v, len(x & y), len(x & y) / len(x | y)] for u, x in of["a"].items() for v, y in of["b"].items() if x & y]
     assert comparable(similarity.pairwise_jaccard(binned, "a", "b").collect()) == comparable(want)
+
+
+def test_all_channels_by_blocks_are_those_of_the_join(spark, binned, monkeypatch):
+    monkeypatch.setattr(blocks, "BLOCK", 4)
+    both = similarity.all_pairs_cosine(binned).where("left = 'a' AND right = 'b'").select("u", "v", "dot", "sim")
+    assert comparable(both.collect()) == comparable(similarity.pairwise_cosine(binned, "a", "b").collect())
