@@ -75,7 +75,7 @@ def test_no_product_of_all_pairs_is_shuffled(spark, name):
     assert not any("bin" in line.split("[", 1)[1].split("]")[0] for line in text.splitlines() if "Join [" in line)
 
 
-@pytest.mark.parametrize("name", ["cosine_every_channel", "jaccard_bins"])
+@pytest.mark.parametrize("name", ["cosine_all", "cosine_within_band", "cosine_salted", "cosine_every_channel", "jaccard_bins"])
 def test_all_pairs_are_made_without_a_shuffle(spark, name):
     text = plan(register.queries()[name](spark, SF))
     assert not any("bin" in line.split("[", 1)[1].split("]")[0] for line in text.splitlines() if "Join [" in line)
@@ -95,3 +95,12 @@ def test_all_channels_by_blocks_are_those_of_the_join(spark, binned, monkeypatch
     monkeypatch.setattr(blocks, "BLOCK", 4)
     both = similarity.all_pairs_cosine(binned).where("left = 'a' AND right = 'b'").select("u", "v", "dot", "sim")
     assert comparable(both.collect()) == comparable(similarity.pairwise_cosine(binned, "a", "b").collect())
+
+
+def test_every_pair_by_blocks_is_that_of_the_join(spark, binned, monkeypatch):
+    monkeypatch.setattr(blocks, "BLOCK", 4)
+    key = lambda f: comparable(f.select("u", "v", "dot", "sim").collect())
+    plain = key(similarity.pairwise_cosine(binned, "a", "b"))
+    assert key(similarity.every_cosine(binned, "a", "b")) == key(similarity.every_cosine(binned, "a", "b", salts=3, hot=5)) == plain != []
+    labels = cluster.activity_bands(binned, register.BANDS)
+    assert key(similarity.every_cosine(binned, "a", "b", labels)) == key(similarity.pairwise_cosine(binned, "a", "b", labels))
