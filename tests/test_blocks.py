@@ -104,3 +104,38 @@ def test_every_pair_by_blocks_is_that_of_the_join(spark, binned, monkeypatch):
     assert key(similarity.every_cosine(binned, "a", "b")) == key(similarity.every_cosine(binned, "a", "b", salts=3, hot=5)) == plain != []
     labels = cluster.activity_bands(binned, register.BANDS)
     assert key(similarity.every_cosine(binned, "a", "b", labels)) == key(similarity.pairwise_cosine(binned, "a", "b", labels))
+
+
+def _block(rng, n, n_bins, most):
+    counts = np.where(rng.random((n, n_bins)) < 0.02, rng.integers(1, most, (n, n_bins)), 0)
+    counts[np.arange(n), np.arange(n)] |= 1
+    full = [np.flatnonzero(r) for r in counts]
+    columns = [pa.array(np.arange(n) + 7), pa.array((counts * counts).sum(axis=1)), pa.array(full, pa.list_(pa.int64())), pa.array([r[f] for r, f in zip(counts, full)], pa.list_(pa.int64()))]
+    return counts, blocks._Side([pa.RecordBatch.from_arrays(columns, names=["id", "sq", "bins", "cnts"])])
+
+
+def test_pairs_leave_python_in_a_row_for_each_entity(spark, binned, monkeypatch):
+    text = plan(similarity.block_cosine(binning.to_vectors(binned), "a", "b"))
+    made = next(line for line in text.splitlines() if "InArrow" in line)
+    assert "sims" in made and "posexplode" in text
+
+
+@pytest.mark.parametrize("theta", [None, 0.3])
+def test_pairs_of_several_entities_and_none(theta):
+    """Entities without a pair of at least theta have no row, and each other one has its own."""
+    rng = np.random.default_rng(5)
+    (a, x), (b, y) = _block(rng, 40, 60, 3), _block(rng, 9, 60, 3)
+    sim = (a @ b.T) / np.sqrt((a * a).sum(axis=1)[:, None] * (b * b).sum(axis=1)[None])
+    a_ids = np.arange(40) + 7
+    found = {(int(u), int(v)): s for us, ns, vs, _, ss in blocks._every(x, y, theta) for u, v, s in zip(np.repeat(us, ns), vs, ss)}
+    want = {(int(u), j + 7): sim[k, j] for k, u in enumerate(a_ids) for j in range(9) if sim[k, j] > 0 and sim[k, j] >= (theta or 0)}
+    assert found == want
+
+
+def test_pairs_of_blocks_have_partitions_of_their_own(spark, binned, monkeypatch):
+    monkeypatch.setattr(blocks, "BLOCK", 4)
+    monkeypatch.setattr(blocks, "PART_ROWS", 1)
+    a, b, on = similarity._sides(binned, "a", "b", None, ())
+    dealt = blocks._dealt(blocks.pack(a, b, []), [], (1, 1))
+    cells = dealt.select("i", "j").distinct().count()
+    assert dealt.rdd.getNumPartitions() == blocks.PARTS * cells > 4
