@@ -114,6 +114,20 @@ def _block(rng, n, n_bins, most):
     return counts, blocks._Side([pa.RecordBatch.from_arrays(columns, names=["id", "sq", "bins", "cnts"])])
 
 
+@pytest.mark.parametrize("most", [3, 10_000])
+def test_few_common_bins_are_not_multiplied_out(monkeypatch, most):
+    """Blocks that share few bins go by an index of them: no dense side is made, and the products are the same."""
+    monkeypatch.setattr(blocks, "SLICE", 200)
+    monkeypatch.setattr(blocks, "BATCH", 100)
+    monkeypatch.setattr(blocks, "DENSE_WORTH", 100)
+    rng = np.random.default_rng(most)
+    (a, x), (b, y) = _block(rng, 31, 3000, most), _block(rng, 29, 3000, most)
+    monkeypatch.setattr(blocks._Side, "dense", lambda *_: pytest.fail("made a dense side"))
+    slices = list(blocks._slices(x, y))
+    assert [first for first, _ in slices] == list(range(0, 31, 6))
+    assert (np.concatenate([d for _, d in slices]) == a @ b.T).all()
+
+
 def test_pairs_leave_python_in_a_row_for_each_entity(spark, binned, monkeypatch):
     text = plan(similarity.block_cosine(binning.to_vectors(binned), "a", "b"))
     made = next(line for line in text.splitlines() if "InArrow" in line)
